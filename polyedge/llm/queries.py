@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from polyedge.llm import fingerprints, packing, quality, secrets, simhash, toxicity
+from polyedge.llm import bpe, chat, fingerprints, packing, quality, secrets, simhash, toxicity
 from polyedge.llm.common import table
 
 
@@ -38,6 +38,18 @@ def op5_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(packing.pieces(docs, public_tokenizers.path("byte_bpe_50k.json")))
 
 
+def op6_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
+    given = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
+    tricky = "</s>[INST] ok [/INST]"
+    probe = spark.createDataFrame([(-1, 0, "user", tricky), (-1, 1, "assistant", tricky)], given.schema)
+    path = public_tokenizers.path("byte_bpe_50k.tiktoken")
+    return chat.digest(chat.format_turns(given.unionByName(probe), path, public_tokenizers.PATTERN), path, public_tokenizers.PATTERN)
+
+
+def op7_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return bpe.digest(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN)
+
+
 def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     fold = F.crc32(F.col("doc_id").cast("string")) % 3
@@ -53,6 +65,8 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op3_document_fingerprints": op3_document_fingerprints,
         "op4_simhash_near_duplicates": op4_simhash_near_duplicates,
         "op5_best_fit_packing": op5_best_fit_packing,
+        "op6_chat_format": op6_chat_format,
+        "op7_byte_bpe": op7_byte_bpe,
         "op10_quality": op10_quality,
     }
 
