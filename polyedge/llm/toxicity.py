@@ -72,7 +72,7 @@ def choose_buckets(pos: np.ndarray, neg: np.ndarray, ratio: np.ndarray, keep_buc
     return chosen[strength[chosen] > 0]
 
 
-def fit_scaled(rows: list[np.ndarray], labels: np.ndarray, chosen: np.ndarray, ratio: np.ndarray, bits: int, l1: float = 2e-4, rounds: int = 400) -> ToxicityModel:
+def fit_scaled(rows: list[np.ndarray], labels: np.ndarray, chosen: np.ndarray, ratio: np.ndarray, bits: int, l1: float = 2e-4, rounds: int = 250) -> ToxicityModel:
     """Sparse logistic regression on scaled features by accelerated proximal gradient.
 
     ``rows`` hold places in ``chosen``; ``ratio`` is that of the chosen buckets.
@@ -130,7 +130,7 @@ def _places(texts: list[str], bits: int, chosen: np.ndarray) -> list[list[np.nda
     return [out]
 
 
-def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", use: Column | None = None, bits: int = 18, max_rows: int = 6000, keep_buckets: int = 20_000, smooth: float = 1.0, default_score: float = 0.5) -> ToxicityModel:
+def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", use: Column | None = None, bits: int = 18, max_rows: int = 6000, keep_buckets: int = 8000, smooth: float = 1.0, default_score: float = 0.5) -> ToxicityModel:
     """Fit on a bounded sample of labelled rows (``max_rows``); ``use`` filters rows by their id.
 
     Document counts per bucket are summed on the executors; the driver gets one row per bucket,
