@@ -60,7 +60,8 @@ def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     labels = table(spark, sf_dir, "labels")
     low = labels.where("quality = 0").select("doc_id").distinct()
     toxic = labels.where("toxic = 1").select("doc_id").distinct().join(low, "doc_id", "left_anti")
-    words, pieces = token_counts.counted(docs, "words-1"), token_counts.counted(docs, "pieces-1")
+    by_rule = token_counts.counted_once(docs, ["words-1", "pieces-1"])
+    words, pieces = by_rule["words-1"], by_rule["pieces-1"]
     store = token_counts.Rollup(spark, fresh_path(spark, "token-counts"))
     withdrawn = token_counts.signed(words.join(low, "doc_id", "left_semi"), -1)
     store.commit("1-load", token_counts.signed(words, 1))

@@ -42,6 +42,14 @@ def counted(docs: DataFrame, version: str, path: str | None = None, pattern: str
     return rows.select("doc_id", "source", "lang", F.lit(version).alias("tokenizer_version"), "n_tokens", F.coalesce(F.char_length(F.col("text").cast("string")), F.lit(0)).cast("long").alias("n_chars"))
 
 
+def counted_once(docs: DataFrame, versions: list[str]) -> dict[str, DataFrame]:
+    """``counted`` for several rules from one scan: the counts, without texts, are written once and
+    every batch that follows joins and sums those narrow rows."""
+    n_chars = F.coalesce(F.char_length(F.col("text").cast("string")), F.lit(0)).cast("long").alias("n_chars")
+    rows = common.cut(docs.select("doc_id", "source", "lang", n_chars, *[count_by_rule(F.col("text"), v).alias(f"n_{i}") for i, v in enumerate(versions)]))
+    return {v: rows.select("doc_id", "source", "lang", F.lit(v).alias("tokenizer_version"), F.col(f"n_{i}").alias("n_tokens"), "n_chars") for i, v in enumerate(versions)}
+
+
 def signed(rows: DataFrame, sign: int) -> DataFrame:
     """Counted rows as deltas: ``sign`` +1 inserts, -1 deletes."""
     return rows.select(*KEYS, F.lit(sign).cast("long").alias("n_docs"), (sign * F.col("n_tokens")).alias("n_tokens"), (sign * F.col("n_chars")).alias("n_chars"))
