@@ -32,7 +32,6 @@ SHAPES = {
 def shape(name: str, cfg: ModelConfig) -> tuple[int, int]:
     size = {"n": cfg.n, "d": cfg.d, "w": cfg.w, "1": 1, "2d": 2 * cfg.d, "3d": 3 * cfg.d, "nd": cfg.n * cfg.d}
     if not cfg.use_z:
-        size |= {}
         if name in ("a_member", "u_mix"):
             return size[SHAPES[name][0]], cfg.d
         if name in ("a_edge", "a_pool"):
