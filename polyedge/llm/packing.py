@@ -15,10 +15,12 @@ they occur; the empty table gives no rows.
 
 from __future__ import annotations
 
-import re
+import hashlib
 import zlib
 from collections.abc import Iterator
 from functools import cache, partial
+from itertools import compress, repeat
+from operator import is_
 
 import numpy as np
 import pandas as pd
@@ -27,8 +29,11 @@ from pyspark.sql import DataFrame, functions as F, types as T
 
 from polyedge.llm import common
 
-MEMO_ENTRIES = 300_000
-ODD_SPACE = re.compile(r"[^\S\n ]|[ \n][ \n]|^[ \n]|[ \n]\Z")
+MEMO_ENTRIES = 1_500_000
+BATCH = 1024
+KNOWN_TEXTS = 200_000
+# fixed values: white space other than the space and the line feed
+OTHER_SPACE = "\t\r\x0b\x0c\x1c\x1d\x1e\x1f\x85\xa0\u1680\u2000\u2001\u2002\u2003\u2004\u2005\u2006\u2007\u2008\u2009\u200a\u2028\u2029\u202f\u205f\u3000"
 
 
 @cache
@@ -41,26 +46,24 @@ def _tokenizer(path: str):
 
 
 def _chunks(text: str) -> list[str] | None:
-    """The text cut at each single line feed and before each single space between other characters.
+    """The text, a line feed put before it, cut before each line feed and at each space, which goes.
 
-    No match of the tokenizer's split pattern crosses such a cut, so the chunks encode alone.  None
-    if the text holds white space of any other kind or arrangement at a cut.
+    So a chunk that does not start with a line feed follows a space.  No match of the tokenizer's
+    split pattern crosses such a cut if it stands between two other characters, so the chunks
+    encode alone.  None if the text holds white space of any other kind or arrangement.
     """
-    if not text or ODD_SPACE.search(text):
+    parts = f"\n{text}".replace("\n", " \n").split(" ")
+    del parts[0]
+    if "" in parts or "\n" in parts or any(c in text for c in OTHER_SPACE):
         return None
-    out: list[str] = []
-    for line in text.split("\n"):
-        first, *rest = line.split(" ")
-        out += ["\n", first]
-        out += [" " + p for p in rest]
-    return out[1:]
+    return parts
 
 
 class DocumentEncoder:
     """Ids of whole texts as little-endian unsigned 32-bit bytes; chunks met before are looked up.
 
-    New chunks go to the tokenizer as one joined text.  Each begins with a space, or has a line feed
-    put before it, and holds no other, so a token that begins so marks where to cut the ids.
+    New chunks go to the tokenizer as one joined text.  Each begins with a space or a line feed and
+    holds no other, so a token that begins so marks where to cut the ids.
     Letters and the marks after them never share a token, so a known word with other marks is known.
     """
 
@@ -68,8 +71,10 @@ class DocumentEncoder:
 
     def __init__(self, path: str):
         self.tokenizer = _tokenizer(path)
-        self.line = self._encode("\n").tobytes()
-        self.memo: dict[str, bytes] = {"\n": self.line}
+        self.line = len(self._encode("\n").tobytes())
+        self.memo: dict[str, bytes] = {}
+        self.marks: dict[str, bytes] = {}
+        self.known: dict[tuple[int, int], dict[bytes, list[tuple]]] = {}  # pieces of texts met before
         vocab = self.tokenizer.get_vocab(with_added_tokens=True)
         self.opens = np.zeros(max(vocab.values()) + 1, bool)
         self.opens[[i for t, i in vocab.items() if t[0] in "\u0120\u010a"]] = True  # a space and a line feed, as byte-level vocabularies write them
@@ -80,37 +85,54 @@ class DocumentEncoder:
     def _learn(self, new: list[str]) -> None:
         for at in range(0, len(new), 5000):
             part = new[at : at + 5000]
-            ids = self._encode("".join([c if c[0] == " " else "\n" + c for c in part]))
+            ids = self._encode("".join([c if c[0] == "\n" else " " + c for c in part]))
             cuts = np.flatnonzero(self.opens[ids]).tolist()
             if len(cuts) != len(part):
                 raise RuntimeError("a chunk did not start a token of its own")
             data = ids.tobytes()
-            for c, a, b in zip(part, cuts, [*cuts[1:], len(ids)], strict=True):
-                self.memo[c] = data[4 * (a if c[0] == " " else a + 1) : 4 * b]
+            cuts = [4 * c for c in cuts]
+            self.memo.update(zip(part, map(data.__getitem__, map(slice, cuts, [*cuts[1:], len(data)])), strict=True))
 
-    def _look_up(self, texts: list[list[str]]) -> None:
-        memo = self.memo
-        seen: set[str] = set()
-        for chunks in texts:
-            seen.update(chunks)
-        missing = {c for c in seen if c not in memo}
-        words = {}
+    def _add(self, missing: list[str]) -> None:
+        memo, marks = self.memo, self.marks
+        words, ends, plain = [], [], set()
         for c in missing:
             w = c.rstrip(self.MARKS)
-            if len(w) > 1 and len(w) < len(c) and w[-1].isalpha():
-                words[c] = w
-        marks = {c[len(w) :] for c, w in words.items()}
-        self._learn(sorted(x for x in (missing - words.keys()) | set(words.values()) | marks if x not in memo))
-        for c, w in words.items():
-            memo[c] = memo[w] + memo[c[len(w) :]]
+            if len(w) < len(c) and w[-1:].isalpha():
+                words.append(w)
+                ends.append(c[len(w) :])
+                if w not in memo:
+                    plain.add(w)
+            else:
+                words.append(c)
+                ends.append("")
+                plain.add(c)
+        self._learn(list(plain))
+        for e in set(ends):
+            if e not in marks:
+                marks[e] = self._encode(e).tobytes() if e else b""
+        for c, w, e in zip(missing, words, ends, strict=True):
+            if e:
+                memo[c] = memo[w] + marks[e]
 
     def __call__(self, texts: list[str]) -> list[bytes]:
-        cut = [_chunks(t) for t in texts]
         if len(self.memo) > MEMO_ENTRIES:
-            self.memo = {"\n": self.line}
-        self._look_up([c for c in cut if c])
+            self.memo = {}
         memo = self.memo
-        return [self._encode(t).tobytes() if c is None else b"".join(map(memo.__getitem__, c)) for t, c in zip(texts, cut, strict=True)]
+        cut = [_chunks(t) for t in texts]
+        found = [list(map(memo.get, c)) if c else [] for c in cut]
+        missing: set[str] = set()
+        for c, ids in zip(cut, found, strict=True):
+            if c:
+                missing.update(compress(c, map(is_, ids, repeat(None))))
+        self._add(list(missing))
+        out = []
+        for text, c, ids in zip(texts, cut, found, strict=True):
+            if c is None:
+                out.append(self._encode(text).tobytes())
+            else:
+                out.append(b"".join([memo[x] if y is None else y for x, y in zip(c, ids, strict=True)])[self.line :])
+        return out
 
 
 def cut_lengths(n: int, capacity: int) -> list[tuple[int, int]]:
@@ -124,25 +146,40 @@ def _encoder(path: str) -> DocumentEncoder:
     return DocumentEncoder(path)
 
 
+def _cut_documents(encode: DocumentEncoder, texts: list[str], capacity: int, end: bytes, with_ids: bool, known: dict[bytes, list[tuple]]) -> list[list[tuple]]:
+    """(start, length, crc, ids) of the pieces of each text; a text met before by this worker is known."""
+    if with_ids:
+        keys: list[bytes] = [i.to_bytes(8, "little") for i in range(len(texts))]
+        known = {}
+    else:
+        keys = [hashlib.blake2b(t.encode("utf-8", "surrogatepass"), digest_size=16).digest() for t in texts]
+        if len(known) > KNOWN_TEXTS:
+            known.clear()
+    new = {k: t for k, t in zip(keys, texts, strict=True) if k not in known}
+    for k, doc in zip(new, encode(list(new.values())), strict=True):
+        doc += end
+        parts = [(s, n, doc[4 * s : 4 * (s + n)]) for s, n in cut_lengths(len(doc) // 4, capacity)]
+        known[k] = [(s, n, zlib.crc32(x), np.frombuffer(x, "<u4").astype(np.int32) if with_ids else None) for s, n, x in parts]
+    return [known[k] for k in keys]
+
+
 def _pieces(batches: Iterator[pa.RecordBatch], path: str, capacity: int, closing_id: int, with_ids: bool) -> Iterator[pa.RecordBatch]:
     encode, end = _encoder(path), np.array([closing_id], "<u4").tobytes()
+    known = encode.known.setdefault((capacity, closing_id), {})
     for b in batches:
         ids = b.column(0)
-        for at in range(0, b.num_rows, 512):
-            texts = [t or "" for t in b.column(1).slice(at, 512).to_pylist()]
+        for at in range(0, b.num_rows, BATCH):
+            texts = [t or "" for t in b.column(1).slice(at, BATCH).to_pylist()]
             row, piece, start, length, crc, data = [], [], [], [], [], []
-            for k, doc in enumerate(encode(texts)):
-                doc += end
-                for p, (s, n) in enumerate(cut_lengths(len(doc) // 4, capacity)):
-                    part = doc[4 * s : 4 * (s + n)]
+            for k, parts in enumerate(_cut_documents(encode, texts, capacity, end, with_ids, known)):
+                for p, (s, n, c, x) in enumerate(parts):
                     row.append(at + k)
                     piece.append(p)
                     start.append(s)
                     length.append(n)
-                    crc.append(zlib.crc32(part))
-                    if with_ids:
-                        data.append(np.frombuffer(part, "<u4").astype(np.int32))
-            cols = [ids.take(pa.array(row)), pa.array(piece, pa.int32()), pa.array(start, pa.int64()), pa.array(length, pa.int64()), pa.array(crc, pa.int64())]
+                    crc.append(c)
+                    data.append(x)
+            cols = [ids.take(pa.array(row, pa.int64())), pa.array(piece, pa.int32()), pa.array(start, pa.int64()), pa.array(length, pa.int64()), pa.array(crc, pa.int64())]
             names = ["doc_id", "piece", "start", "length", "ids_crc32"]
             if with_ids:
                 cols.append(pa.array(data, pa.list_(pa.int32())))
