@@ -32,10 +32,10 @@ def _token_hash(token: str) -> int:
 
 
 def features(text: str, bits: int, memo: dict[str, int]) -> tuple[np.ndarray, np.ndarray]:
-    """Bucket numbers and values of one text."""
+    """Bucket numbers and counts of one text."""
     tokens = TOKEN.findall(text)
     if not tokens:
-        return np.empty(0, np.int64), np.empty(0)
+        return np.empty(0, np.int64), np.empty(0, np.int64)
     h = np.empty(len(tokens), np.uint64)
     last = None
     for i, t in enumerate(tokens):
@@ -51,9 +51,12 @@ def features(text: str, bits: int, memo: dict[str, int]) -> tuple[np.ndarray, np
             last = t
     pairs = (h[:-1] * np.uint64(0x9E3779B97F4A7C15) + h[1:] + np.uint64(1)) * np.uint64(0xC2B2AE3D27D4EB4F)
     mix = np.concatenate([h * np.uint64(0x9E3779B97F4A7C15), pairs]) >> np.uint64(64 - bits)
-    where, count = np.unique(mix.astype(np.int64), return_counts=True)
-    value = np.sqrt(count)
-    return where, value / np.sqrt(count.sum())
+    return np.unique(mix.astype(np.int64), return_counts=True)
+
+
+def values(count: np.ndarray) -> np.ndarray:
+    """Square roots of the counts, of norm one."""
+    return np.sqrt(count) / np.sqrt(max(1, count.sum()))
 
 
 @dataclass
@@ -69,8 +72,8 @@ class QualityModel:
         memo: dict[str, int] = {}
         out = np.empty(len(texts))
         for i, t in enumerate(texts):
-            where, value = features(t, self.bits, memo)
-            out[i] = self.bias + dense[where] @ value
+            where, count = features(t, self.bits, memo)
+            out[i] = self.bias + dense[where] @ values(count)
         return 1 / (1 + np.exp(-np.clip(out, -35, 35)))
 
 
@@ -108,7 +111,7 @@ def fit_ftrl(rows: list[tuple[np.ndarray, np.ndarray]], labels: np.ndarray, bits
 def _feature_columns(texts: list[str], bits: int) -> tuple[list, list]:
     memo: dict[str, int] = {}
     rows = [features(t, bits, memo) for t in texts]
-    return [r[0] for r in rows], [r[1] for r in rows]
+    return [r[0].astype(np.int32) for r in rows], [r[1].astype(np.int32) for r in rows]
 
 
 def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, use: Column | None, max_rows: int, id_col: str = "doc_id") -> DataFrame:
@@ -124,14 +127,16 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, use: Column
     return docs.select(F.col(id_col).alias("__id"), F.col("text")).join(F.broadcast(drawn), "__id")
 
 
-def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", use: Column | None = None, bits: int = 18, max_rows: int = 6000, default_score: float = 0.5) -> QualityModel:
+def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", use: Column | None = None, bits: int = 18, max_rows: int = 3000, default_score: float = 0.5) -> QualityModel:
     """Fit on a bounded sample of labelled rows (``max_rows``); ``use`` filters rows by their id."""
     sample = labelled_sample(docs, labels, label, use, max_rows)
-    kinds = [("where", T.ArrayType(T.LongType())), ("value", T.ArrayType(T.DoubleType()))]
+    kinds = [("where", T.ArrayType(T.IntegerType())), ("count", T.ArrayType(T.IntegerType()))]
     got = common.with_text_columns(sample, "text", partial(_feature_columns, bits=bits), kinds, keep=["__id", "__label"]).toPandas()
     got = got.sort_values(["__id", "__label"], kind="stable")
-    rows = [(np.asarray(a, np.int64), np.asarray(b, float)) for a, b in zip(got["where"], got["value"], strict=True)]
-    return fit_ftrl(rows, got["__label"].to_numpy(dtype=float), bits, default_score=default_score)
+    rows = [(np.asarray(a, np.int64), values(np.asarray(b))) for a, b in zip(got["where"], got["count"], strict=True)]
+    labels_of = got["__label"].to_numpy(dtype=float)
+    del got
+    return fit_ftrl(rows, labels_of, bits, default_score=default_score)
 
 
 def _scored(texts: list[str], model: QualityModel) -> list[np.ndarray]:
