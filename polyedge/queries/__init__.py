@@ -1,7 +1,7 @@
 """Registered queries: callables of (spark, sf_dir) and, where SQL can say the same, DuckDB SQL."""
 
-from polyedge.queries import methods, panels, relational, workloads
+from polyedge.queries import methods, panels, relational, surface, workloads
 
-MODULES = (panels, relational, methods, workloads)
+MODULES = (panels, relational, methods, surface, workloads)
 QUERIES = {k: v for m in MODULES for k, v in m.QUERIES.items()}
 ORACLES = {k: v for m in MODULES for k, v in m.ORACLES.items()}
