@@ -29,9 +29,9 @@ from pyspark.sql import DataFrame, functions as F, types as T
 
 from polyedge.llm import common
 
-MEMO_ENTRIES = 1_500_000
+MEMO_ENTRIES = 1_000_000
 BATCH = 1024
-KNOWN_TEXTS = 200_000
+KNOWN_TEXTS = 100_000
 # fixed values: white space other than the space and the line feed
 OTHER_SPACE = "\t\r\x0b\x0c\x1c\x1d\x1e\x1f\x85\xa0\u1680\u2000\u2001\u2002\u2003\u2004\u2005\u2006\u2007\u2008\u2009\u200a\u2028\u2029\u202f\u205f\u3000"
 
@@ -245,11 +245,14 @@ def pack(piece_rows: DataFrame, capacity: int = 2048, shard_pieces: int = 50_000
     shards = max(1, -(-rows.count() // shard_pieces))
     salted = rows.withColumn("__shard", F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32", F.monotonically_increasing_id()), F.lit(shards)).cast("int"))
     schema = T.StructType([*rows.schema.fields, T.StructField("sequence_id", T.LongType()), T.StructField("offset", T.LongType())])
-    return salted.groupBy("__shard").applyInPandas(partial(_pack_any, capacity=capacity), schema)
+    return salted.groupBy("__shard").applyInPandas(_packer(capacity), schema)
 
 
-def _pack_any(rows: pd.DataFrame, capacity: int) -> pd.DataFrame:
-    return _pack_shard(rows, capacity)
+def _packer(capacity: int):
+    def pack_shard(rows: pd.DataFrame) -> pd.DataFrame:
+        return _pack_shard(rows, capacity)
+
+    return pack_shard
 
 
 def sequences(packed: DataFrame) -> DataFrame:
