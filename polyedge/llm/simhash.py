@@ -22,6 +22,8 @@ as any other; one or two words make a single shingle; repeated rows each get the
 
 from __future__ import annotations
 
+import hashlib
+import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
 from functools import cache, partial
@@ -261,7 +263,106 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     return rows.join(classes, "fp").select(id_col, "fp", "component_id")
 
 
-def keep_one(docs: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
+# ---------------------------------------------------------------- similarity of 0.8 and more
+
+PART_BITS, LONGEST_PART = 8, 64
+
+
+def normal_words(text: str) -> list[bytes]:
+    return text.encode("utf-8", "surrogatepass").lower().split()
+
+
+def parts(words: list[bytes]) -> list[int]:
+    """XXH64 of the parts of a text: a part ends after a word whose hash says so, so an edit changes
+    the part it stands in and leaves the others."""
+    out, at = [], 0
+    for i, w in enumerate(words):
+        if zlib.crc32(w) % PART_BITS == 0 or i - at + 1 == LONGEST_PART:
+            if i - at >= 3:
+                out.append(xxhash.xxh64_intdigest(b" ".join(words[at : i + 1]), 7))
+            at = i + 1
+    if len(words) - at >= 4 or not out:
+        out.append(xxhash.xxh64_intdigest(b" ".join(words[at:] if out else words), 7))
+    return sorted(set(out)) if words else []
+
+
+def shingle_set(words: list[bytes], k: int) -> set[bytes]:
+    if not words:
+        return set()
+    return {b" ".join(words[i : i + k]) for i in range(max(1, len(words) - k + 1))}
+
+
+def similarity(a: str, b: str, k: int = 5) -> float:
+    """Jaccard similarity of the word shingle sets; two texts without words are alike."""
+    x, y = shingle_set(normal_words(a), k), shingle_set(normal_words(b), k)
+    return len(x & y) / len(x | y) if x or y else 1.0
+
+
+def _described(texts: list[str], words: int) -> list[list]:
+    digest, fp, n, held = [], [], [], []
+    for t in texts:
+        w = normal_words(t)
+        digest.append(hashlib.blake2b(b" ".join(w), digest_size=16).hexdigest())
+        fp.append(fingerprint(t, words))
+        n.append(max(0, len(w) - words + 1) or min(1, len(w)))
+        held.append(_signed(parts(w)))
+    return [digest, _signed(fp), n, held]
+
+
+def _verified(batches: Iterator[pa.RecordBatch], words: int, at_least: float) -> Iterator[pa.RecordBatch]:
+    for b in batches:
+        on = [similarity(x or "", y or "", words) >= at_least - 1e-12 for x, y in zip(b.column(2).to_pylist(), b.column(3).to_pylist(), strict=True)]
+        yield pa.RecordBatch.from_arrays([c.filter(pa.array(on, pa.bool_())) for c in b.columns[:2]], names=["a", "b"])
+
+
+def similar_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, at_least: float = 0.8, bits: int = 22, cap: int = 512) -> DataFrame:
+    """One row per document: id and ``component_id``, linking texts whose similarity is ``at_least``.
+
+    Texts with equal words are one node.  Nodes meet where their fingerprints share an anchor (two
+    bits), or where they share a part: copies edited up to a similarity of 0.8 lie up to 14 bits
+    apart, beyond what a covering code reaches, but keep most of their parts.  At a part each node is
+    paired with three others (the first, the last and one drawn by hash), so pairs stay linear in the
+    number of parts however many documents share one.  Pairs whose fingerprints differ in more than
+    ``bits``, or whose sizes rule the similarity out, go; every other pair is compared exactly.
+    """
+    fields = [("digest", T.StringType()), ("fp", T.LongType()), ("n", T.LongType()), ("parts", T.ArrayType(T.LongType()))]
+    rows = common.cut(common.with_text_columns(docs.select(F.col(id_col).alias("__id"), F.col(text_col).alias("__text")), "__text", partial(_described, words=words), fields, keep=["__id"]))
+    nodes = rows.groupBy("digest").agg(F.min("__id").alias("node"), F.min("fp").alias("fp"), F.min("n").alias("n"))
+    node_rows = rows.join(nodes.select("digest", F.col("node").alias("__id")), ["digest", "__id"], "left_semi").select(F.col("__id").alias("node"), "parts").dropDuplicates(["node"])
+    info = common.cut(nodes.where("node IS NOT NULL").select("node", "fp", "n"))
+    held = node_rows.where("node IS NOT NULL").select("node", F.explode("parts").alias("part"))
+    seed = F.xxhash64("node", F.lit(3))
+    ends = held.groupBy("part").agg(F.count("*").alias("m"), F.min("node").alias("e1"), F.max("node").alias("e2"), F.min_by("node", seed).alias("e3")).where("m > 1")
+    at_part = held.join(ends, "part").select(F.col("node").alias("a"), F.explode(F.array("e1", "e2", "e3")).alias("b"))
+    near = links(info.select("fp").distinct(), 2, cap)
+    by_fp = info.groupBy("fp").agg(F.min("node").alias("first"))
+    same = info.join(by_fp, "fp").select(F.col("node").alias("a"), F.col("first").alias("b"))
+    close = near.join(by_fp.select(F.col("fp").alias("a"), F.col("first").alias("na")), "a").join(by_fp.select(F.col("fp").alias("b"), F.col("first").alias("nb")), "b").select(F.col("na").alias("a"), F.col("nb").alias("b"))
+    pairs = at_part.unionByName(same).unionByName(close).where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    left, right = info.toDF("a", "fa", "na"), info.toDF("b", "fb", "nb")
+    fit = (F.bit_count(F.col("fa").bitwiseXOR(F.col("fb"))) <= bits) & (F.least("na", "nb") >= F.greatest("na", "nb") * (at_least * at_least))
+    pairs = common.cut(pairs.join(left, "a").join(right, "b").where(fit).select("a", "b"))
+    used = pairs.select(F.explode(F.array("a", "b")).alias("__id")).distinct()
+    texts = docs.select(F.col(id_col).alias("__id"), F.col(text_col).cast("string").alias("t")).join(used, "__id", "left_semi").dropDuplicates(["__id"])
+    both = pairs.join(texts.select(F.col("__id").alias("a"), F.col("t").alias("ta")), "a").join(texts.select(F.col("__id").alias("b"), F.col("t").alias("tb")), "b").select("a", "b", "ta", "tb")
+    edges = both.mapInArrow(partial(_verified, words=words, at_least=at_least), "a long, b long")
+    found = components(edges)
+    classes = nodes.join(found, nodes.node == found.node, "left").select("digest", F.coalesce("root", nodes.node).alias("component_id"))
+    return rows.join(classes, "digest").select(F.col("__id").alias(id_col), "component_id")
+
+
+def _kept(docs: DataFrame, classes: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """Rows whose id is the smallest of its class, one for each id; rows without an id by equal text."""
+    kept = classes.where(F.col(id_col) == F.col("component_id")).select(id_col).distinct()
+    named = docs.join(kept, id_col, "left_semi").select(*docs.columns).dropDuplicates([id_col])
+    return named.unionByName(docs.where(F.col(id_col).isNull()).dropDuplicates([text_col]))
+
+
+def keep_similar(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
+    """Of each group of similar texts the document with the smallest id; of rows that share it, one."""
+    return _kept(docs, similar_documents(docs, id_col, text_col, **options), id_col, text_col)
+
+
+def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """The documents whose id is the smallest of their component; of rows that share that id, one."""
-    kept = near_duplicates(docs, id_col, **options).where(F.col(id_col).eqNullSafe(F.col("component_id"))).select(id_col).distinct()
-    return docs.join(kept, id_col, "left_semi").dropDuplicates([id_col])
+    return _kept(docs, near_duplicates(docs, id_col, text_col, **options), id_col, text_col)

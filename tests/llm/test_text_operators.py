@@ -259,6 +259,49 @@ def test_simhash_cases(spark, docs, none):
     assert kept.where("text = 'a b c' OR text = 'A B C'").count() == 1
 
 
+def test_similar_documents_equal_brute_force(spark, sf):
+    rng = random.Random(12)
+    rows = [(r.doc_id, r.text) for r in spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text").collect()]
+    base = [t for _, t in rows if len(t.split()) > 60][:30]
+    for k, t in enumerate(base):
+        for v in range(3):
+            w = t.split()
+            for _ in range(max(1, len(w) // (45 + 30 * v))):
+                w[rng.randrange(len(w))] = f"edit{rng.randrange(10**6)}"
+            rows.append((10_000 + 10 * k + v, " ".join(w)))
+    d = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: r.component_id for r in simhash.similar_documents(d).collect()}
+    sets = [simhash.shingle_set(simhash.normal_words(t), 5) for _, t in rows]
+    root = list(range(len(rows)))
+
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for i in range(len(rows)):
+        for j in range(i):
+            x, y = sets[i], sets[j]
+            if min(len(x), len(y)) >= 0.8 * max(len(x), len(y)) and (not x and not y or len(x & y) >= 0.8 * len(x | y)):
+                a, b = sorted((find(i), find(j)))
+                root[b] = a
+    want = {}
+    for i, (k, _) in enumerate(rows):
+        want.setdefault(find(i), []).append(k)
+    want = {k: min(v) for v in want.values() for k in v}
+    assert got == want and sum(k != v for k, v in want.items()) > 40
+
+
+def test_similar_document_cases(spark, docs, none):
+    got = simhash.similar_documents(docs).where("doc_id IS NOT NULL").collect()
+    by = {r.doc_id: r.component_id for r in got}
+    assert by[0] == by[1] == by[2] == by[3] == 0 and by[8] == by[9] == 8 and by[6] == by[7] == 6
+    kept = simhash.keep_similar(docs)
+    assert kept.columns == docs.columns and kept.where("doc_id IS NULL").count() == 1
+    assert simhash.similar_documents(none).count() == 0 and simhash.keep_similar(none).count() == 0
+    assert simhash.keep_similar(docs.limit(1)).count() == 1
+
+
 # ------------------------------------------------------------------ packing
 
 
