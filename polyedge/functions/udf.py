@@ -31,9 +31,9 @@ def score_windows(params: dict, cfg):
     return f
 
 
-@udtf(returnType=T.StructType([T.StructField("tick", T.LongType()), T.StructField("j", T.IntegerType()), T.StructField("x", T.DoubleType())]))
+@udtf(returnType=T.StructType([T.StructField("sensor_id", T.IntegerType()), T.StructField("tick", T.LongType()), T.StructField("j", T.IntegerType()), T.StructField("x", T.DoubleType())]))
 class LagWindows:
-    """Rows of one partition, ordered by tick, to the (tick, j, x) of their windows of five."""
+    """Rows of one sensor, ordered by tick, to the (sensor_id, tick, j, x) of their windows of five."""
 
     WIDTH = 5
 
@@ -43,7 +43,7 @@ class LagWindows:
     def eval(self, row):
         if len(self.ring) == self.WIDTH:
             for j, x in enumerate(self.ring):
-                yield row["tick"], j, x
+                yield row["sensor_id"], row["tick"], j, x
         self.ring = [*self.ring[-(self.WIDTH - 1) :], row["value"]]
 
 

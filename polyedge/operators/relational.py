@@ -29,8 +29,8 @@ def anti(left: DataFrame, right: DataFrame, on) -> DataFrame:
 
 
 def theta(left: DataFrame, right: DataFrame, cond: Column | str) -> DataFrame:
-    """Nested loop on a side of known small size (nodes, schedules)."""
-    return left.join(F.broadcast(right), F.expr(cond) if isinstance(cond, str) else cond)
+    """Join on any condition; a side is broadcast only under the session's size bound."""
+    return left.join(right, F.expr(cond) if isinstance(cond, str) else cond)
 
 
 def interval_join(points: DataFrame, spans: DataFrame, at: str, lo: str, hi: str, bucket: int) -> DataFrame:

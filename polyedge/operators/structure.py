@@ -10,9 +10,10 @@ from polyedge.functions import algebra as A
 
 
 def pair_distances(nodes: DataFrame) -> DataFrame:
-    """(i, j, dist) for i <> j.  ``nodes`` (sensor_id, z) is bounded by the sensor list."""
+    """(i, j, dist) for i <> j: n squared rows, for sensor lists.  Spark broadcasts a side only if its
+    size is under the session's bound; for very many nodes use ``knn_lsh``."""
     a, b = nodes.select(F.col("sensor_id").alias("i"), F.col("z").alias("zi")), nodes.select(F.col("sensor_id").alias("j"), F.col("z").alias("zj"))
-    return a.join(F.broadcast(b), F.col("i") != F.col("j")).select("i", "j", A.distance(F.col("zi"), F.col("zj")).alias("dist"))
+    return a.join(b, F.col("i") != F.col("j")).select("i", "j", A.distance(F.col("zi"), F.col("zj")).alias("dist"))
 
 
 def knn(dist: DataFrame, k: int) -> DataFrame:

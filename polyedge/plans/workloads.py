@@ -209,12 +209,13 @@ def wk_sweep(spark: SparkSession, sf_dir: str, preset: str = "telemetry25", ws:
     return got.select(parts[0].cast("int").alias("w"), parts[1].cast("int").alias("k"), *[F.round(c, 4).alias(c) for c in ("precision", "recall", "f1")])
 
 
-def forecast_vs_truth(spark: SparkSession, sf_dir: str, preset: str = "telemetry25", sensors: tuple[int, ...] = (0, 1, 2)) -> DataFrame:
+def forecast_vs_truth(spark: SparkSession, sf_dir: str, preset: str = "telemetry25", sensors: tuple[int, ...] | None = None) -> DataFrame:
     p, _, _, _, n, start = injected(spark, sf_dir, preset)
     f, _ = fitted_forecast(p, config(preset, n), start)
     _, ticks, threshold = V.detect(f)
     flags = V.flag(ticks, threshold).select("tick", "flag")
-    return f.where(F.col("sensor_id").isin(*sensors)).join(flags, "tick", "left").select("tick", "sensor_id", F.round("y", 6).alias("y"), F.round("y_hat", 6).alias("y_hat"), "flag")
+    rows = f.where(F.col("sensor_id").isin(*sensors)) if sensors else f
+    return rows.join(flags, "tick", "left").select("tick", "sensor_id", F.round("y", 6).alias("y"), F.round("y_hat", 6).alias("y_hat"), "flag")
 
 
 def case_study(spark: SparkSession, sf_dir: str) -> dict:

@@ -19,7 +19,7 @@ from polyedge.sources import table
 
 # ------------------------------------------------------------------ structure
 
-NODES_SQL = "nodes AS (SELECT CAST(vec_id AS INTEGER) AS sensor_id, embedding AS z FROM embeddings WHERE vec_id < 60)"
+NODES_SQL = "nodes AS (SELECT CAST(vec_id AS INTEGER) AS sensor_id, embedding AS z FROM embeddings)"
 DIST_SQL = (
     f"WITH {NODES_SQL}, flat AS (SELECT sensor_id, generate_subscripts(z, 1) AS x, CAST(unnest(z) AS DOUBLE) AS v FROM nodes), "
     "dist AS (SELECT a.sensor_id AS i, b.sensor_id AS j, sqrt(sum((a.v - b.v) * (a.v - b.v) ORDER BY a.x)) AS dist FROM flat a JOIN flat b ON a.x = b.x AND a.sensor_id <> b.sensor_id GROUP BY 1, 2), "
@@ -28,42 +28,42 @@ DIST_SQL = (
 )
 
 
-def nodes60(spark, d):
-    """The nodes of the structure queries: their output is n squared, so the node list is fixed at 60."""
-    return table(configure(spark), d, "embeddings", ["vec_id", "embedding"], "vec_id < 60").select(F.col("vec_id").cast("int").alias("sensor_id"), F.transform("embedding", lambda x: x.cast("double")).alias("z"))
+def embedding_nodes(spark, d):
+    """Every vector as a node with its embedding."""
+    return table(configure(spark), d, "embeddings", ["vec_id", "embedding"]).select(F.col("vec_id").cast("int").alias("sensor_id"), F.transform("embedding", lambda x: x.cast("double")).alias("z"))
 
 
 def q_pair_distance(spark, d):
-    return S.pair_distances(nodes60(spark, d)).select("i", "j", F.round("dist", 6).alias("dist"))
+    return S.pair_distances(embedding_nodes(spark, d)).select("i", "j", F.round("dist", 6).alias("dist"))
 
 
 def q_knn_members(spark, d):
-    return S.uniform_members(nodes60(spark, d), 5).select("edge_id", "sensor_id", "rank")
+    return S.uniform_members(embedding_nodes(spark, d), 5).select("edge_id", "sensor_id", "rank")
 
 
 def q_members_union(spark, d):
-    return S.build(nodes60(spark, d), k=5, symmetry="union")
+    return S.build(embedding_nodes(spark, d), k=5, symmetry="union")
 
 
 def q_members_mutual(spark, d):
-    return S.build(nodes60(spark, d), k=5, symmetry="mutual")
+    return S.build(embedding_nodes(spark, d), k=5, symmetry="mutual")
 
 
 def q_pair_edges(spark, d):
-    return S.build(nodes60(spark, d), "pair")
+    return S.build(embedding_nodes(spark, d), "pair")
 
 
 def q_irregular_edges(spark, d):
-    return S.build(nodes60(spark, d), "irregular", temperature=0.2, seed=1)
+    return S.build(embedding_nodes(spark, d), "irregular", temperature=0.2, seed=1)
 
 
 def q_neighbourhoods(spark, d):
-    n = S.neighbourhoods(S.build(nodes60(spark, d), k=5))
+    n = S.neighbourhoods(S.build(embedding_nodes(spark, d), k=5))
     return n.select("node", F.array_join("members", ",").alias("members"), F.array_join("local", ",").alias("local"), F.array_join("edges", ",").alias("edges"), "cardinality", "degree")
 
 
 def q_dense_incidence(spark, d):
-    return S.dense_incidence(S.build(nodes60(spark, d), k=5), 60).select("sensor_id", F.array_join("row", "").alias("row"))
+    return S.dense_incidence(S.build(nodes := embedding_nodes(spark, d), k=5), nodes.count()).select("sensor_id", F.array_join("row", "").alias("row"))
 
 
 def _noise(salt: int) -> str:
@@ -353,7 +353,7 @@ def q_cross_entropy(spark, d):
 # ------------------------------------------------------------------ traces
 
 def q_trace_khop(spark, d):
-    members = S.build(nodes60(spark, d), k=5)
+    members = S.build(embedding_nodes(spark, d), k=5)
     roots = spark.createDataFrame([(0,), (17,), (42,)], "root int")
     t = G.propagate(members, roots, 3)
     return t.select("root", "hop", "to_id")
@@ -388,7 +388,7 @@ ORACLES = {
     "q_pair_edges": DIST_SQL + " SELECT edge_id, sensor_id FROM members WHERE rank <= 1",
     "q_irregular_edges": DIST_SQL + f" SELECT i AS edge_id, j AS sensor_id FROM dist WHERE -dist / 0.2::DOUBLE + 5.0 + {_noise(1)} > {_noise(2)} UNION ALL SELECT sensor_id, sensor_id FROM nodes",
     "q_neighbourhoods": DIST_SQL + ", e AS (SELECT edge_id AS node, list_sort(list(sensor_id)) AS m FROM members GROUP BY 1), g AS (SELECT sensor_id AS node, list_sort(list(edge_id)) AS e FROM members GROUP BY 1) SELECT node, array_to_string(m, ',') AS members, array_to_string(list_filter(m, lambda x: x <> node), ',') AS local, array_to_string(e, ',') AS edges, CAST(len(m) AS INTEGER) AS cardinality, CAST(len(e) AS INTEGER) AS degree FROM e JOIN g USING (node)",
-    "q_dense_incidence": DIST_SQL + " SELECT s.sensor_id, string_agg(CASE WHEN m.edge_id IS NULL THEN '0' ELSE '1' END, '' ORDER BY p.p) AS row FROM nodes s CROSS JOIN (SELECT unnest(range(0, 60)) AS p) p LEFT JOIN members m ON m.sensor_id = s.sensor_id AND m.edge_id = p.p GROUP BY 1",
+    "q_dense_incidence": DIST_SQL + " SELECT s.sensor_id, string_agg(CASE WHEN m.edge_id IS NULL THEN '0' ELSE '1' END, '' ORDER BY p.p) AS row FROM nodes s CROSS JOIN (SELECT unnest(range(0, (SELECT count(*) FROM nodes))) AS p) p LEFT JOIN members m ON m.sensor_id = s.sensor_id AND m.edge_id = p.p GROUP BY 1",
     "q_pe_sinusoid": "SELECT CAST(i AS INTEGER) AS i, CAST(j AS INTEGER) AS j, round(CASE WHEN j % 2 = 0 THEN sin(i / pow(10000.0::DOUBLE, 2 * (j // 2) / 60.0::DOUBLE)) ELSE cos(i / pow(10000.0::DOUBLE, 2 * (j // 2) / 60.0::DOUBLE)) END, 6) AS v FROM (SELECT unnest(range(0, 25)) AS i) CROSS JOIN (SELECT unnest(range(0, 60)) AS j)",
     "q_pe_neighbourhood": _out(f"CAST(i AS INTEGER) AS i, CAST(j AS INTEGER) AS j, round((p + coalesce(l, p) + g) / 3, 6) AS v FROM (SELECT n.i, j.j, {fw('pos', 'n.i', 'j.j')} AS p, (SELECT avg({fw('pos', 'mem.i', 'j.j')}) FROM mem WHERE mem.p = n.i AND mem.i <> n.i) AS l, (SELECT avg({fw('pos', 'mem.p', 'j.j')}) FROM mem WHERE mem.i = n.i) AS g FROM (SELECT unnest(range(0, 6)) AS i) n CROSS JOIN (SELECT unnest(range(0, 5)) AS j) j)"),
     "q_conv_member_attention": _c("alpha"),

@@ -25,8 +25,8 @@ def q_udaf_iqr(spark, d):
 def q_udtf_windows(spark, d):
     ship(spark)
     spark.udtf.register("lag_windows", udf.LagWindows)
-    P.panel(configure(spark), d, "flag_status").where("sensor_id = 0").select("tick", "value").createOrReplaceTempView("one_sensor")
-    return spark.sql("SELECT tick, j, x FROM lag_windows(TABLE(one_sensor) WITH SINGLE PARTITION ORDER BY tick)")
+    P.panel(configure(spark), d, "flag_status").select("sensor_id", "tick", "value").createOrReplaceTempView("sensor_rows")
+    return spark.sql("SELECT sensor_id, tick, j, x FROM lag_windows(TABLE(sensor_rows) PARTITION BY sensor_id ORDER BY tick)")
 
 
 def q_simulated_source(spark, d):
@@ -40,6 +40,6 @@ QUERIES = {k: v for k, v in globals().items() if k.startswith("q_")}
 ORACLES = {
     "q_inline_functions": "SELECT vec_id, round(list_sum(list_transform(embedding, lambda x: CAST(x AS DOUBLE) * CAST(x AS DOUBLE))), 4) AS sq, round(2 * sqrt(list_sum(list_transform(embedding, lambda x: CAST(x AS DOUBLE) * CAST(x AS DOUBLE)))), 4) AS twice FROM embeddings",
     "q_udaf_iqr": "SELECT event_type, round(quantile_cont(value, 0.75) - quantile_cont(value, 0.25), 6) AS iqr FROM events GROUP BY 1",
-    "q_udtf_windows": f"WITH {panel_sql('flag_status')} SELECT t.tick, CAST(j.j AS INTEGER) AS j, x.value AS x FROM pg t CROSS JOIN (SELECT unnest(range(0, 5)) AS j) j JOIN pg x ON x.sensor_id = t.sensor_id AND x.tick = t.tick - 5 + j.j WHERE t.tick >= 5 AND t.sensor_id = 0",
+    "q_udtf_windows": f"WITH {panel_sql('flag_status')} SELECT t.sensor_id, t.tick, CAST(j.j AS INTEGER) AS j, x.value AS x FROM pg t CROSS JOIN (SELECT unnest(range(0, 5)) AS j) j JOIN pg x ON x.sensor_id = t.sensor_id AND x.tick = t.tick - 5 + j.j WHERE t.tick >= 5",
     "q_simulated_source": "WITH v AS (SELECT i, t, 0.5::DOUBLE + 0.35::DOUBLE * sin(2 * pi() * (t - i // 5) / (12 + 4 * (i % 5))) AS v FROM (SELECT unnest(range(0, 600)) AS t) CROSS JOIN (SELECT unnest(range(0, 7)) AS i)) SELECT CAST(i AS INTEGER) AS sensor_id, count(*) AS n, round(sum(CASE WHEN i = 3 AND t BETWEEN 100 AND 120 THEN 1 - v ELSE v END), 6) AS total FROM v GROUP BY 1",
 }
