@@ -24,9 +24,10 @@ FAULTS = {
     "simulator": (0.8, 1, 40, 40),
     "testbed": (0.5, 38, 1, 3),
 }
-#: width and epochs at which the workloads run as queries; a full run takes d=128 and 100 epochs
-LIGHT = {"d": 8, "w": 10}
-EPOCHS, RATE = 12, 5e-3
+#: width, window and epochs at which the workloads run as queries; a full run takes d=128 and 100 epochs
+LIGHT = {"d": 8}
+WINDOW = {"plant": 20, "network": 20}
+EPOCHS, RATE = 50, 1e-2
 
 
 def injected(spark: SparkSession, sf_dir: str, preset: str) -> tuple[DataFrame, DataFrame, list[I.Fault], int, int, float]:
@@ -45,8 +46,8 @@ def injected(spark: SparkSession, sf_dir: str, preset: str) -> tuple[DataFrame,
 
 
 def config(preset: str, n: int, **change) -> ModelConfig:
-    _, _, w, k, _ = PRESETS[preset]
-    base = {"n": n, "w": w, "k": k} | LIGHT | change
+    k = PRESETS[preset][3]
+    base = {"n": n, "w": WINDOW.get(preset, 10), "k": k} | LIGHT | change
     return ModelConfig(**base).capped()
 
 
