@@ -123,7 +123,7 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, use: Column
     drawn = labels.select(F.col(id_col).alias("__id"), F.col(label).cast("int").alias("__label")).where(F.col("__label").isin(0, 1) & F.col("__id").isNotNull())
     if use is not None:
         drawn = drawn.withColumnRenamed("__id", id_col).where(use).withColumnRenamed(id_col, "__id")
-    drawn = drawn.orderBy(F.xxhash64("__id"), "__id", "__label").limit(max_rows)
+    drawn = common.draw(drawn, "__id", max_rows)
     return docs.select(F.col(id_col).alias("__id"), F.col("text")).join(F.broadcast(drawn), "__id")
 
 

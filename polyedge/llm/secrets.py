@@ -14,10 +14,12 @@ import hashlib
 import random
 import re
 import string
+from collections.abc import Iterator
 from dataclasses import dataclass
 from functools import partial
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F, types as T
 
 from polyedge.llm import common
@@ -54,12 +56,9 @@ class MarkovModel:
     log_p: np.ndarray
 
     @classmethod
-    def train(cls, samples: list[str], smooth: float = 0.5) -> MarkovModel:
-        k = len(ALPHABET)
-        counts = np.full((k + 1, k + 1), smooth)
-        for s in samples:
-            x = encode(s)
-            np.add.at(counts, (np.concatenate([[k], x[:-1]]), x), 1)
+    def train(cls, samples: list[str], smooth: float = 0.5, more: np.ndarray | None = None) -> MarkovModel:
+        """From samples and, if given, a matrix of further transition counts."""
+        counts = transitions(samples) + smooth + (0 if more is None else more)
         return cls(np.log(counts / counts.sum(1, keepdims=True)))
 
     def log_likelihood(self, x: np.ndarray) -> float:
@@ -70,6 +69,15 @@ def encode(s: str) -> np.ndarray:
     return INDEX[np.minimum(np.frombuffer(s.encode("utf-32-le", "surrogatepass"), np.uint32), 127)]
 
 
+def transitions(samples: list[str]) -> np.ndarray:
+    k = len(ALPHABET)
+    counts = np.zeros((k + 1, k + 1))
+    for s in samples:
+        x = encode(s)
+        np.add.at(counts, (np.concatenate([[k], x[:-1]]), x), 1)
+    return counts
+
+
 @dataclass
 class SecretModel:
     ratio: np.ndarray  # log-probability of random strings less that of identifiers
@@ -113,8 +121,8 @@ def default_samples(seed: int = 11, each: int = 1500) -> tuple[list[str], list[s
     return rand, ident
 
 
-def fit(random_strings: list[str], identifiers: list[str], total: float = 14.0, per_char: float = 0.55) -> SecretModel:
-    a, b = MarkovModel.train(random_strings), MarkovModel.train(identifiers)
+def fit(random_strings: list[str], identifiers: list[str], total: float = 14.0, per_char: float = 0.55, more: np.ndarray | None = None) -> SecretModel:
+    a, b = MarkovModel.train(random_strings), MarkovModel.train(identifiers, more=more)
     return SecretModel(a.log_p - b.log_p, total, per_char)
 
 
@@ -134,10 +142,22 @@ def ordinary_words(texts: list[str]) -> list[str]:
 
 
 def fit_on(docs: DataFrame, sample_docs: int = 200) -> SecretModel:
-    """Default samples plus the words of at most ``sample_docs`` documents (lowest text hash)."""
-    drawn = docs.select("text").where(F.length("text").between(1, 20_000)).orderBy(F.xxhash64("text")).limit(sample_docs)
-    rand, ident = default_samples()
-    return fit(rand, ident + ordinary_words([r[0] for r in drawn.collect()]))
+    """Default samples plus the words of at most ``sample_docs`` documents, those whose id hashes lowest."""
+    drawn = common.draw(docs.select("doc_id", "text"), "doc_id", sample_docs).select(F.col("text").cast("string"))
+    common.ship(docs.sparkSession)
+    counts = drawn.mapInArrow(_word_transitions, "n array<double>").collect()
+    k = len(ALPHABET) + 1
+    more = sum((np.array(r["n"]).reshape(k, k) for r in counts), np.zeros((k, k)))
+    return fit(*default_samples(), more=more)
+
+
+def _word_transitions(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Transition counts of the ordinary words of all texts of one task."""
+    total = np.zeros((len(ALPHABET) + 1,) * 2)
+    for b in batches:
+        for t in b.column(0).to_pylist():
+            total += transitions(ordinary_words([t or ""]))
+    yield pa.RecordBatch.from_arrays([pa.array([total.ravel()])], names=["n"])
 
 
 def _columns(texts: list[str], model: SecretModel) -> list[list]:
