@@ -21,7 +21,7 @@ def propagate(members: DataFrame, roots: DataFrame, hops: int | None = None, cut
     of several ways in, the one by the smallest edge and sender stays.  Without ``hops`` it runs to
     the fixed point.  Members are bounded by the sensor list and broadcast.
     """
-    m = members.select("edge_id", "sensor_id").distinct()
+    m = materialise(members.select("edge_id", "sensor_id").distinct())
     into = F.broadcast(m.select("edge_id", F.col("sensor_id").alias("from_id")))
     out_of = F.broadcast(m.select("edge_id", F.col("sensor_id").alias("to_id")))
     seen = roots.select("root", F.col("root").alias("node")).distinct()

@@ -4,16 +4,29 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import DataFrame, Window, functions as F
+from pyspark.sql import Column, DataFrame, Window, functions as F
 
 from polyedge.functions import algebra as A
 
 
-def pair_distances(nodes: DataFrame) -> DataFrame:
+def pair_distances(nodes: DataFrame, d: int | None = None) -> DataFrame:
     """(i, j, dist) for i <> j: n squared rows, for sensor lists.  Spark broadcasts a side only if its
     size is under the session's bound; for very many nodes use ``knn_lsh``."""
+    if d is None:
+        d = nodes.agg(F.max(F.size("z"))).first()[0] or 0
     a, b = nodes.select(F.col("sensor_id").alias("i"), F.col("z").alias("zi")), nodes.select(F.col("sensor_id").alias("j"), F.col("z").alias("zj"))
-    return a.join(b, F.col("i") != F.col("j")).select("i", "j", A.distance(F.col("zi"), F.col("zj")).alias("dist"))
+    return a.join(b, F.col("i") != F.col("j")).select("i", "j", _distance(d).alias("dist"))
+
+
+def _distance(d: int) -> Column:
+    """Distance of ``zi`` and ``zj`` term by term, which compiles where an array lambda would not."""
+    if d > 256:
+        return A.distance(F.col("zi"), F.col("zj"))
+    total = F.lit(0.0)
+    for k in range(d):
+        gap = F.col("zi")[k] - F.col("zj")[k]
+        total = total + gap * gap
+    return F.sqrt(total)
 
 
 def knn(dist: DataFrame, k: int) -> DataFrame:
