@@ -23,7 +23,7 @@ as any other; one or two words make a single shingle; repeated rows each get the
 from __future__ import annotations
 
 import hashlib
-import zlib
+import math
 from collections.abc import Iterator
 from dataclasses import dataclass
 from functools import cache, partial
@@ -265,27 +265,14 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
 # ---------------------------------------------------------------- similarity of 0.8 and more
 
-PART_BITS, LONGEST_PART = 8, 64
+FREQUENT, MOST_FREQUENT, CELL, MARKS = 16, 200_000, 512, 8
+SPREAD = np.uint64(0x9E3779B97F4A7C15)
 
 
 def normal_words(text: str) -> list[bytes]:
     return text.encode("utf-8", "surrogatepass").lower().split()
 
 
-def parts(words: list[bytes]) -> list[int]:
-    """XXH64 of the parts of a text: a part ends after a word whose hash says so, so an edit changes
-    the part it stands in and leaves the others."""
-    out, at = [], 0
-    for i, w in enumerate(words):
-        if zlib.crc32(w) % PART_BITS == 0 or i - at + 1 == LONGEST_PART:
-            if i - at >= 3:
-                out.append(xxhash.xxh64_intdigest(b" ".join(words[at : i + 1]), 7))
-            at = i + 1
-    if len(words) - at >= 4 or not out:
-        out.append(xxhash.xxh64_intdigest(b" ".join(words[at:] if out else words), 7))
-    return sorted(set(out)) if words else []
-
-
 def shingle_set(words: list[bytes], k: int) -> set[bytes]:
     if not words:
         return set()
@@ -298,15 +285,81 @@ def similarity(a: str, b: str, k: int = 5) -> float:
     return len(x & y) / len(x | y) if x or y else 1.0
 
 
-def _described(texts: list[str], words: int) -> list[list]:
-    digest, fp, n, held = [], [], [], []
+def shingle_keys(words: list[bytes], k: int) -> np.ndarray:
+    """Sorted 64-bit hashes of the shingle set."""
+    if not words:
+        return np.empty(0, np.uint64)
+    h = np.fromiter(map(xxhash.xxh64_intdigest, words), np.uint64, len(words))
+    n = max(1, len(h) - k + 1)
+    x = np.zeros(n, np.uint64)
+    for i in range(min(k, len(h))):
+        x = x * SPREAD + h[i : i + n]
+        x ^= x >> np.uint64(29)
+    return np.unique(x * SPREAD)
+
+
+@dataclass(frozen=True)
+class Frequent:
+    """Keys that many documents hold (sorted) and how many: they come last in the order of keys."""
+
+    keys: np.ndarray
+    counts: np.ndarray
+
+    def of(self, h: np.ndarray) -> np.ndarray:
+        if not len(self.keys):
+            return np.zeros(len(h), np.int64)
+        at = np.minimum(np.searchsorted(self.keys, h), len(self.keys) - 1)
+        return np.where(self.keys[at] == h, self.counts[at], 0)
+
+
+NONE_FREQUENT = Frequent(np.empty(0, np.uint64), np.empty(0, np.int64))
+
+
+def first_keys(h: np.ndarray, at_least: float, frequent: Frequent = NONE_FREQUENT) -> np.ndarray:
+    """The first keys in one order of all keys, so many that two sets of similarity ``at_least`` share one.
+
+    Such sets share at least ``at_least`` of the keys of either, so the first key that they share
+    has no more than the others before it.
+    """
+    if not len(h):
+        return h
+    many = len(h) - math.ceil(at_least * len(h) - 1e-6) + 1
+    return h[np.lexsort((h, frequent.of(h)))[:many]] if len(frequent.keys) else h[:many]
+
+
+def _emit_first(batches: Iterator[pa.RecordBatch], words: int, at_least: float) -> Iterator[pa.RecordBatch]:
+    for b in batches:
+        for i in range(0, b.num_rows, 500):
+            found = [first_keys(shingle_keys(normal_words(t or ""), words), at_least) for t in b.column(0).slice(i, 500).to_pylist()]
+            yield _batch(["key"], np.concatenate(found))
+
+
+def marks(h: np.ndarray) -> np.ndarray:
+    """Parity of the number of keys at each of 512 places: two sets differ in at least as many keys as marks."""
+    return np.packbits(np.bincount((h & np.uint64(64 * MARKS - 1)).astype(np.int64), minlength=64 * MARKS) & 1, bitorder="little").view(np.int64)
+
+
+def frequent_keys(texts: DataFrame, words: int, at_least: float) -> Frequent:
+    """The keys found first in the most texts.  They set the order of the keys, and with it the
+    number of candidates, never which pairs are similar: so their number may be bounded."""
+    common.ship(texts.sparkSession)
+    seen = texts.mapInArrow(partial(_emit_first, words=words, at_least=at_least), "key long")
+    top = seen.groupBy("key").count().where(F.col("count") > FREQUENT).orderBy(F.desc("count"), "key").limit(MOST_FREQUENT).toArrow()
+    keys, counts = top.column(0).to_numpy().view(np.uint64), top.column(1).to_numpy()
+    order = np.argsort(keys)
+    return Frequent(keys[order], counts[order])
+
+
+def _described(texts: list[str], words: int, at_least: float, frequent: Frequent) -> list[list]:
+    digest, n, mark, first = [], [], [], []
     for t in texts:
         w = normal_words(t)
+        h = shingle_keys(w, words)
         digest.append(hashlib.blake2b(b" ".join(w), digest_size=16).hexdigest())
-        fp.append(fingerprint(t, words))
-        n.append(max(0, len(w) - words + 1) or min(1, len(w)))
-        held.append(_signed(parts(w)))
-    return [digest, _signed(fp), n, held]
+        n.append(len(h))
+        mark.append(marks(h))
+        first.append(first_keys(h, at_least, frequent).view(np.int64))
+    return [digest, n, mark, first]
 
 
 def _verified(batches: Iterator[pa.RecordBatch], words: int, at_least: float) -> Iterator[pa.RecordBatch]:
@@ -315,40 +368,106 @@ def _verified(batches: Iterator[pa.RecordBatch], words: int, at_least: float) ->
         yield pa.RecordBatch.from_arrays([c.filter(pa.array(on, pa.bool_())) for c in b.columns[:2]], names=["a", "b"])
 
 
-def similar_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, at_least: float = 0.8, bits: int = 22, cap: int = 512) -> DataFrame:
-    """One row per document: id and ``component_id``, linking texts whose similarity is ``at_least``.
+def _cell_pairs(cell: np.ndarray, block: np.ndarray, inner: np.ndarray, node: np.ndarray, root: np.ndarray, n: np.ndarray, pos: np.ndarray, *mark: np.ndarray, at_least: float) -> tuple[np.ndarray, np.ndarray]:
+    """Pairs of the same cell that may be similar and are not linked yet.
 
-    Texts with equal words are one node.  Nodes meet where their fingerprints share an anchor (two
-    bits), or where they share a part: copies edited up to a similarity of 0.8 lie up to 14 bits
-    apart, beyond what a covering code reaches, but keep most of their parts.  At a part each node is
-    paired with three others (the first, the last and one drawn by hash), so pairs stay linear in the
-    number of parts however many documents share one.  Pairs whose fingerprints differ in more than
-    ``bits``, or whose sizes rule the similarity out, go; every other pair is compared exactly.
+    Where the key is the first that both hold, they share no more than it and what follows it in
+    either; the pair needs at_least/(1+at_least) of both sizes together, and differs in the rest.
+    """
+    at, lag, left, right = np.arange(len(cell)), 1, [], []
+    need, mark = at_least / (1 + at_least), np.stack(mark, 1).view(np.uint64)
+    while len(at := at[at + lag < len(cell)]) and len(at := at[cell[at] == cell[at + lag]]):
+        to = at + lag
+        on = (root[at] != root[to]) & ((inner[at] & inner[to]) | (block[at] != block[to]))
+        on &= np.minimum(n[at], n[to]) >= at_least * np.maximum(n[at], n[to]) - 1e-6
+        on &= np.minimum(n[at] - pos[at], n[to] - pos[to]) >= need * (n[at] + n[to]) - 1e-6
+        a, b = at[on], to[on]
+        on = np.bitwise_count(mark[a] ^ mark[b]).sum(1) <= (1 - 2 * need + 1e-12) * (n[a] + n[b])
+        left.append(node[a[on]])
+        right.append(node[b[on]])
+        lag += 1
+    if not left:
+        return node[:0], node[:0]
+    x, y = np.concatenate(left), np.concatenate(right)
+    return np.minimum(x, y), np.maximum(x, y)
+
+
+def _compare_cells(batches: Iterator[pa.RecordBatch], at_least: float) -> Iterator[pa.RecordBatch]:
+    """Rows come sorted by cell; the last cell of a batch waits for the next batch."""
+    rest = None
+    for b in batches:
+        new = [c.to_numpy(zero_copy_only=False) for c in b.columns]
+        cols = new if rest is None else [np.concatenate(two) for two in zip(rest, new, strict=True)]
+        cut = int(np.searchsorted(cols[0], cols[0][-1])) if len(cols[0]) else 0
+        yield _batch(["a", "b"], *_cell_pairs(*(c[:cut] for c in cols), at_least=at_least))
+        rest = [c[cut:] for c in cols]
+    if rest is not None:
+        yield _batch(["a", "b"], *_cell_pairs(*rest, at_least=at_least))
+
+
+def _classes(docs: DataFrame, id_col: str, text_col: str, words: int, at_least: float) -> DataFrame:
+    """(__id, __row, digest, root) for every row: rows of one root are linked."""
+    given = docs.select(F.col(id_col).alias("__id"), _row_key(id_col, text_col).alias("__row"), F.col(text_col).cast("string").alias("__text"))
+    frequent = frequent_keys(given.select("__text"), words, at_least)
+    fields = [("digest", T.StringType()), ("n", T.LongType()), ("mark", T.ArrayType(T.LongType())), ("first", T.ArrayType(T.LongType()))]
+    rows = common.cut(common.with_text_columns(given, "__text", partial(_described, words=words, at_least=at_least, frequent=frequent), fields, keep=["__id", "__row"]))
+    # numbers of rows stay as they are once the checkpoint holds them
+    nodes = common.cut(rows.select("digest", "__row", "n", "mark", "first").dropDuplicates(["digest"]).withColumn("node", F.monotonically_increasing_id()))
+
+    def similar(pairs: DataFrame) -> DataFrame:
+        pairs = common.cut(pairs.distinct())
+        used = pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(nodes.select("node", "__row"), "node")
+        texts = given.select("__row", "__text").join(used, "__row").select("node", F.col("__text").alias("t")).dropDuplicates(["node"])
+        both = pairs.join(texts.toDF("a", "ta"), "a").join(texts.toDF("b", "tb"), "b").select("a", "b", "ta", "tb")
+        return common.cut(both.mapInArrow(partial(_verified, words=words, at_least=at_least), "a long, b long"))
+
+    held = nodes.select("node", F.explode("first").alias("key"))
+    shared = common.cut(held.join(held.groupBy("key").agg(F.count("*").alias("m")).where("m > 1"), "key"))
+    central = shared.groupBy("node").agg(F.sum("m").alias("weight"))
+    low = F.xxhash64("node", F.lit(3))
+    ends = shared.join(central, "node").groupBy("key").agg(F.max(F.struct("weight", "node")).alias("e1"), F.min("node").alias("e2"), F.min_by("node", low).alias("e3"))
+    met = shared.join(ends, "key").select(F.col("node").alias("a"), F.explode(F.array("e1.node", "e2", "e3")).alias("b")).where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    size = nodes.select("node", "n", "mark")
+    differ = F.aggregate(F.zip_with("ma", "mb", lambda x, y: F.bit_count(x.bitwiseXOR(y)).cast("int")), F.lit(0), lambda x, y: x + y)
+    fit = (F.least("na", "nb") >= F.greatest("na", "nb") * at_least - 1e-6) & (differ <= (F.col("na") + F.col("nb")) * ((1 - at_least) / (1 + at_least) + 1e-12))
+    edges = similar(met.join(size.toDF("a", "na", "ma"), "a").join(size.toDF("b", "nb", "mb"), "b").where(fit).select("a", "b"))
+    found = common.cut(components(edges))
+
+    rooted = nodes.join(found, "node", "left").select("node", F.coalesce("root", "node").alias("root"), "n", "mark", F.posexplode("first").alias("pos", "key"))
+    roots = shared.join(found, "node", "left").select("key", "m", F.coalesce("root", "node").alias("root"))
+    open_keys = roots.groupBy("key").agg(F.max("m").alias("m"), F.min("root").alias("r1"), F.max("root").alias("r2")).where("r1 <> r2")
+    blocks = open_keys.select("key", F.ceil(F.col("m") / CELL).alias("many"))
+    spread = rooted.join(blocks, "key").withColumn("block", F.pmod(F.xxhash64("node"), "many")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("many") - 1)))
+    cell = F.xxhash64("key", F.least("block", "other"), F.greatest("block", "other"))
+    cells = spread.select(cell.alias("cell"), "block", (F.col("block") == F.col("other")).alias("inner"), "node", "root", "n", F.col("pos").cast("long").alias("pos"), *(F.col("mark")[i].alias(f"s{i}") for i in range(MARKS)))
+    rest = cells.repartition("cell").sortWithinPartitions("cell").mapInArrow(partial(_compare_cells, at_least=at_least), "a long, b long")
+    more = similar(rest)
+    if not more.isEmpty():
+        found = common.cut(components(found.select(F.col("node").alias("a"), F.col("root").alias("b")).unionByName(more)))
+    classes = nodes.join(found, "node", "left").select("digest", F.coalesce("root", "node").alias("root"))
+    return rows.select("__id", "__row", "digest").join(classes, "digest")
+
+
+def _row_key(id_col: str, text_col: str) -> F.Column:
+    name = F.col(id_col).cast("string")
+    return F.md5(F.concat(F.coalesce(F.concat(F.length(name).cast("string"), F.lit(":"), name), F.lit("-")), F.coalesce(F.col(text_col).cast("string"), F.lit(""))))
+
+
+def similar_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, at_least: float = 0.8) -> DataFrame:
+    """One row per document: id and ``component_id``, the smallest id reachable over texts whose
+    similarity is ``at_least`` (null where no text of the component has an id).
+
+    Texts with equal words are one node, whatever their ids.  The shingles of all texts have one
+    order, frequent ones last, and each node is held at its first fifth of them (``first_keys``):
+    similar nodes meet at one at least.  First each node is compared with three holders of each key,
+    among them the one that shares most, which links most of a cluster by few pairs.  Then, at every key whose holders are not all linked,
+    each holder is compared with every holder of another component; many holders are dealt in blocks
+    over cells, one for each two blocks.  Only pairs go whose sizes, places of the key or marks leave
+    too few shingles to share; every other pair is compared exactly.  (Shingles meet by 64-bit hashes.)
     """
-    fields = [("digest", T.StringType()), ("fp", T.LongType()), ("n", T.LongType()), ("parts", T.ArrayType(T.LongType()))]
-    rows = common.cut(common.with_text_columns(docs.select(F.col(id_col).alias("__id"), F.col(text_col).alias("__text")), "__text", partial(_described, words=words), fields, keep=["__id"]))
-    nodes = rows.groupBy("digest").agg(F.min("__id").alias("node"), F.min("fp").alias("fp"), F.min("n").alias("n"))
-    node_rows = rows.join(nodes.select("digest", F.col("node").alias("__id")), ["digest", "__id"], "left_semi").select(F.col("__id").alias("node"), "parts").dropDuplicates(["node"])
-    info = common.cut(nodes.where("node IS NOT NULL").select("node", "fp", "n"))
-    held = node_rows.where("node IS NOT NULL").select("node", F.explode("parts").alias("part"))
-    seed = F.xxhash64("node", F.lit(3))
-    ends = held.groupBy("part").agg(F.count("*").alias("m"), F.min("node").alias("e1"), F.max("node").alias("e2"), F.min_by("node", seed).alias("e3")).where("m > 1")
-    at_part = held.join(ends, "part").select(F.col("node").alias("a"), F.explode(F.array("e1", "e2", "e3")).alias("b"))
-    near = links(info.select("fp").distinct(), 2, cap)
-    by_fp = info.groupBy("fp").agg(F.min("node").alias("first"))
-    same = info.join(by_fp, "fp").select(F.col("node").alias("a"), F.col("first").alias("b"))
-    close = near.join(by_fp.select(F.col("fp").alias("a"), F.col("first").alias("na")), "a").join(by_fp.select(F.col("fp").alias("b"), F.col("first").alias("nb")), "b").select(F.col("na").alias("a"), F.col("nb").alias("b"))
-    pairs = at_part.unionByName(same).unionByName(close).where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    left, right = info.toDF("a", "fa", "na"), info.toDF("b", "fb", "nb")
-    fit = (F.bit_count(F.col("fa").bitwiseXOR(F.col("fb"))) <= bits) & (F.least("na", "nb") >= F.greatest("na", "nb") * (at_least * at_least))
-    pairs = common.cut(pairs.join(left, "a").join(right, "b").where(fit).select("a", "b"))
-    used = pairs.select(F.explode(F.array("a", "b")).alias("__id")).distinct()
-    texts = docs.select(F.col(id_col).alias("__id"), F.col(text_col).cast("string").alias("t")).join(used, "__id", "left_semi").dropDuplicates(["__id"])
-    both = pairs.join(texts.select(F.col("__id").alias("a"), F.col("t").alias("ta")), "a").join(texts.select(F.col("__id").alias("b"), F.col("t").alias("tb")), "b").select("a", "b", "ta", "tb")
-    edges = both.mapInArrow(partial(_verified, words=words, at_least=at_least), "a long, b long")
-    found = components(edges)
-    classes = nodes.join(found, nodes.node == found.node, "left").select("digest", F.coalesce("root", nodes.node).alias("component_id"))
-    return rows.join(classes, "digest").select(F.col("__id").alias(id_col), "component_id")
+    rows = _classes(docs, id_col, text_col, words, at_least)
+    low = rows.groupBy("root").agg(F.min("__id").alias("component_id"))
+    return rows.join(low, "root").select(F.col("__id").alias(id_col), "component_id")
 
 
 def _kept(docs: DataFrame, classes: DataFrame, id_col: str, text_col: str) -> DataFrame:
