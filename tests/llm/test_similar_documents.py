@@ -43,6 +43,15 @@ def test_hub_of_edited_copies(spark):
     assert set(classes(spark, rows).values()) == {0}
 
 
+def test_repeats_do_not_hide_a_pair(spark):
+    rng = random.Random(4)
+    one = [f"w{rng.randrange(10**6)}" for _ in range(300)]
+    other = [f"v{rng.randrange(10**6)}" for _ in range(200)]
+    line = "read more on page two".split()
+    rows = [(1, " ".join(one)), (2, " ".join(one + one)), (3, " ".join(other)), (4, " ".join(other + line * 20))]
+    assert classes(spark, rows) == {1: 1, 2: 1, 3: 3, 4: 3} == brute(rows)
+
+
 def test_first_keys_of_similar_sets_meet():
     rng = random.Random(6)
     for _ in range(2000):
