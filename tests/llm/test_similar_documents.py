@@ -52,6 +52,19 @@ def test_repeats_do_not_hide_a_pair(spark):
     assert classes(spark, rows) == {1: 1, 2: 1, 3: 3, 4: 3} == brute(rows)
 
 
+def test_one_word_edits_of_short_texts_and_small_vocabularies(spark):
+    rng, rows = random.Random(5), []
+    for size in range(8, 61):
+        for vocabulary in (3, 6, 10**6):
+            w = [f"w{rng.randrange(vocabulary)}" for _ in range(size)]
+            front, end, swap = list(w), [*w, "added"], list(w)
+            front.insert(1, "added")
+            swap[size // 2] = "swapped"
+            rows += [(len(rows) + k, " ".join(x)) for k, x in enumerate((w, front, end, swap))]
+    want = brute(rows)
+    assert classes(spark, rows) == want and sum(k != v for k, v in want.items()) > 200
+
+
 def test_first_keys_of_similar_sets_meet():
     rng = random.Random(6)
     for _ in range(2000):
