@@ -478,8 +478,11 @@ def _kept(docs: DataFrame, classes: DataFrame, id_col: str, text_col: str) -> Da
 
 
 def keep_similar(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
-    """Of each group of similar texts the document with the smallest id; of rows that share it, one."""
-    return _kept(docs, similar_documents(docs, id_col, text_col, **options), id_col, text_col)
+    """Of each group of similar texts the row with the smallest id; rows without an id come last, and
+    of rows that share it the one with the least digest of its words stays."""
+    rows = _classes(docs, id_col, text_col, **({"words": 5, "at_least": 0.8} | options))
+    kept = rows.groupBy("root").agg(F.min(F.struct(F.col("__id").isNull().alias("unnamed"), "__id", "digest", "__row")).alias("low")).select(F.col("low.__row").alias("__row"))
+    return docs.withColumn("__row", _row_key(id_col, text_col)).join(kept, "__row", "left_semi").dropDuplicates(["__row"]).select(*docs.columns)
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:

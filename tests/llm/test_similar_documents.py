@@ -76,3 +76,11 @@ def test_first_keys_of_similar_sets_meet():
         if len(x & y) >= 0.8 * len(x | y):
             assert set(simhash.first_keys(h, 0.8, frequent)) & set(simhash.first_keys(g, 0.8, frequent))
         assert simhash.np.bitwise_count((simhash.marks(h) ^ simhash.marks(g)).view(simhash.np.uint64)).sum() <= len(x ^ y)
+
+
+def test_rows_without_an_id_and_repeated_ids(spark):
+    rng = random.Random(7)
+    a, b, c = (" ".join(f"{p}{rng.randrange(10**6)}" for _ in range(100)) for p in "abc")
+    rows = [(1, a), (None, a), (None, a + " more"), (2, b), (2, c), (None, "apart"), (None, "apart")]
+    kept = simhash.keep_similar(spark.createDataFrame(rows, "doc_id long, text string"))
+    assert sorted((r.doc_id or 0, r.text) for r in kept.collect()) == sorted([(1, a), (2, b), (2, c), (0, "apart")])
