@@ -351,21 +351,55 @@ def frequent_keys(texts: DataFrame, words: int, at_least: float) -> Frequent:
 
 
 def _described(texts: list[str], words: int, at_least: float, frequent: Frequent) -> list[list]:
-    digest, n, mark, first = [], [], [], []
+    digest, fp, n, mark, first = [], [], [], [], []
     for t in texts:
         w = normal_words(t)
         h = shingle_keys(w, words)
         digest.append(hashlib.blake2b(b" ".join(w), digest_size=16).hexdigest())
+        fp.append(fingerprint(t, words))
         n.append(len(h))
         mark.append(marks(h))
         first.append(first_keys(h, at_least, frequent).view(np.int64))
-    return [digest, n, mark, first]
+    return [digest, _signed(fp), n, mark, first]
 
 
 def _verified(batches: Iterator[pa.RecordBatch], words: int, at_least: float) -> Iterator[pa.RecordBatch]:
+    """Rows come sorted by centre, its own text before the texts to compare with it."""
+    centre, x = None, set()
     for b in batches:
-        on = [similarity(x or "", y or "", words) >= at_least - 1e-12 for x, y in zip(b.column(2).to_pylist(), b.column(3).to_pylist(), strict=True)]
-        yield pa.RecordBatch.from_arrays([c.filter(pa.array(on, pa.bool_())) for c in b.columns[:2]], names=["a", "b"])
+        left, right = [], []
+        for c, own, node, text in zip(*(b.column(i).to_pylist() for i in range(4)), strict=True):
+            y = shingle_set(normal_words(text or ""), words)
+            if own == 0:
+                centre, x = c, y
+                continue
+            if c != centre:
+                raise RuntimeError("a text to compare came without its centre")
+            both = len(x & y)
+            if both >= (at_least - 1e-12) * (len(x) + len(y) - both):
+                left.append(c)
+                right.append(node)
+        yield _batch(["a", "b"], np.array(left, np.int64), np.array(right, np.int64))
+
+
+def similar_pairs(pairs: DataFrame, texts: DataFrame, words: int, at_least: float) -> DataFrame:
+    """The pairs (a, b) whose texts (node, text) have the similarity, compared exactly.
+
+    The end with more pairs is the centre of a pair.  A cell holds a centre's text once and the texts
+    of at most about 512 of its partners, so a text with very many partners is spread over tasks and
+    only one text travels for a pair.
+    """
+    pairs = common.cut(pairs.distinct())
+    many = pairs.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count("*").alias("m"))
+    wide = pairs.join(many.toDF("a", "ma"), "a").join(many.toDF("b", "mb"), "b")
+    on_a = (F.col("ma") > F.col("mb")) | ((F.col("ma") == F.col("mb")) & (F.col("a") < F.col("b")))
+    turned = wide.select(F.when(on_a, F.col("a")).otherwise(F.col("b")).alias("centre"), F.when(on_a, F.col("b")).otherwise(F.col("a")).alias("node"), F.greatest("ma", "mb").alias("m"))
+    dealt = common.cut(turned.select("centre", "node", F.pmod(F.xxhash64("node"), F.ceil(F.col("m") / CELL)).alias("block")))
+    used = common.cut(texts.join(many.select("node"), "node"))
+    own = dealt.select("centre", "block").distinct().join(used.select(F.col("node").alias("centre"), "text"), "centre").select("centre", F.lit(0).alias("own"), F.col("centre").alias("node"), "text", "block")
+    partners = dealt.join(used, "node").select("centre", F.lit(1).alias("own"), "node", "text", "block")
+    cells = own.unionByName(partners).repartition("centre", "block").sortWithinPartitions("centre", "block", "own")
+    return common.cut(cells.select("centre", "own", "node", "text").mapInArrow(partial(_verified, words=words, at_least=at_least), "a long, b long"))
 
 
 def _cell_pairs(cell: np.ndarray, block: np.ndarray, inner: np.ndarray, node: np.ndarray, root: np.ndarray, n: np.ndarray, pos: np.ndarray, *mark: np.ndarray, at_least: float) -> tuple[np.ndarray, np.ndarray]:
@@ -405,34 +439,26 @@ def _compare_cells(batches: Iterator[pa.RecordBatch], at_least: float) -> Iterat
         yield _batch(["a", "b"], *_cell_pairs(*rest, at_least=at_least))
 
 
-def _classes(docs: DataFrame, id_col: str, text_col: str, words: int, at_least: float) -> DataFrame:
-    """(__id, __row, digest, root) for every row: rows of one root are linked."""
-    given = docs.select(F.col(id_col).alias("__id"), _row_key(id_col, text_col).alias("__row"), F.col(text_col).cast("string").alias("__text"))
-    frequent = frequent_keys(given.select("__text"), words, at_least)
-    fields = [("digest", T.StringType()), ("n", T.LongType()), ("mark", T.ArrayType(T.LongType())), ("first", T.ArrayType(T.LongType()))]
-    rows = common.cut(common.with_text_columns(given, "__text", partial(_described, words=words, at_least=at_least, frequent=frequent), fields, keep=["__id", "__row"]))
-    # numbers of rows stay as they are once the checkpoint holds them
-    nodes = common.cut(rows.select("digest", "__row", "n", "mark", "first").dropDuplicates(["digest"]).withColumn("node", F.monotonically_increasing_id()))
+def _by_anchors(nodes: DataFrame, threshold: int) -> DataFrame:
+    """Pairs of nodes to compare, found by the anchors: equal fingerprints and those that ``links`` joins."""
+    fps = common.cut(nodes.groupBy("fp").agg(F.min("node").alias("low")))
+    equal = nodes.join(fps, "fp").where("node <> low").select(F.col("node").alias("a"), F.col("low").alias("b"))
+    near = links(fps.select("fp"), threshold)
+    named = fps.select(F.col("fp").alias("a"), F.col("low").alias("la")), fps.select(F.col("fp").alias("b"), F.col("low").alias("lb"))
+    joined = near.where("a <> b").join(named[0], "a").join(named[1], "b").select(F.col("la").alias("a"), F.col("lb").alias("b"))
+    return equal.unionByName(joined)
 
-    def similar(pairs: DataFrame) -> DataFrame:
-        pairs = common.cut(pairs.distinct())
-        used = pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(nodes.select("node", "__row"), "node")
-        texts = given.select("__row", "__text").join(used, "__row").select("node", F.col("__text").alias("t")).dropDuplicates(["node"])
-        both = pairs.join(texts.toDF("a", "ta"), "a").join(texts.toDF("b", "tb"), "b").select("a", "b", "ta", "tb")
-        return common.cut(both.mapInArrow(partial(_verified, words=words, at_least=at_least), "a long, b long"))
 
-    held = nodes.select("node", F.explode("first").alias("key"))
-    shared = common.cut(held.join(held.groupBy("key").agg(F.count("*").alias("m")).where("m > 1"), "key"))
+def _by_three_holders(shared: DataFrame) -> DataFrame:
+    """Pairs of each node with three holders of each of its keys, one of them the holder that shares most."""
     central = shared.groupBy("node").agg(F.sum("m").alias("weight"))
     low = F.xxhash64("node", F.lit(3))
     ends = shared.join(central, "node").groupBy("key").agg(F.max(F.struct("weight", "node")).alias("e1"), F.min("node").alias("e2"), F.min_by("node", low).alias("e3"))
-    met = shared.join(ends, "key").select(F.col("node").alias("a"), F.explode(F.array("e1.node", "e2", "e3")).alias("b")).where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    size = nodes.select("node", "n", "mark")
-    differ = F.aggregate(F.zip_with("ma", "mb", lambda x, y: F.bit_count(x.bitwiseXOR(y)).cast("int")), F.lit(0), lambda x, y: x + y)
-    fit = (F.least("na", "nb") >= F.greatest("na", "nb") * at_least - 1e-6) & (differ <= (F.col("na") + F.col("nb")) * ((1 - at_least) / (1 + at_least) + 1e-12))
-    edges = similar(met.join(size.toDF("a", "na", "ma"), "a").join(size.toDF("b", "nb", "mb"), "b").where(fit).select("a", "b"))
-    found = common.cut(components(edges))
+    return shared.join(ends, "key").select(F.col("node").alias("a"), F.explode(F.array("e1.node", "e2", "e3")).alias("b")).where("a <> b")
+
 
+def _by_every_holder(nodes: DataFrame, shared: DataFrame, found: DataFrame, at_least: float) -> DataFrame:
+    """Pairs of each node with every holder of its keys that is in another component of ``found``."""
     rooted = nodes.join(found, "node", "left").select("node", F.coalesce("root", "node").alias("root"), "n", "mark", F.posexplode("first").alias("pos", "key"))
     roots = shared.join(found, "node", "left").select("key", "m", F.coalesce("root", "node").alias("root"))
     open_keys = roots.groupBy("key").agg(F.max("m").alias("m"), F.min("root").alias("r1"), F.max("root").alias("r2")).where("r1 <> r2")
@@ -440,8 +466,29 @@ def _classes(docs: DataFrame, id_col: str, text_col: str, words: int, at_least:
     spread = rooted.join(blocks, "key").withColumn("block", F.pmod(F.xxhash64("node"), "many")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("many") - 1)))
     cell = F.xxhash64("key", F.least("block", "other"), F.greatest("block", "other"))
     cells = spread.select(cell.alias("cell"), "block", (F.col("block") == F.col("other")).alias("inner"), "node", "root", "n", F.col("pos").cast("long").alias("pos"), *(F.col("mark")[i].alias(f"s{i}") for i in range(MARKS)))
-    rest = cells.repartition("cell").sortWithinPartitions("cell").mapInArrow(partial(_compare_cells, at_least=at_least), "a long, b long")
-    more = similar(rest)
+    return cells.repartition("cell").sortWithinPartitions("cell").mapInArrow(partial(_compare_cells, at_least=at_least), "a long, b long")
+
+
+def _classes(docs: DataFrame, id_col: str, text_col: str, words: int, at_least: float, threshold: int = 2) -> DataFrame:
+    """(__id, __row, digest, root) for every row: rows of one root are linked."""
+    given = docs.select(F.col(id_col).alias("__id"), _row_key(id_col, text_col).alias("__row"), F.col(text_col).cast("string").alias("__text"))
+    frequent = frequent_keys(given.select("__text"), words, at_least)
+    fields = [("digest", T.StringType()), ("fp", T.LongType()), ("n", T.LongType()), ("mark", T.ArrayType(T.LongType())), ("first", T.ArrayType(T.LongType()))]
+    rows = common.cut(common.with_text_columns(given, "__text", partial(_described, words=words, at_least=at_least, frequent=frequent), fields, keep=["__id", "__row"]))
+    # numbers of rows stay as they are once the checkpoint holds them
+    nodes = common.cut(rows.select("digest", "__row", "fp", "n", "mark", "first").dropDuplicates(["digest"]).withColumn("node", F.monotonically_increasing_id()))
+    texts = given.select("__row", F.col("__text").alias("text")).join(nodes.select("node", "__row"), "__row").select("node", "text").dropDuplicates(["node"])
+    verified = partial(similar_pairs, texts=texts, words=words, at_least=at_least)
+
+    held = nodes.select("node", F.explode("first").alias("key"))
+    shared = common.cut(held.join(held.groupBy("key").agg(F.count("*").alias("m")).where("m > 1"), "key"))
+    met = _by_anchors(nodes, threshold).unionByName(_by_three_holders(shared)).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    size = nodes.select("node", "n", "mark")
+    differ = F.aggregate(F.zip_with("ma", "mb", lambda x, y: F.bit_count(x.bitwiseXOR(y)).cast("int")), F.lit(0), lambda x, y: x + y)
+    fit = (F.least("na", "nb") >= F.greatest("na", "nb") * at_least - 1e-6) & (differ <= (F.col("na") + F.col("nb")) * ((1 - at_least) / (1 + at_least) + 1e-12))
+    edges = verified(met.join(size.toDF("a", "na", "ma"), "a").join(size.toDF("b", "nb", "mb"), "b").where(fit).select("a", "b"))
+    found = common.cut(components(edges))
+    more = verified(_by_every_holder(nodes, shared, found, at_least))
     if not more.isEmpty():
         found = common.cut(components(found.select(F.col("node").alias("a"), F.col("root").alias("b")).unionByName(more)))
     classes = nodes.join(found, "node", "left").select("digest", F.coalesce("root", "node").alias("root"))
@@ -457,13 +504,16 @@ def similar_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
     """One row per document: id and ``component_id``, the smallest id reachable over texts whose
     similarity is ``at_least`` (null where no text of the component has an id).
 
-    Texts with equal words are one node, whatever their ids.  The shingles of all texts have one
-    order, frequent ones last, and each node is held at its first fifth of them (``first_keys``):
-    similar nodes meet at one at least.  First each node is compared with three holders of each key,
-    among them the one that shares most, which links most of a cluster by few pairs.  Then, at every key whose holders are not all linked,
-    each holder is compared with every holder of another component; many holders are dealt in blocks
-    over cells, one for each two blocks.  Only pairs go whose sizes, places of the key or marks leave
-    too few shingles to share; every other pair is compared exactly.  (Shingles meet by 64-bit hashes.)
+    Texts with equal words are one node, whatever their ids.  The anchors of this module come first:
+    nodes whose fingerprints over ``words`` words link at ``threshold`` bits are compared.  Similar
+    texts can differ in more bits than anchors cover (about ten at 0.8), so an exact search completes
+    the links: the shingles of all texts have one order, frequent ones last, and each node is held at
+    its first fifth of them (``first_keys``), where similar nodes meet at one at least.  Each node is
+    compared with three holders of each key, among them the one that shares most, which links most of
+    a cluster by few pairs; then, at every key whose holders are not all linked, with every holder of
+    another component, many holders dealt in blocks over cells, one for each two blocks.  Only pairs
+    go whose sizes, places of the key or marks leave too few shingles to share; every other pair is
+    compared exactly.  (Shingles meet by 64-bit hashes.)
     """
     rows = _classes(docs, id_col, text_col, words, at_least)
     low = rows.groupBy("root").agg(F.min("__id").alias("component_id"))
