@@ -9,6 +9,7 @@ Conventions that every operator here follows:
 
 from __future__ import annotations
 
+import gc
 import os
 import tempfile
 import uuid
@@ -68,6 +69,33 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def tidy(spark: SparkSession) -> None:
+    """Let Spark remove shuffle files and checkpoints that nothing refers to any more.
+
+    The cleaner acts when the driver collects its garbage, which a driver with little to do puts off
+    while the executors' disks fill; call it between the phases of a long operator.
+    """
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    spark.sparkContext._jvm.System.gc()
+
+
+def may_hold(rows: DataFrame, key: str, chosen: DataFrame, bits: int = 23) -> DataFrame:
+    """Append ``__hit``: false only where ``key`` is certainly not a key of ``chosen``.
+
+    The hashes of the chosen keys are a bitmap of ``2**bits`` bits, of which at most one row for each
+    32,768 bits is broadcast (1 MB for 23 bits, whatever the input), so rows that a join could not
+    meet need not be shuffled.
+    """
+    place = (F.pmod(F.xxhash64(key), F.lit(1 << bits)) + 1).alias("__place")
+    maps = chosen.select(place).groupBy(F.bitmap_bucket_number("__place").alias("__bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("__place")).alias("__map"))
+    placed = rows.withColumn("__place", place).withColumn("__bucket", F.bitmap_bucket_number("__place"))
+    at = F.bitmap_bit_position("__place")
+    byte = F.conv(F.hex(F.substring(F.col("__map"), (F.floor(at / 8) + 1).cast("int"), F.lit(1))), 16, 10).cast("int")
+    hit = F.getbit(byte, (at % 8).cast("int")) == 1
+    return placed.join(F.broadcast(maps), "__bucket", "left").withColumn("__hit", F.coalesce(hit, F.lit(False))).drop("__bucket", "__place", "__map")
+
+
 def draw(df: DataFrame, key: str, max_rows: int) -> DataFrame:
     """At most ``max_rows`` rows, those whose key hashes lowest.
 

@@ -24,7 +24,7 @@ from __future__ import annotations
 
 import hashlib
 import math
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 from functools import cache, partial
 from itertools import combinations
@@ -382,20 +382,22 @@ def _verified(batches: Iterator[pa.RecordBatch], words: int, at_least: float) ->
         yield _batch(["a", "b"], np.array(left, np.int64), np.array(right, np.int64))
 
 
-def similar_pairs(pairs: DataFrame, texts: DataFrame, words: int, at_least: float) -> DataFrame:
-    """The pairs (a, b) whose texts (node, text) have the similarity, compared exactly.
+def similar_pairs(pairs: DataFrame, texts: Callable[[DataFrame], DataFrame], words: int, at_least: float) -> DataFrame:
+    """The pairs (a, b) whose texts have the similarity, compared exactly.
 
+    ``texts`` gives (node, text) for a frame of nodes.
     The end with more pairs is the centre of a pair.  A cell holds a centre's text once and the texts
     of at most about 512 of its partners, so a text with very many partners is spread over tasks and
     only one text travels for a pair.
     """
     pairs = common.cut(pairs.distinct())
+    common.tidy(pairs.sparkSession)
     many = pairs.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count("*").alias("m"))
     wide = pairs.join(many.toDF("a", "ma"), "a").join(many.toDF("b", "mb"), "b")
     on_a = (F.col("ma") > F.col("mb")) | ((F.col("ma") == F.col("mb")) & (F.col("a") < F.col("b")))
     turned = wide.select(F.when(on_a, F.col("a")).otherwise(F.col("b")).alias("centre"), F.when(on_a, F.col("b")).otherwise(F.col("a")).alias("node"), F.greatest("ma", "mb").alias("m"))
     dealt = common.cut(turned.select("centre", "node", F.pmod(F.xxhash64("node"), F.ceil(F.col("m") / CELL)).alias("block")))
-    used = common.cut(texts.join(many.select("node"), "node"))
+    used = common.cut(texts(many.select("node")))
     own = dealt.select("centre", "block").distinct().join(used.select(F.col("node").alias("centre"), "text"), "centre").select("centre", F.lit(0).alias("own"), F.col("centre").alias("node"), "text", "block")
     partners = dealt.join(used, "node").select("centre", F.lit(1).alias("own"), "node", "text", "block")
     cells = own.unionByName(partners).repartition("centre", "block").sortWithinPartitions("centre", "block", "own")
@@ -459,11 +461,10 @@ def _by_three_holders(shared: DataFrame) -> DataFrame:
 
 def _by_every_holder(nodes: DataFrame, shared: DataFrame, found: DataFrame, at_least: float) -> DataFrame:
     """Pairs of each node with every holder of its keys that is in another component of ``found``."""
-    rooted = nodes.join(found, "node", "left").select("node", F.coalesce("root", "node").alias("root"), "n", "mark", F.posexplode("first").alias("pos", "key"))
-    roots = shared.join(found, "node", "left").select("key", "m", F.coalesce("root", "node").alias("root"))
-    open_keys = roots.groupBy("key").agg(F.max("m").alias("m"), F.min("root").alias("r1"), F.max("root").alias("r2")).where("r1 <> r2")
-    blocks = open_keys.select("key", F.ceil(F.col("m") / CELL).alias("many"))
-    spread = rooted.join(blocks, "key").withColumn("block", F.pmod(F.xxhash64("node"), "many")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("many") - 1)))
+    rooted = shared.join(found, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    open_keys = rooted.groupBy("key").agg(F.min("root").alias("r1"), F.max("root").alias("r2")).where("r1 <> r2").select("key")
+    held = common.cut(rooted.join(open_keys, "key").withColumn("many", F.ceil(F.col("m") / CELL)))
+    spread = held.join(nodes.select("node", "n", "mark"), "node").withColumn("block", F.pmod(F.xxhash64("node"), "many")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("many") - 1)))
     cell = F.xxhash64("key", F.least("block", "other"), F.greatest("block", "other"))
     cells = spread.select(cell.alias("cell"), "block", (F.col("block") == F.col("other")).alias("inner"), "node", "root", "n", F.col("pos").cast("long").alias("pos"), *(F.col("mark")[i].alias(f"s{i}") for i in range(MARKS)))
     return cells.repartition("cell").sortWithinPartitions("cell").mapInArrow(partial(_compare_cells, at_least=at_least), "a long, b long")
@@ -477,11 +478,17 @@ def _classes(docs: DataFrame, id_col: str, text_col: str, words: int, at_least:
     rows = common.cut(common.with_text_columns(given, "__text", partial(_described, words=words, at_least=at_least, frequent=frequent), fields, keep=["__id", "__row"]))
     # numbers of rows stay as they are once the checkpoint holds them
     nodes = common.cut(rows.select("digest", "__row", "fp", "n", "mark", "first").dropDuplicates(["digest"]).withColumn("node", F.monotonically_increasing_id()))
-    texts = given.select("__row", F.col("__text").alias("text")).join(nodes.select("node", "__row"), "__row").select("node", "text").dropDuplicates(["node"])
-    verified = partial(similar_pairs, texts=texts, words=words, at_least=at_least)
+    common.tidy(docs.sparkSession)
+
+    def texts(of: DataFrame) -> DataFrame:
+        rows_of = nodes.select("node", "__row").join(of, "node")
+        near = common.may_hold(given.select("__row", F.col("__text").alias("text")), "__row", rows_of).where("__hit")
+        return near.join(rows_of, "__row").dropDuplicates(["__row"]).select("node", "text")
 
-    held = nodes.select("node", F.explode("first").alias("key"))
+    verified = partial(similar_pairs, texts=texts, words=words, at_least=at_least)
+    held = nodes.select("node", F.posexplode("first").alias("pos", "key"))
     shared = common.cut(held.join(held.groupBy("key").agg(F.count("*").alias("m")).where("m > 1"), "key"))
+    common.tidy(docs.sparkSession)
     met = _by_anchors(nodes, threshold).unionByName(_by_three_holders(shared)).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
     size = nodes.select("node", "n", "mark")
     differ = F.aggregate(F.zip_with("ma", "mb", lambda x, y: F.bit_count(x.bitwiseXOR(y)).cast("int")), F.lit(0), lambda x, y: x + y)
@@ -531,8 +538,14 @@ def keep_similar(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     """Of each group of similar texts the row with the smallest id; rows without an id come last, and
     of rows that share it the one with the least digest of its words stays."""
     rows = _classes(docs, id_col, text_col, **({"words": 5, "at_least": 0.8} | options))
-    kept = rows.groupBy("root").agg(F.min(F.struct(F.col("__id").isNull().alias("unnamed"), "__id", "digest", "__row")).alias("low")).select(F.col("low.__row").alias("__row"))
-    return docs.withColumn("__row", _row_key(id_col, text_col)).join(kept, "__row", "left_semi").dropDuplicates(["__row"]).select(*docs.columns)
+    order = F.struct(F.col("__id").isNull().alias("unnamed"), "__id", "digest", "__row")
+    kept = rows.groupBy("root").agg(F.min(order).alias("low"), F.count("*").alias("of")).select(F.col("low.__row").alias("__row"), "of")
+    kept = common.cut(kept)
+    # a document alone in its class stays without a join; the others meet the one that is kept
+    grouped = rows.join(kept.where("of = 1").select("__row"), "__row", "left_anti").select("__row")
+    named = common.may_hold(docs.withColumn("__row", _row_key(id_col, text_col)), "__row", grouped)
+    chosen = named.where("__hit").join(kept.select("__row"), "__row", "left_semi").dropDuplicates(["__row"])
+    return named.where("NOT __hit").select(*docs.columns).unionByName(chosen.select(*docs.columns))
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
