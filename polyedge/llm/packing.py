@@ -29,9 +29,11 @@ from pyspark.sql import DataFrame, functions as F, types as T
 
 from polyedge.llm import common
 
-MEMO_ENTRIES = 1_000_000
+#: Bytes that the memos of a worker may hold: of chunks and their ids, and of the pieces of whole texts.
+MEMO_BYTES, KNOWN_BYTES = 200 << 20, 60 << 20
+ENTRY = 180  # bytes of the objects of one entry besides its contents
+LONGEST = 200  # longer chunks are not worth keeping
 BATCH = 1024
-KNOWN_TEXTS = 100_000
 # fixed values: white space other than the space and the line feed
 OTHER_SPACE = "\t\r\x0b\x0c\x1c\x1d\x1e\x1f\x85\xa0\u1680\u2000\u2001\u2002\u2003\u2004\u2005\u2006\u2007\u2008\u2009\u200a\u2028\u2029\u202f\u205f\u3000"
 
@@ -40,21 +42,20 @@ OTHER_SPACE = "\t\r\x0b\x0c\x1c\x1d\x1e\x1f\x85\xa0\u1680\u2000\u2001\u2002\u200
 def _tokenizer(path: str):
     from tokenizers import Tokenizer
 
-    t = Tokenizer.from_file(path)
-    t.encode_special_tokens = True  # such strings in a text are ordinary text
-    return t
+    return Tokenizer.from_file(path)
 
 
-def _chunks(text: str) -> list[str] | None:
+def _chunks(text: str, special: list[str]) -> list[str] | None:
     """The text, a line feed put before it, cut before each line feed and at each space, which goes.
 
     So a chunk that does not start with a line feed follows a space.  No match of the tokenizer's
     split pattern crosses such a cut if it stands between two other characters, so the chunks
-    encode alone.  None if the text holds white space of any other kind or arrangement.
+    encode alone.  None if the text holds white space of any other kind or arrangement, or a string
+    that the tokenizer takes for a token of its own.
     """
     parts = f"\n{text}".replace("\n", " \n").split(" ")
     del parts[0]
-    if "" in parts or "\n" in parts or any(c in text for c in OTHER_SPACE):
+    if "" in parts or "\n" in parts or any(c in text for c in OTHER_SPACE) or any(c in text for c in special):
         return None
     return parts
 
@@ -71,10 +72,13 @@ class DocumentEncoder:
 
     def __init__(self, path: str):
         self.tokenizer = _tokenizer(path)
+        self.special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
         self.line = len(self._encode("\n").tobytes())
         self.memo: dict[str, bytes] = {}
+        self.held = 0  # bytes in the memo
         self.marks: dict[str, bytes] = {}
         self.known: dict[tuple[int, int], dict[bytes, list[tuple]]] = {}  # pieces of texts met before
+        self.known_held = 0
         vocab = self.tokenizer.get_vocab(with_added_tokens=True)
         self.opens = np.zeros(max(vocab.values()) + 1, bool)
         self.opens[[i for t, i in vocab.items() if t[0] in "\u0120\u010a"]] = True  # a space and a line feed, as byte-level vocabularies write them
@@ -108,6 +112,8 @@ class DocumentEncoder:
                 ends.append("")
                 plain.add(c)
         self._learn(list(plain))
+        if len(marks) > 10_000:
+            marks.clear()
         for e in set(ends):
             if e not in marks:
                 marks[e] = self._encode(e).tobytes() if e else b""
@@ -116,15 +122,16 @@ class DocumentEncoder:
                 memo[c] = memo[w] + marks[e]
 
     def __call__(self, texts: list[str]) -> list[bytes]:
-        if len(self.memo) > MEMO_ENTRIES:
-            self.memo = {}
+        if self.held > MEMO_BYTES:
+            self.memo, self.held = {}, 0
         memo = self.memo
-        cut = [_chunks(t) for t in texts]
+        cut = [_chunks(t, self.special) for t in texts]
         found = [list(map(memo.get, c)) if c else [] for c in cut]
         missing: set[str] = set()
         for c, ids in zip(cut, found, strict=True):
             if c:
                 missing.update(compress(c, map(is_, ids, repeat(None))))
+        before = len(memo)
         self._add(list(missing))
         out = []
         for text, c, ids in zip(texts, cut, found, strict=True):
@@ -132,6 +139,13 @@ class DocumentEncoder:
                 out.append(self._encode(text).tobytes())
             else:
                 out.append(b"".join([memo[x] if y is None else y for x, y in zip(c, ids, strict=True)])[self.line :])
+        for c in missing:
+            if len(c) > LONGEST:
+                memo.pop(c, None)
+                memo.pop(c.rstrip(self.MARKS), None)
+            else:
+                self.held += len(c) + len(memo.get(c, b""))
+        self.held += ENTRY * max(0, len(memo) - before)
         return out
 
 
@@ -153,13 +167,15 @@ def _cut_documents(encode: DocumentEncoder, texts: list[str], capacity: int, end
         known = {}
     else:
         keys = [hashlib.blake2b(t.encode("utf-8", "surrogatepass"), digest_size=16).digest() for t in texts]
-        if len(known) > KNOWN_TEXTS:
+        if encode.known_held > KNOWN_BYTES:
             known.clear()
+            encode.known_held = 0
     new = {k: t for k, t in zip(keys, texts, strict=True) if k not in known}
     for k, doc in zip(new, encode(list(new.values())), strict=True):
         doc += end
         parts = [(s, n, doc[4 * s : 4 * (s + n)]) for s, n in cut_lengths(len(doc) // 4, capacity)]
         known[k] = [(s, n, zlib.crc32(x), np.frombuffer(x, "<u4").astype(np.int32) if with_ids else None) for s, n, x in parts]
+        encode.known_held += 0 if with_ids else ENTRY * (1 + len(parts))
     return [known[k] for k in keys]
 
 
