@@ -1,13 +1,15 @@
 """Document fingerprints: invertible Bloom lookup sketches of paragraph digests, native SQL only.
 
-A paragraph is a line, cut after the sentence end that follows its 120th character if it is longer.
+A paragraph is a line, cut after the sentence end that follows its 120th character if it is longer,
+or at its 520th character where no sentence ends before.
 Its digest is the XXH64 of its text; a document is the set of its digests.  A sketch adds every
 digest to three of 24 cells (one in each of three tables), each cell holding the number, the XOR
 of digests and the XOR of their check hashes.  Sketches of two versions subtract cell by cell; what
 both hold cancels, and peeling takes digests out of cells that hold a single one until none is
 left.  If cells remain, the sketch was too small: the digests are dealt by hash to as many sketches
-as about six digests each need, and, should one of these fail, to four times as many.  What would
-still not peel (digests that collide in all three cells) is compared as sets, so a result is exact.
+as about six digests each need.  Should one of these fail, all are dealt again by another hash to four
+times as many, and so on: each retry fails with a chance of a few in a hundred, independently, and no
+pair of texts is expected to need the last of ``RETRIES``; what would is compared as sets.
 
 The fingerprint is the text form of the first, 24-cell sketch.  Likeness is shared digests over all
 digests of the two sets (1.0 for two empty ones), from the numbers of recovered digests.
@@ -23,7 +25,8 @@ from pyspark.sql import Column, DataFrame, Window, functions as F
 PARAGRAPH = r"[^\n]{1,120}[^\n.!?]{0,400}[.!?]*\n?|\n"
 TABLES, PER_TABLE = 3, 8
 CELLS = TABLES * PER_TABLE
-ROUNDS = 10
+ROUNDS = 24
+RETRIES = 8
 ZERO = "named_struct('n', 0, 'k', 0L, 'c', 0L)"
 
 
@@ -37,19 +40,20 @@ def digests(text: str) -> str:
     return f"array_distinct(transform(regexp_extract_all({text}, '{pattern}', 0), p -> xxhash64(p)))"
 
 
-def items(digest_array: str) -> str:
-    """Digest, check hash and placing hash."""
-    return f"transform({digest_array}, k -> named_struct('k', k, 'c', xxhash64(k, 1), 'h', xxhash64(k, 2)))"
+def item(k: str, seed: str, n: str = "1") -> str:
+    """Sign, digest, check hash, hash that deals items to sketches, and a bit mask of the cells, one in each table."""
+    place = " | ".join(f"shiftleft(1, {PER_TABLE * t} + cast(shiftrightunsigned(h, 3 * {t}) & {PER_TABLE - 1} as int))" for t in range(TABLES))
+    return let("h", f"xxhash64({k}, {seed})", f"named_struct('n', {n}, 'k', {k}, 'c', xxhash64({k}, 1), 'h', h, 'm', {place})")
 
 
-def hits(h: str, j: str) -> str:
-    return f"(shiftrightunsigned({h}, 3 * ({j} div {PER_TABLE})) & {PER_TABLE - 1}) = {j} % {PER_TABLE}"
+def items(digest_array: str, seed: str = "2", n: str = "1") -> str:
+    return f"transform({digest_array}, k -> {item('k', seed, n)})"
 
 
 def cells(item_array: str) -> str:
     return (
-        f"transform(sequence(0, {CELLS - 1}), j -> aggregate(filter({item_array}, x -> {hits('x.h', 'j')}), {ZERO}, "
-        "(a, x) -> named_struct('n', a.n + 1, 'k', a.k ^ x.k, 'c', a.c ^ x.c)))"
+        f"transform(sequence(0, {CELLS - 1}), j -> aggregate(filter({item_array}, x -> getbit(x.m, j) = 1), {ZERO}, "
+        "(a, x) -> named_struct('n', a.n + x.n, 'k', a.k ^ x.k, 'c', a.c ^ x.c)))"
     )
 
 
@@ -59,38 +63,38 @@ def subtract(a: str, b: str) -> str:
 
 def peel(cell_array: str) -> str:
     """Struct of the digests only in the first (``plus``) and only in the second (``minus``), and ``ok``."""
-    start = f"named_struct('cells', {cell_array}, 'plus', cast(array() as array<bigint>), 'minus', cast(array() as array<bigint>))"
-    single = "array_distinct(transform(filter(s.cells, c -> abs(c.n) = 1 AND c.c = xxhash64(c.k, 1)), c -> named_struct('n', c.n, 'k', c.k, 'c', c.c, 'h', xxhash64(c.k, 2))))"
-    take = (
-        "(t, p) -> named_struct('cells', transform(t.cells, (c, j) -> "
-        f"CASE WHEN {hits('p.h', 'j')} THEN named_struct('n', c.n - p.n, 'k', c.k ^ p.k, 'c', c.c ^ p.c) ELSE c END), "
-        "'plus', CASE WHEN p.n > 0 THEN array_append(t.plus, p.k) ELSE t.plus END, "
-        "'minus', CASE WHEN p.n < 0 THEN array_append(t.minus, p.k) ELSE t.minus END)"
-    )
+    none = "cast(array() as array<bigint>)"
+    start = f"named_struct('cells', {cell_array}, 'plus', {none}, 'minus', {none}, 'more', true)"
+    single = "array_distinct(transform(filter(s.cells, c -> abs(c.n) = 1 AND c.c = xxhash64(c.k, 1)), c -> " + item("c.k", "w.seed", "c.n") + "))"
+    keys = lambda sign: f"transform(filter(found, p -> p.n {sign} 0), p -> p.k)"
+    without = f"transform(s.cells, (c, j) -> aggregate(filter(found, p -> getbit(p.m, j) = 1), c, (t, p) -> named_struct('n', t.n - p.n, 'k', t.k ^ p.k, 'c', t.c ^ p.c)))"
+    take = f"named_struct('cells', {without}, 'plus', concat(s.plus, {keys('>')}), 'minus', concat(s.minus, {keys('<')}), 'more', true)"
+    stop = "named_struct('cells', s.cells, 'plus', s.plus, 'minus', s.minus, 'more', false)"
+    one = f"CASE WHEN NOT s.more THEN s ELSE {let('found', single, f'CASE WHEN size(found) = 0 THEN {stop} ELSE {take} END')} END"
     done = "s -> named_struct('plus', s.plus, 'minus', s.minus, 'ok', forall(s.cells, c -> c.n = 0 AND c.k = 0L))"
-    return f"aggregate(sequence(1, {ROUNDS}), {start}, (s, i) -> aggregate({single}, s, {take}), {done})"
+    return f"aggregate(sequence(1, {ROUNDS}), {start}, (s, i) -> {one}, {done})"
 
 
-def peel_dealt(a: str, b: str, times: int) -> str:
-    """Peel with the items dealt to many sketches: coarse parts first, so long texts stay linear."""
-    parts = f"named_struct('g', cast(greatest(1, ceil({times} * sqrt((size({a}) + size({b})) / 6.0))) as bigint))"
-    coarse = "pmod(shiftrightunsigned(x.h, 20), w.g) = u"
-    fine = "pmod(shiftrightunsigned(x.h, 40), w.g) = v"
-    inner = peel(subtract(cells("q.a"), cells("q.b")))
+def peel_dealt(a: str, b: str, retry: str) -> str:
+    """Peel with the digests dealt to many sketches: coarse parts first, so long texts stay linear."""
+    seed = f"cast({retry} + 3 as int)"
+    both = f"concat({items(f'transform({a}, x -> x.k)', seed)}, {items(f'transform({b}, x -> x.k)', seed, '-1')})"
+    parts = f"named_struct('seed', {seed}, 'g', cast(greatest(1, ceil(pow(2, {retry}) * sqrt((size({a}) + size({b})) / 6.0))) as bigint), 'x', {both})"
     empty = "named_struct('plus', cast(array() as array<bigint>), 'minus', cast(array() as array<bigint>), 'ok', true)"
     join = "named_struct('plus', concat(m.plus, r.plus), 'minus', concat(m.minus, r.minus), 'ok', r.ok)"
-    one = let("q", f"named_struct('a', filter(o.a, x -> {fine}), 'b', filter(o.b, x -> {fine}))", f"CASE WHEN size(q.a) + size(q.b) = 0 THEN m ELSE {let('r', inner, join)} END")
+    one = let("q", "filter(o, x -> pmod(shiftrightunsigned(x.h, 40), w.g) = v)", f"CASE WHEN size(q) = 0 THEN m ELSE {let('r', peel(cells('q')), join)} END")
     over_fine = f"aggregate(sequence(0L, w.g - 1L), m0, (m, v) -> CASE WHEN m.ok THEN {one} ELSE m END)"
-    over_coarse = f"aggregate(sequence(0L, w.g - 1L), {empty}, (m0, u) -> " + let("o", f"named_struct('a', filter({a}, x -> {coarse}), 'b', filter({b}, x -> {coarse}))", over_fine) + ")"
+    over_coarse = f"aggregate(sequence(0L, w.g - 1L), {empty}, (m0, u) -> CASE WHEN m0.ok THEN " + let("o", "filter(w.x, x -> pmod(shiftrightunsigned(x.h, 20), w.g) = u)", f"CASE WHEN size(o) = 0 THEN m0 ELSE {over_fine} END") + " ELSE m0 END)"
     return let("w", parts, over_coarse)
 
 
 def difference(a: str, b: str, a_cells: str, b_cells: str) -> str:
-    """Digests only in ``a`` and only in ``b``: small sketch, then larger ones, then sets."""
-    by_sets = f"named_struct('plus', array_except(transform({a}, x -> x.k), transform({b}, x -> x.k)), 'minus', array_except(transform({b}, x -> x.k), transform({a}, x -> x.k)), 'ok', true)"
-    larger = let("d2", peel_dealt(a, b, 2), f"CASE WHEN d2.ok THEN d2 ELSE {by_sets} END")
-    dealt = let("d1", peel_dealt(a, b, 1), f"CASE WHEN d1.ok THEN d1 ELSE {larger} END")
-    return let("d0", peel(subtract(a_cells, b_cells)), f"CASE WHEN d0.ok THEN d0 ELSE {dealt} END")
+    """Digests only in ``a`` and only in ``b``, and ``tries``: small sketch (0), then larger ones until one peels, then sets."""
+    of = lambda d, tries: f"named_struct('plus', {d}.plus, 'minus', {d}.minus, 'ok', {d}.ok, 'tries', {tries})"
+    first = let("w", "named_struct('seed', 2)", peel(subtract(a_cells, b_cells)))
+    larger = f"aggregate(sequence(0, {RETRIES - 1}), {let('d0', first, of('d0', '0'))}, (d, t) -> CASE WHEN d.ok THEN d ELSE {let('d1', peel_dealt(a, b, 't'), of('d1', 't + 1'))} END)"
+    by_sets = f"named_struct('plus', array_except(transform({a}, x -> x.k), transform({b}, x -> x.k)), 'minus', array_except(transform({b}, x -> x.k), transform({a}, x -> x.k)), 'ok', true, 'tries', {RETRIES + 1})"
+    return let("d9", larger, f"CASE WHEN d9.ok THEN d9 ELSE {by_sets} END")
 
 
 def likeness(diff: str, a: str, b: str) -> str:
@@ -104,11 +108,12 @@ def text_form(cell_array: str, item_array: str) -> str:
 
 
 def version_difference(df: DataFrame, old: str, new: str) -> DataFrame:
-    """Append ``removed`` and ``added`` (paragraph digests) and ``likeness`` of two text columns."""
-    body = let("f", "named_struct('a', " + cells("e.a") + ", 'b', " + cells("e.b") + ")", let("d", difference("e.a", "e.b", "f.a", "f.b"), f"named_struct('removed', d.plus, 'added', d.minus, 'likeness', {likeness('d', 'e.a', 'e.b')})"))
+    """Append ``removed`` and ``added`` (paragraph digests), ``likeness`` of two text columns and ``tries``,
+    the number of larger sketches that were needed."""
+    body = let("f", "named_struct('a', " + cells("e.a") + ", 'b', " + cells("e.b") + ")", let("d", difference("e.a", "e.b", "f.a", "f.b"), f"named_struct('removed', d.plus, 'added', d.minus, 'likeness', {likeness('d', 'e.a', 'e.b')}, 'tries', d.tries)"))
     made = let("e", f"named_struct('a', {items(digests(_text(old)))}, 'b', {items(digests(_text(new)))})", body)
-    kept = [F.col(f"`{c}`") for c in df.columns if c.lower() not in ("removed", "added", "likeness")]
-    return df.select(*kept, F.expr(made).alias("__v")).select(*kept, "__v.removed", "__v.added", "__v.likeness")
+    kept = [F.col(f"`{c}`") for c in df.columns if c.lower() not in ("removed", "added", "likeness", "tries")]
+    return df.select(*kept, F.expr(made).alias("__v")).select(*kept, "__v.removed", "__v.added", "__v.likeness", "__v.tries")
 
 
 def _text(name: str) -> str:
