@@ -39,11 +39,11 @@ ESCAPED = re.compile(rf"([<\[])\\(\\*)(?=(?:{_rest}))")
 
 
 def escape(text: str) -> str:
-    return TO_ESCAPE.sub(r"\1\\\2", text)
+    return TO_ESCAPE.sub(r"\1\\\2", text) if "<" in text or "[" in text else text
 
 
 def unescape(text: str) -> str:
-    return ESCAPED.sub(r"\1\2", text)
+    return ESCAPED.sub(r"\1\2", text) if "\\" in text else text
 
 
 class Assembler:
@@ -53,6 +53,10 @@ class Assembler:
         self.vocab = bpe.vocabulary(path, pattern)
         self.base = len(self.vocab.token_bytes)
         self.reserved = {c: self.base + i for i, c in enumerate(TEMPLATE)}
+        # bytes that do not continue a character, of each token and each reserved id
+        lengths = [len(t) for t in self.vocab.token_bytes] + [len(c) for c in TEMPLATE]
+        starts = np.frombuffer(b"".join(self.vocab.token_bytes) + "".join(TEMPLATE).encode(), np.uint8) & 0xC0 != 0x80
+        self.n_chars = np.diff(np.concatenate([[0], np.cumsum(starts)])[np.concatenate([[0], np.cumsum(lengths)])])
 
     def turns(self, roles: list[str], texts: list[str]) -> list[tuple[np.ndarray, int, int]]:
         """Ids of each turn with the first and the end token of its text, from prefix sums."""
@@ -70,16 +74,25 @@ class Assembler:
         parts = [TEMPLATE[i - self.base].encode() if i >= self.base else self.vocab.token_bytes[i] for i in ids.tolist()]
         return b"".join(parts).decode("utf-8", "surrogatepass")
 
-    def parse(self, ids: np.ndarray) -> list[tuple[str, str]]:
-        """Role and text of every turn in ``ids``, unescaped."""
+    def read(self, ids: np.ndarray) -> list[tuple[str, str, int, int]]:
+        """Role and text, unescaped, of every turn in ``ids``, and where its text stands."""
+        turn, middle, end = (self.reserved[c] for c in ("<|turn|>", "<|text|>", "<|end|>"))
+        at = np.flatnonzero(ids >= self.base).tolist()
+        kind = ids[at].tolist()
         out = []
-        starts = np.flatnonzero(ids == self.reserved["<|turn|>"])
-        for a in starts.tolist():
-            m = a + int(np.argmax(ids[a:] == self.reserved["<|text|>"]))
-            e = m + int(np.argmax(ids[m:] == self.reserved["<|end|>"]))
-            out.append((unescape(self.to_string(ids[a + 1 : m])), unescape(self.to_string(ids[m + 1 : e]))))
+        for i, k in enumerate(kind):
+            if k == turn:
+                if kind[i + 1 : i + 3] != [middle, end]:
+                    raise ValueError("a turn is not complete")
+                a, m, e = at[i : i + 3]
+                role, text = (unescape(self.vocab.decode(x).decode("utf-8", "surrogatepass")) for x in (ids[a + 1 : m], ids[m + 1 : e]))
+                out.append((role, text, m + 1, e))
         return out
 
+    def parse(self, ids: np.ndarray) -> list[tuple[str, str]]:
+        """Role and text of every turn in ``ids``, unescaped."""
+        return [r[:2] for r in self.read(ids)]
+
 
 @cache
 def assembler(path: str, pattern: str) -> Assembler:
@@ -134,9 +147,9 @@ def _grouped(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[bool, object,
     last: object = ...
     for b in batches:
         conv, lo, hi = b.column(0).to_pylist(), b.column(3).to_pylist(), b.column(4).to_pylist()
-        ids = b.column(2)
+        flat, ends = b.column(2).values.to_numpy(zero_copy_only=False), b.column(2).offsets.to_pylist()
         for i, c in enumerate(conv):
-            yield c != last or last is ..., c, ids[i].values.to_numpy(zero_copy_only=False), lo[i], hi[i]
+            yield c != last or last is ..., c, flat[ends[i] : ends[i + 1]], lo[i], hi[i]
             last = c
 
 
@@ -190,13 +203,16 @@ def _digests(batches: Iterator[pa.RecordBatch], path: str, pattern: str) -> Iter
             if open_conv is None or open_conv[0] != conv:
                 close()
                 open_conv = [conv, 0, hashlib.sha256(), 0, hashlib.sha256(), frame]
-            for role, text in made.parse(ids):
+            read = made.read(ids)
+            for role, text, _, _ in read:
                 open_conv[1] += 1
                 open_conv[2].update(f"{role}\n{text}\n".encode("utf-8", "surrogatepass"))
-            loss = unescape(made.to_string(ids[lo:hi]))
-            open_conv[3] += len(loss)
-            open_conv[4].update(loss.encode("utf-8", "surrogatepass"))
-            open_conv[5] += len(made.to_string(ids))
+            if lo < hi:
+                same = [text for _, text, a, e in read if (a, e) == (lo, hi)]  # the mask covers a text: read once
+                loss = same[0] if same else unescape(made.to_string(ids[lo:hi]))
+                open_conv[3] += len(loss)
+                open_conv[4].update(loss.encode("utf-8", "surrogatepass"))
+            open_conv[5] += int(made.n_chars[ids].sum())
         if len(rows) >= 1000:
             yield batch()
             rows = []
