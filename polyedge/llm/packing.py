@@ -156,7 +156,7 @@ def cut_lengths(n: int, capacity: int) -> list[tuple[int, int]]:
 
 
 @cache
-def _encoder(path: str) -> DocumentEncoder:
+def encoder(path: str) -> DocumentEncoder:
     return DocumentEncoder(path)
 
 
@@ -180,7 +180,7 @@ def _cut_documents(encode: DocumentEncoder, texts: list[str], capacity: int, end
 
 
 def _pieces(batches: Iterator[pa.RecordBatch], path: str, capacity: int, closing_id: int, with_ids: bool) -> Iterator[pa.RecordBatch]:
-    encode, end = _encoder(path), np.array([closing_id], "<u4").tobytes()
+    encode, end = encoder(path), np.array([closing_id], "<u4").tobytes()
     known = encode.known.setdefault((capacity, closing_id), {})
     for b in batches:
         ids = b.column(0)

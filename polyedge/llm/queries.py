@@ -7,13 +7,12 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from polyedge.llm import bpe, chat, fingerprints, packing, quality, secrets, simhash, token_counts, toxicity, webp
-from polyedge.llm.common import fresh_path, table
+from polyedge.llm import bpe, chat, fingerprints, packing, quality, secrets, simhash, sql, token_counts, toxicity, webp
+from polyedge.llm.common import cut, fresh_path, table
 
 
 def op1_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
-    return secrets.digest(docs, secrets.fit_on(docs))
+    return secrets.digest(table(spark, sf_dir, "documents"), secrets.default_model())
 
 
 def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -55,38 +54,22 @@ def op8_webp_media(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Load all documents, withdraw those labelled of low quality, recount the toxic ones by another rule."""
+    """Load all documents, withdraw those labelled of low quality, recount the toxic ones by another tokenizer."""
     docs = table(spark, sf_dir, "documents")
     labels = table(spark, sf_dir, "labels")
     low = labels.where("quality = 0").select("doc_id").distinct()
     toxic = labels.where("toxic = 1").select("doc_id").distinct().join(low, "doc_id", "left_anti")
-    by_rule = token_counts.counted_once(docs, ["words-1", "pieces-1"])
-    words, pieces = by_rule["words-1"], by_rule["pieces-1"]
+    first = cut(token_counts.counted(docs, "byte_bpe_50k", public_tokenizers.path("byte_bpe_50k.json")))
+    second = token_counts.counted(docs.join(toxic, "doc_id", "left_semi"), "byte_bpe_multi_50k", public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN)
     store = token_counts.Rollup(spark, fresh_path(spark, "token-counts"))
-    withdrawn = token_counts.signed(words.join(low, "doc_id", "left_semi"), -1)
-    store.commit("1-load", token_counts.signed(words, 1))
+    withdrawn = token_counts.signed(first.join(low, "doc_id", "left_semi"), -1)
+    store.commit("1-load", token_counts.signed(first, 1))
     store.commit("2-withdraw", withdrawn)
-    store.commit("3-recount", token_counts.revised(words.join(toxic, "doc_id", "left_semi"), pieces.join(toxic, "doc_id", "left_semi")))
+    store.commit("3-recount", token_counts.revised(first.join(toxic, "doc_id", "left_semi"), second))
     store.commit("2-withdraw", withdrawn)  # a replayed batch changes nothing
     return store.totals()
 
 
-OP9_SQL = r"""
-WITH low AS (SELECT DISTINCT doc_id FROM labels WHERE quality = 0),
-toxic AS (SELECT DISTINCT doc_id FROM labels WHERE toxic = 1),
-kept AS (
-  SELECT source, lang, coalesce(text, '') AS text, doc_id IN (SELECT doc_id FROM toxic) AS recounted
-  FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM low)
-)
-SELECT source, lang, CASE WHEN recounted THEN 'pieces-1' ELSE 'words-1' END AS tokenizer_version,
-  count(*) AS n_docs,
-  CAST(sum(CASE WHEN recounted THEN len(regexp_extract_all(text, '[A-Za-z]+|[0-9]|[^A-Za-z0-9 \t\n\x0B\f\r]'))
-    ELSE len(regexp_extract_all(text, '[^ \t\n\x0B\f\r]+')) END) AS BIGINT) AS n_tokens,
-  CAST(sum(length(text)) AS BIGINT) AS n_chars
-FROM kept GROUP BY ALL
-"""
-
-
 def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     fold = F.crc32(F.col("doc_id").cast("string")) % 3
@@ -111,4 +94,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op9_token_counts": OP9_SQL}
+    return dict(sql.ORACLES)

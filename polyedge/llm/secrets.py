@@ -1,11 +1,16 @@
 """Secret scans: fixed patterns, then character Markov models compared by log-likelihood ratio.
 
-Two first-order character models are trained from labelled samples: random strings and ordinary
-identifiers.  A maximal run of key characters is reported as ``markov`` when its log-likelihood
-ratio (random over ordinary) passes both a total and a per-character bound and no pattern already
-covers any of it.  Pattern matches always stay.
-
-Defined results: null and empty texts have no spans; offsets are code points, end exclusive.
+First-order character models are trained from labelled samples, one for each alphabet of random
+strings and one for each style of ordinary identifiers.  A class is the even mixture of its models,
+so a string over letters of one case alone is measured against random letters of that case.  A
+maximal run of 16 or more key characters is reported as ``markov`` when the log-likelihood ratio of
+the two mixtures passes a bound and no pattern already covers any of it; nothing else decides.  The
+bound is set on the third of the samples that trains no model, so that a stated share of ordinary
+ones passes; the model keeps both error rates.  Pattern matches always stay.
+
+Long numbers (cards, accounts, times) are labelled as ordinary in the samples given here, so runs of
+digits are not reported.  Defined results: null and empty texts have no spans; offsets are code
+points, end exclusive; spans that tie in start and kind follow by end; repeated rows each get theirs.
 """
 
 from __future__ import annotations
@@ -14,12 +19,11 @@ import hashlib
 import random
 import re
 import string
-from collections.abc import Iterator
+from collections.abc import Callable
 from dataclasses import dataclass
-from functools import partial
+from functools import cache, partial
 
 import numpy as np
-import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F, types as T
 
 from polyedge.llm import common
@@ -49,27 +53,12 @@ def base_spans(text: str) -> list[Span]:
     return out
 
 
-@dataclass
-class MarkovModel:
-    """Transition log-probabilities of one class; row ``len(ALPHABET)`` is the start of a string."""
-
-    log_p: np.ndarray
-
-    @classmethod
-    def train(cls, samples: list[str], smooth: float = 0.5, more: np.ndarray | None = None) -> MarkovModel:
-        """From samples and, if given, a matrix of further transition counts."""
-        counts = transitions(samples) + smooth + (0 if more is None else more)
-        return cls(np.log(counts / counts.sum(1, keepdims=True)))
-
-    def log_likelihood(self, x: np.ndarray) -> float:
-        return float(self.log_p[np.concatenate([[len(ALPHABET)], x[:-1]]), x].sum())
-
-
 def encode(s: str) -> np.ndarray:
     return INDEX[np.minimum(np.frombuffer(s.encode("utf-32-le", "surrogatepass"), np.uint32), 127)]
 
 
 def transitions(samples: list[str]) -> np.ndarray:
+    """Counts of the next character (columns) after each one (rows; the last row is the start)."""
     k = len(ALPHABET)
     counts = np.zeros((k + 1, k + 1))
     for s in samples:
@@ -78,18 +67,33 @@ def transitions(samples: list[str]) -> np.ndarray:
     return counts
 
 
+def train(samples: list[str], smooth: float) -> np.ndarray:
+    """Transition log-probabilities of one first-order model."""
+    counts = transitions(samples) + smooth
+    return np.log(counts / counts.sum(1, keepdims=True))
+
+
+def mixture(log_p: np.ndarray, x: np.ndarray) -> float:
+    """Log-likelihood of encoded characters under the even mixture of the models of one class."""
+    each = log_p[:, np.concatenate([[len(ALPHABET)], x[:-1]]), x].sum(1)
+    top = each.max()
+    return float(top + np.log(np.exp(each - top).mean()))
+
+
 @dataclass
 class SecretModel:
-    ratio: np.ndarray  # log-probability of random strings less that of identifiers
-    total: float = 14.0
-    per_char: float = 0.55
+    random: np.ndarray  # (models, characters + start, characters) log-probabilities
+    ordinary: np.ndarray
+    bound: float
+    missed: float = 0.0  # share of the held-out random strings below the bound
+    wrong: float = 0.0  # share of the held-out ordinary ones that pass it
 
-    def is_random(self, s: str) -> bool:
-        if not any(c.isalpha() for c in s) or not (any(c.isdigit() for c in s) or (s != s.lower() and s != s.upper())):
-            return False
+    def ratio(self, s: str) -> float:
         x = encode(s)
-        r = float(self.ratio[np.concatenate([[len(ALPHABET)], x[:-1]]), x].sum())
-        return r >= self.total and r >= self.per_char * len(x)
+        return mixture(self.random, x) - mixture(self.ordinary, x)
+
+    def is_random(self, s: str) -> bool:
+        return self.ratio(s) >= self.bound
 
     def spans(self, text: str) -> list[Span]:
         """All spans, by start, then by kind as listed, then by end."""
@@ -106,58 +110,96 @@ class SecretModel:
         return sorted(out, key=lambda s: (s[1], KINDS.index(s[0]), s[2]))
 
 
-def default_samples(seed: int = 11, each: int = 1500) -> tuple[list[str], list[str]]:
-    """Labelled samples made by rule: random keys of common alphabets; identifiers, words, paths, hosts."""
+# fixed values: alphabets of keys
+LOWER, UPPER, DIGITS = string.ascii_lowercase, string.ascii_uppercase, string.digits
+KEY_ALPHABETS = {
+    "hex": DIGITS + "abcdef", "upper hex": DIGITS + "ABCDEF", "base32": UPPER + "234567", "lower": LOWER, "upper": UPPER,
+    "lower and digits": LOWER + DIGITS, "upper and digits": UPPER + DIGITS, "letters": LOWER + UPPER, "letters and digits": LOWER + UPPER + DIGITS,
+    "base64": LOWER + UPPER + DIGITS + "+/", "url safe": LOWER + UPPER + DIGITS + "_-",
+}
+# fixed values: parts of identifiers, and common words and endings of four languages
+PARTS = "get set read write user name file path list item value key index count total data table row column page view model train test load save open close start stop first last next prev error result input output string number date time hash map tree node edge graph image text word line char byte size length width height color source target server client request response http https www com org net example mail static content type version config default local global public private class method function return import export module package build main index html json xml csv"
+WORDS = (
+    "the of and to in is that it for was on with as be by this are from or an they at have not but what all were when there can your which their said each about how will other time many then them these some her would make like him into has look two more write see number way could people than first water been call who now find long down day did get come made may part over new sound take only little work know place year live back give most very after thing just name good sentence man think say great where help through much before line right too means old any same tell boy follow came want show also around form three small set put end does another well large must big even such because turn here why ask went men read need land different home us move try kind hand picture again change off play spell air away animal house point page letter mother answer found study still learn should world ing ed er ion tion ly ment ness able "
+    "le la les de des du un une et en que qui dans pour par sur avec est sont pas plus ce cette ne se au aux il elle nous vous ont mais comme ou son sa ses leur tout faire temps tres bien entre deux aussi sans sous meme encore monde ville jour homme femme eau ellement ique eur ance ie ier ouvrir quelle porter ementre "
+    "der die das und ein eine einer ist nicht mit von zu den dem des sich auf fur im auch als an es war bei aus nach wie hat sie wir ihr kann noch werden haben durch wird uber nur oder aber vor zwischen gegen jahr zeit stadt wasser mann frau kinder schon sehr pferd kopf platz jetzt katze zwei heit keit ung lich schaft isch chen sch ver ber ge zwanzig "
+    "el los las una por con para como mas pero sus este esta entre cuando muy sin sobre ser tiene tambien me hasta hay donde quien desde todo nos durante todos uno les ni contra otros ese eso ante ellos esto mi antes algunos que unos yo otro otras otra tanto esa estos mucho nada muchos cual poco ella estar estas algo cion ado ando mente dad ero oso ito"
+)
+
+
+def key_samples(rng: random.Random, each: int) -> dict[str, list[str]]:
+    return {kind: ["".join(rng.choices(a, k=rng.randint(16, 64))) for _ in range(each)] for kind, a in KEY_ALPHABETS.items()}
+
+
+def ordinary_samples(rng: random.Random, each: int) -> dict[str, list[str]]:
+    """Identifiers, words, hosts, paths and numbers, of 16 characters on."""
+    parts, words = PARTS.split(), WORDS.split()
+
+    def grown(make: Callable[[], str], joint: str) -> str:
+        s = make()
+        while len(s) < 16:
+            s += joint + make()
+        return s
+
+    def number() -> str:
+        return str(rng.randint(0, 2030)) if rng.random() < 0.3 else ""
+
+    styles: dict[str, Callable[[], str]] = {
+        "words": lambda: grown(lambda: rng.choice(words), ""),
+        "capital words": lambda: grown(lambda: rng.choice(words), "").upper(),
+        "titled words": lambda: grown(lambda: rng.choice(words), "").title(),
+        "snake": lambda: grown(lambda: rng.choice(parts), "_") + number(),
+        "capital snake": lambda: grown(lambda: rng.choice(parts + words), "_").upper() + number(),
+        "camel": lambda: rng.choice(parts) + grown(lambda: rng.choice(parts).title(), "") + number(),
+        "kebab": lambda: grown(lambda: rng.choice(parts + words), "-") + number(),
+        "dotted": lambda: grown(lambda: rng.choice(parts) + number(), "."),
+        "path": lambda: grown(lambda: rng.choice(parts) + number(), "/") + rng.choice(["", ".html", ".json", ".py", ".txt"]),
+        "sentence": lambda: grown(lambda: rng.choice(words), rng.choice([".", "...", "--", "/"])),
+        "number": lambda: "".join(rng.choices(DIGITS, k=rng.randint(16, 24))),
+        "groups of digits": lambda: grown(lambda: "".join(rng.choices(DIGITS, k=rng.choice([2, 3, 4, 4]))), rng.choice([".", "-", "/"])),
+        "rule": lambda: rng.choice("=-_.+/" + LOWER + UPPER + DIGITS) * rng.randint(16, 60),
+        "series": lambda: (rng.choice([LOWER, UPPER, DIGITS, LOWER[::-1], DIGITS + LOWER, LOWER + UPPER]) * 3)[(k := rng.randint(0, 25)) : k + rng.randint(16, 40)],
+    }
+    return {kind: [make() for _ in range(each)] for kind, make in styles.items()}
+
+
+def default_samples(seed: int = 11, each: int = 600) -> tuple[dict[str, list[str]], dict[str, list[str]]]:
+    """Labelled samples made by rule: random keys by alphabet, ordinary identifiers by style."""
     rng = random.Random(seed)
-    sets = [string.hexdigits[:16], string.ascii_letters + string.digits, string.ascii_letters + string.digits + "+/", string.ascii_uppercase + "234567", string.ascii_lowercase + string.digits, string.ascii_letters + string.digits + "_-"]
-    rand = ["".join(rng.choices(a, k=rng.randint(16, 64))) for a in sets for _ in range(each // 3)]
-    parts = "get set read write user name file path list item value key index count total data table row column page view model train test load save open close start stop first last next prev error result input output string number date time hash map tree node edge graph image text word line char byte size length width height color source target server client request response http https www com org net example mail static content type version config default local global public private class method function return import export module package build main index html json xml csv".split()
-    ident = []
-    for _ in range(each * 2):
-        w = rng.choices(parts, k=rng.randint(1, 5))
-        form = rng.randrange(6)
-        n = str(rng.randint(0, 2030)) if rng.random() < 0.3 else ""
-        ident.append({0: "_".join(w), 1: w[0] + "".join(x.title() for x in w[1:]), 2: "-".join(w), 3: ".".join(w), 4: "/".join(w), 5: "_".join(w).upper()}[form] + n)
-    return rand, ident
-
-
-def fit(random_strings: list[str], identifiers: list[str], total: float = 14.0, per_char: float = 0.55, more: np.ndarray | None = None) -> SecretModel:
-    a, b = MarkovModel.train(random_strings), MarkovModel.train(identifiers, more=more)
-    return SecretModel(a.log_p - b.log_p, total, per_char)
-
-
-WORD = re.compile(r"[A-Za-z0-9+/_=.-]{4,}")
-
-
-def ordinary_words(texts: list[str]) -> list[str]:
-    """Identifier samples from texts: runs outside every pattern match, also in capitals."""
-    out = []
-    for t in texts:
-        base = [(a, b) for _, a, b in base_spans(t)]
-        for m in WORD.finditer(t):
-            w = m.group().strip(".-_=/+")
-            if len(w) < 24 and not any(a < m.end() and m.start() < b for a, b in base) and not w.isdigit():
-                out += [w, w.upper()]
-    return out
-
-
-def fit_on(docs: DataFrame, sample_docs: int = 200) -> SecretModel:
-    """Default samples plus the words of at most ``sample_docs`` documents, those whose id hashes lowest."""
-    drawn = common.draw(docs.select("doc_id", "text"), "doc_id", sample_docs).select(F.col("text").cast("string"))
-    common.ship(docs.sparkSession)
-    counts = drawn.mapInArrow(_word_transitions, "n array<double>").collect()
-    k = len(ALPHABET) + 1
-    more = sum((np.array(r["n"]).reshape(k, k) for r in counts), np.zeros((k, k)))
-    return fit(*default_samples(), more=more)
-
-
-def _word_transitions(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Transition counts of the ordinary words of all texts of one task."""
-    total = np.zeros((len(ALPHABET) + 1,) * 2)
-    for b in batches:
-        for t in b.column(0).to_pylist():
-            total += transitions(ordinary_words([t or ""]))
-    yield pa.RecordBatch.from_arrays([pa.array([total.ravel()])], names=["n"])
+    return key_samples(rng, each), ordinary_samples(rng, each)
+
+
+def fit(random_strings: dict[str, list[str]], identifiers: dict[str, list[str]], pass_ordinary: float = 0.0005, least: float = 3.0) -> SecretModel:
+    """Models of every alphabet and style from two thirds of the samples; the bound from the rest.
+
+    The bound lets the share ``pass_ordinary`` of the ordinary samples pass and is ``least`` or more.
+    """
+    # random letters follow each other evenly: more smoothing; ordinary ones do not
+    models = [np.stack([train([s for i, s in enumerate(x) if i % 3], smooth) for x in kinds.values()]) for kinds, smooth in ((random_strings, 1.0), (identifiers, 0.02))]
+    held = [[s for x in kinds.values() for s in x[::3]] for kinds in (random_strings, identifiers)]
+    model = SecretModel(*models, bound=least)
+    keys, names = (np.array([model.ratio(s) for s in x]) for x in held)
+    if len(names):
+        model.bound = max(least, float(np.quantile(names, 1 - pass_ordinary)))
+    model.missed = float((keys < model.bound).mean()) if len(keys) else 0.0
+    model.wrong = float((names >= model.bound).mean()) if len(names) else 0.0
+    return model
+
+
+@cache
+def default_model() -> SecretModel:
+    return fit(*default_samples())
+
+
+def fit_labelled(samples: DataFrame, text_col: str = "text", kind_col: str = "kind", label_col: str = "is_random", max_rows: int = 20_000) -> SecretModel:
+    """Fit on a table of labelled strings, at most ``max_rows`` of them (those whose text hashes lowest)."""
+    rows = common.draw(samples.where(F.col(text_col).isNotNull() & F.col(label_col).isNotNull()).select(F.col(text_col).alias("t"), F.coalesce(F.col(kind_col).cast("string"), F.lit("")).alias("k"), F.col(label_col).cast("boolean").alias("y")), "t", max_rows)
+    classes: tuple[dict[str, list[str]], dict[str, list[str]]] = ({}, {})
+    for t, k, y in rows.collect():
+        classes[0 if y else 1].setdefault(k, []).append(t)
+    if not all(classes):
+        raise ValueError("both random strings and ordinary ones are needed")
+    return fit(*classes)
 
 
 def _columns(texts: list[str], model: SecretModel) -> list[list]:

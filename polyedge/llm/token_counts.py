@@ -1,53 +1,50 @@
 """Token counts: additive rollups by source, language and tokenizer version, kept by signed deltas.
 
 A change of the corpus is a batch of signed rows: an insert adds a document's counts, a delete
-subtracts them, a revised count subtracts the old and adds the new ones.  A batch is summed per
-group before it is written, so a hot source is one row per task in the shuffle.  A batch is
-committed once: its folder counts only with the marker that Spark writes last, a batch id that has
-one is not written again, and an unfinished one is overwritten.  Totals are sums over the committed
-batches; ``compact`` folds them into one.
-
-Defined results: null sources, languages and texts are groups and empty texts of their own; groups
-whose counts all return to zero leave the totals; an empty batch commits and changes nothing.
+subtracts them, a revised count subtracts the old and adds the new ones.  Tokens are counted by the
+tokenizer that the version names.  A batch is summed per group before it is written, so a hot source
+is one row per task in the shuffle.  It is written to a folder of its own and committed by renaming
+that folder to the batch id, which fails where the id is taken: of several writers of one id, also at
+one time, a single one commits and the others change nothing.  (The rename is atomic in file systems
+where it is, as HDFS or a local one.)  Totals are sums over the committed batches; ``compact`` folds
+them into one.
+
+Defined results: null sources, languages and texts are groups and empty texts of their own; rows of
+one id are counted each; a null id joins no list of ids; groups whose counts all return to zero leave
+the totals; an empty batch commits and changes nothing.
 """
 
 from __future__ import annotations
 
+import uuid
 from functools import partial
 
-from pyspark.sql import Column, DataFrame, SparkSession, functions as F, types as T
+from py4j.protocol import Py4JJavaError
+from pyspark.sql import DataFrame, SparkSession, functions as F, types as T
 
-from polyedge.llm import bpe, common
+from polyedge.llm import bpe, common, packing
 
 KEYS = ["source", "lang", "tokenizer_version"]
 SUMS = ["n_docs", "n_tokens", "n_chars"]
-# fixed values: what counts as one token in each rule version
-RULES = {"words-1": r"[^ \t\n\x0B\f\r]+", "pieces-1": r"[A-Za-z]+|[0-9]|[^A-Za-z0-9 \t\n\x0B\f\r]"}
 
 
-def count_by_rule(text: Column, version: str) -> Column:
-    return F.regexp_count(F.coalesce(text.cast("string"), F.lit("")), F.lit(RULES[version])).cast("long")
+def _lengths(texts: list[str], path: str, pattern: str | None) -> list[list[int]]:
+    encode = packing.encoder(path) if pattern is None else bpe.vocabulary(path, pattern).encode_batch
+    out = []
+    for at in range(0, len(texts), 512):
+        out += [len(x) // 4 for x in encode(texts[at : at + 512])]
+    return [out]
 
 
-def _lengths(texts: list[str], path: str, pattern: str) -> list[list[int]]:
-    return [[len(x) // 4 for x in bpe.vocabulary(path, pattern).encode_batch(texts)]]
+def counted(docs: DataFrame, version: str, path: str, pattern: str | None = None) -> DataFrame:
+    """(doc_id, source, lang, tokenizer_version, n_tokens, n_chars) of every row.
 
-
-def counted(docs: DataFrame, version: str, path: str | None = None, pattern: str | None = None) -> DataFrame:
-    """(doc_id, source, lang, tokenizer_version, n_tokens, n_chars) by a rule or a rank file."""
-    if path is None:
-        rows = docs.withColumn("n_tokens", count_by_rule(F.col("text"), version))
-    else:
-        rows = common.with_text_columns(docs, "text", partial(_lengths, path=path, pattern=pattern), [("n_tokens", T.LongType())])
-    return rows.select("doc_id", "source", "lang", F.lit(version).alias("tokenizer_version"), "n_tokens", F.coalesce(F.char_length(F.col("text").cast("string")), F.lit(0)).cast("long").alias("n_chars"))
-
-
-def counted_once(docs: DataFrame, versions: list[str]) -> dict[str, DataFrame]:
-    """``counted`` for several rules from one scan: the counts, without texts, are written once and
-    every batch that follows joins and sums those narrow rows."""
-    n_chars = F.coalesce(F.char_length(F.col("text").cast("string")), F.lit(0)).cast("long").alias("n_chars")
-    rows = common.cut(docs.select("doc_id", "source", "lang", n_chars, *[count_by_rule(F.col("text"), v).alias(f"n_{i}") for i, v in enumerate(versions)]))
-    return {v: rows.select("doc_id", "source", "lang", F.lit(v).alias("tokenizer_version"), F.col(f"n_{i}").alias("n_tokens"), "n_chars") for i, v in enumerate(versions)}
+    ``path`` is a tokenizer file (json), or with ``pattern`` a file of ranks.
+    """
+    n_chars = F.coalesce(F.char_length(F.col("text").cast("string")), F.lit(0)).cast("long").alias("__chars")
+    rows = docs.select("doc_id", "source", "lang", n_chars, "text")
+    rows = common.with_text_columns(rows, "text", partial(_lengths, path=path, pattern=pattern), [("n_tokens", T.LongType())], keep=["doc_id", "source", "lang", "__chars"])
+    return rows.select("doc_id", "source", "lang", F.lit(version).alias("tokenizer_version"), "n_tokens", F.col("__chars").alias("n_chars"))
 
 
 def signed(rows: DataFrame, sign: int) -> DataFrame:
@@ -69,9 +66,11 @@ class Rollup:
     def __init__(self, spark: SparkSession, path: str):
         self.spark, self.path = spark, path.rstrip("/")
 
-    def _exists(self, path: str) -> bool:
-        p = self.spark._jvm.org.apache.hadoop.fs.Path(path)
-        return p.getFileSystem(self.spark._jsc.hadoopConfiguration()).exists(p)
+    def _path(self, path: str):
+        return self.spark._jvm.org.apache.hadoop.fs.Path(path)
+
+    def _system(self):
+        return self._path(self.path).getFileSystem(self.spark._jsc.hadoopConfiguration())
 
     def _folder(self, batch_id: str) -> str:
         if not batch_id or not all(c.isalnum() or c in "-_" for c in batch_id):
@@ -79,23 +78,39 @@ class Rollup:
         return f"{self.path}/batch={batch_id}"
 
     def committed(self, batch_id: str) -> bool:
-        return self._exists(f"{self._folder(batch_id)}/_SUCCESS")
+        return self._system().exists(self._path(self._folder(batch_id)))
+
+    def _rename(self, source: str, target: str) -> bool:
+        """False if the target exists."""
+        fs, jvm = self.spark._jvm.org.apache.hadoop.fs, self.spark._jvm
+        kind = getattr(fs, "Options$Rename")
+        options = self.spark.sparkContext._gateway.new_array(kind, 1)
+        options[0] = kind.NONE
+        src = self._system().makeQualified(self._path(source))
+        try:
+            jvm.org.apache.hadoop.fs.FileContext.getFileContext(src.toUri(), self.spark._jsc.hadoopConfiguration()).rename(src, self._system().makeQualified(self._path(target)), options)
+        except Py4JJavaError as e:
+            if "FileAlreadyExistsException" in str(e.java_exception):
+                return False
+            raise
+        return True
 
     def commit(self, batch_id: str, deltas: DataFrame) -> bool:
-        """True if the batch was written, False if it had been committed before."""
+        """True if this call committed the batch, False if it had been or was meanwhile by another."""
         if self.committed(batch_id):
             return False
-        summed(deltas).write.mode("overwrite").parquet(self._folder(batch_id))
-        return True
+        attempt = f"{self.path}/_attempt-{batch_id}-{uuid.uuid4().hex}"
+        summed(deltas).write.parquet(attempt)
+        done = self._rename(attempt, self._folder(batch_id))
+        if not done:
+            self._system().delete(self._path(attempt), True)
+        return done
 
     def batches(self) -> list[str]:
-        p = self.spark._jvm.org.apache.hadoop.fs.Path(self.path)
-        fs = p.getFileSystem(self.spark._jsc.hadoopConfiguration())
-        if not fs.exists(p):
+        if not self._system().exists(self._path(self.path)):
             return []
-        names = [s.getPath().getName() for s in fs.listStatus(p)]
-        ids = sorted(n.removeprefix("batch=") for n in names if n.startswith("batch="))
-        return [i for i in ids if self.committed(i)]
+        names = [s.getPath().getName() for s in self._system().listStatus(self._path(self.path))]
+        return sorted(n.removeprefix("batch=") for n in names if n.startswith("batch="))
 
     def totals(self) -> DataFrame:
         ids = self.batches()
