@@ -27,7 +27,7 @@ def keep_distinct(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 def remove_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Secrets in texts are replaced by marks; lengths follow."""
-    done = secrets.redact(docs, secrets.fit_on(docs)).withColumns({"text": F.col("redacted_text"), "n_chars": F.char_length("redacted_text").cast(docs.schema["n_chars"].dataType)})
+    done = secrets.redact(docs, secrets.default_model()).withColumns({"text": F.col("redacted_text"), "n_chars": F.char_length("redacted_text").cast(docs.schema["n_chars"].dataType)})
     return done.select(*docs.columns)
 
 

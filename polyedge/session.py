@@ -40,10 +40,14 @@ def ship(spark: SparkSession) -> None:
 
 
 def checkpoint_dir(spark: SparkSession) -> str:
-    """The shared folder the cluster names; one of our own only where none is set."""
+    """The shared folder the cluster names; one of our own only where none is set and all run on one machine."""
     sc = spark.sparkContext
     held = sc._jsc.sc().getCheckpointDir()
-    where = spark.conf.get("spark.checkpoint.dir", None) or (held.get() if held.isDefined() else tempfile.mkdtemp(prefix="shared"))
+    where = spark.conf.get("spark.checkpoint.dir", None) or (held.get() if held.isDefined() else None)
+    if where is None:
+        if not sc.master.startswith("local["):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
+        where = tempfile.mkdtemp(prefix="shared")
     if not held.isDefined():
         sc.setCheckpointDir(where)
     return where
