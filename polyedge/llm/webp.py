@@ -2,14 +2,19 @@
 
 The reader takes any lossless file: prefix codes with several groups, back-references, the colour
 cache, and the predictor, cross-colour, subtract-green and palette transforms, also stacked.  Where
-all prefix codes of a picture are of equal length and no back-reference or cache can occur, its
-symbols stand at fixed bit positions and are read as one matrix.  The writer stores byte payloads
-that way: three bytes a pixel, each channel in the shortest equal-length code for the values that
-it holds.  ``encode_image`` writes the other features too, for the round-trip tests.
-
-Defined results: a payload is padded with bytes 255 to a positive multiple of 576 (192 pixels), so
-a null or empty text is one row of white pixels; one beyond 16,383 rows continues in further files,
-one behind the other.  A broken file raises ValueError.
+a picture has one group of codes and no cache, a code means the same at every bit, so the symbols and
+lengths at all bit positions are looked up at once, the chain of those that are read is followed, and
+only back-references are copied one by one; other pictures are read symbol by symbol.
+
+The writer stores a byte payload as grey pixels, a byte each: with the palette transform where at most
+16 values occur (several pixels then share one), else with subtract-green, which leaves one channel.
+Repeated passages become back-references, found by sorted hashes of six bytes, and the rest has prefix
+codes fitted to its counts.  A colour cache gains nothing on one channel and the spatial transforms
+lose on text, so ``store_bytes`` writes neither; ``encode_image`` writes every feature.
+
+Defined results: a payload is padded with bytes 255 to a positive multiple of 576 (a row), so a null
+or empty text is one row of white pixels; one beyond 1,024 rows continues in further files, one behind
+the other.  Equal texts give equal files.  A broken file raises ValueError.
 """
 
 from __future__ import annotations
@@ -20,14 +25,14 @@ import struct
 import zlib
 from collections import Counter
 from collections.abc import Sequence
-from functools import partial
+from functools import cache, partial
 
 import numpy as np
 from pyspark.sql import DataFrame, functions as F, types as T
 
 from polyedge.llm import common
 
-UNIT, WIDTH, MOST_ROWS = 576, 192, 16_383
+UNIT, WIDTH, MOST_ROWS = 576, 576, 1024
 # fixed values of the format: order of code length codes; near distances as (columns left, rows up)
 LENGTH_ORDER = [17, 18, 0, 1, 2, 3, 4, 5, 16, 6, 7, 8, 9, 10, 11, 12, 13, 14, 15]
 NEAR = [
@@ -79,6 +84,16 @@ def canonical(lengths: Sequence[int]) -> dict[int, tuple[int, int]]:
     return out
 
 
+@cache
+def reversed_bits(n: int) -> np.ndarray:
+    """Every number of ``n`` bits, its bits in the other order."""
+    x, out = np.arange(1 << n), np.zeros(1 << n, np.int64)
+    for _ in range(n):
+        out = out << 1 | x & 1
+        x = x >> 1
+    return out
+
+
 class PrefixCode:
     """Decoder of one code by a table over its longest length."""
 
@@ -94,10 +109,13 @@ class PrefixCode:
             raise ValueError("a prefix code is not complete")
         self._table: list[tuple[int, int]] | None = None
 
-    @property
-    def equal(self) -> int | None:
-        """The length, if all symbols have the same."""
-        return self.bits if set(self.lengths.values()) == {self.bits} else None
+    def tables(self) -> tuple[np.ndarray, np.ndarray]:
+        """Symbol and length for each value of the next ``bits`` bits."""
+        used = sorted((n, s) for s, n in self.lengths.items())
+        length, symbol = np.array(used, np.int64).T
+        times = 1 << (self.bits - length)
+        order = reversed_bits(self.bits)
+        return np.repeat(symbol, times)[order], np.repeat(length, times)[order]
 
     def symbol(self, r: BitReader) -> int:
         if self._table is None:
@@ -156,25 +174,94 @@ def read_value(r: BitReader, prefix: int) -> int:
 # ---------------------------------------------------------------- reading pixels
 
 
-def _read_matrix(r: BitReader, codes: list[PrefixCode], n: int) -> np.ndarray | None:
-    """Pixels of equal-length codes without references, or None."""
-    widths = [c.equal for c in codes[:4]]
-    if any(w is None for w in widths) or max(codes[0].lengths) >= LITERALS:
-        return None
-    total = sum(widths)
-    if r.at + total * n > 8 * len(r.data):
+def _read_parallel(r: BitReader, codes: list[PrefixCode], width: int, n: int) -> np.ndarray:
+    """Pixels of a picture of one group without a cache: all bit positions at once, then the chain."""
+    first, ahead = r.at >> 3, r.at & 7
+    raw = np.frombuffer(r.data, np.uint8, offset=first) if first < len(r.data) else np.empty(0, np.uint8)
+    raw = np.concatenate([raw, np.zeros(12, np.uint8)]).astype(np.uint32)
+    words = raw[:-3] | raw[1:-2] << np.uint32(8) | raw[2:-1] << np.uint32(16) | raw[3:] << np.uint32(24)
+    # the next 25 bits at each bit position
+    view = (words[:, None] >> np.arange(8, dtype=np.uint32)).ravel()
+    end = 8 * (len(r.data) - first)  # bits of the file; positions up to 40 behind it can be looked at
+    tables = [c.tables() if c.bits else (np.array([next(iter(c.lengths))]), np.zeros(1, np.int64)) for c in codes]
+    masks = [np.uint32((1 << c.bits) - 1) for c in codes]
+
+    def look(k: int, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        v = view[np.minimum(at, len(view) - 1)] & masks[k]
+        return tables[k][0][v], tables[k][1][v]
+
+    def extra(prefix: np.ndarray) -> np.ndarray:
+        return np.where(prefix < 4, 0, (prefix - 2) >> 1)
+
+    def value(prefix: np.ndarray, at: np.ndarray) -> np.ndarray:
+        e = extra(prefix)
+        more = view[np.minimum(at, len(view) - 1)].astype(np.int64) & ((1 << e) - 1)
+        return np.where(prefix < 4, prefix + 1, ((2 + (prefix & 1)) << e) + more + 1)
+
+    green = view[: end + 1] & masks[0]
+    symbol, after = tables[0][0].astype(np.int16)[green], np.arange(end + 1, dtype=np.int32)
+    after += tables[0][1].astype(np.int32)[green]
+    copies = np.flatnonzero(symbol >= LITERALS) if max(codes[0].lengths) >= LITERALS else np.empty(0, np.int64)
+    behind = after[copies].astype(np.int64)
+    for k in (1, 2, 3):
+        if codes[k].bits:
+            after += tables[k][1].astype(np.int32)[view[np.minimum(after, len(view) - 1)] & masks[k]]
+    if len(copies):
+        behind += extra(symbol[copies].astype(np.int64) - LITERALS)
+        prefix, size = look(4, behind)
+        after[copies] = behind + size + extra(prefix)
+    if not any(c.bits for c in codes[:4]):  # every pixel is the same and takes no bits
+        argb = [int(t[0][0]) for t in tables[:4]]
+        if argb[0] >= LITERALS:
+            raise ValueError("a reference leaves the picture")
+        return np.full(n, argb[3] << 24 | argb[1] << 16 | argb[0] << 8 | argb[2], np.uint32)
+    # eight symbols a step, then those between
+    jumps = [np.minimum(after, end)]
+    for _ in range(3):
+        jumps.append(jumps[-1][jumps[-1]])
+    far, steps, at = [], memoryview(jumps[3]), ahead
+    while at < end:
+        far.append(at)
+        at = steps[at]
+    chain = np.array(far, np.int64)
+    for jump in jumps[2::-1]:
+        chain = np.stack([chain, jump[chain]], 1).ravel()
+    chain = chain[chain < end]
+    kind = symbol[chain].astype(np.int64)
+    counts = np.ones(len(chain), np.int64)
+    on = np.flatnonzero(kind >= LITERALS)
+    if len(on):
+        at = chain[on] + look(0, chain[on])[1]
+        counts[on] = value(kind[on] - LITERALS, at)
+        at += extra(kind[on] - LITERALS)
+        prefix, size = look(4, at)
+        distance = value(prefix, at + size)
+        near = np.array([max(1, x + y * width) for x, y in NEAR], np.int64)
+        distance = np.where(distance > len(NEAR), distance - len(NEAR), near[np.minimum(distance, len(NEAR)) - 1])
+    ends = np.cumsum(counts)
+    tokens = int(np.searchsorted(ends, n)) + 1
+    if tokens > len(ends) or ends[tokens - 1] != n:
+        raise ValueError("file ends early" if tokens > len(ends) else "a reference leaves the picture")
+    r.at = 8 * first + int(after[chain[tokens - 1]])
+    if r.at > 8 * len(r.data):
         raise ValueError("file ends early")
-    first = r.at >> 3
-    bits = np.unpackbits(np.frombuffer(r.data, np.uint8, count=(((r.at & 7) + total * n + 7) >> 3), offset=first), bitorder="little")[r.at & 7 :][: total * n].reshape(n, total)
-    r.at += total * n
-    out, at = np.zeros(n, np.uint32), 0
-    for code, w, shift in zip(codes[:4], widths, (8, 16, 0, 24), strict=True):
-        symbols = np.array(sorted(code.lengths), np.uint32)
-        index = np.zeros(n, np.intp)
-        for i in range(w):
-            index = index << 1 | bits[:, at + i]
-        out |= symbols[index] << np.uint32(shift)
-        at += w
+    starts = ends - counts
+    out = np.zeros(n, np.uint32)
+    plain = np.flatnonzero(kind[:tokens] < LITERALS)
+    at, argb = chain[plain], kind[plain] << 8
+    if any(c.bits for c in codes[1:4]):
+        at = at + look(0, at)[1]
+    for k, shift in ((1, 16), (2, 0), (3, 24)):
+        s, size = look(k, at) if codes[k].bits else (tables[k][0][0], 0)
+        argb |= s << shift
+        at = at + size
+    out[starts[plain]] = argb
+    on = on[on < tokens]
+    if len(on):
+        if (distance[: len(on)] > starts[on]).any():
+            raise ValueError("a reference leaves the picture")
+        for i, c, d in zip(starts[on].tolist(), counts[on].tolist(), distance[: len(on)].tolist(), strict=True):
+            out[i : i + c] = out[i - d : i - d + c] if d >= c else np.resize(out[i - d : i], c)
     return out
 
 
@@ -191,8 +278,8 @@ def read_pixels(r: BitReader, width: int, height: int, main: bool) -> np.ndarray
         group_of = (meta >> 8 & 0xFFFF).astype(np.int64).tolist()
     groups = [read_group(r, cache_bits) for _ in range(1 + (max(group_of) if group_of else 0))]
     n = width * height
-    if len(groups) == 1 and not cache_bits and (fast := _read_matrix(r, groups[0], n)) is not None:
-        return fast
+    if len(groups) == 1 and not cache_bits:
+        return _read_parallel(r, groups[0], width, n)
     out = [0] * n
     cache = [0] * (1 << cache_bits)
     shift = 32 - cache_bits
@@ -344,10 +431,8 @@ def decode_image(data: bytes) -> np.ndarray:
     argb = read_pixels(r, w, height, True).reshape(height, w)
     for kind, w, bits, extra in reversed(steps):
         if kind == SUBTRACT_GREEN:
-            x = split(argb)
-            x[..., 1] += x[..., 2]
-            x[..., 3] += x[..., 2]
-            argb = join(x)
+            green = argb >> np.uint32(8) & np.uint32(255)
+            argb = argb & np.uint32(0xFF00FF00) | (argb & np.uint32(0x00FF00FF)) + (green << np.uint32(16) | green) & np.uint32(0x00FF00FF)
         elif kind == PREDICTOR:
             argb = join(_predictions(split(argb), extra >> 8 & 15, bits, False))
         elif kind == CROSS_COLOUR:
@@ -395,46 +480,177 @@ def write_code(w: BitWriter, lengths: list[int]) -> None:
         w.put(s > 1, 1)
         w.put(s, 8 if s > 1 else 1)
         return
-    kinds = sorted({*lengths[: used[-1] + 1]})
-    need = max(1, (len(kinds) - 1).bit_length()) if len(kinds) > 1 else 1
-    of = [0] * 19
-    spare = [k for k in range(16) if k not in kinds]
-    for k in kinds + spare[: (1 << need) - len(kinds)]:
-        of[k] = need
+    parts: list[tuple[int, int, int]] = []  # length or run symbol, extra bits, their value
+    at = 0
+    while at <= used[-1]:
+        if lengths[at]:
+            parts.append((lengths[at], 0, 0))
+            at += 1
+            continue
+        run = next(s for s in used if s > at) - at if at < used[-1] else 0
+        at += run
+        while run >= 3:
+            n = min(run, 138)
+            parts.append((18, 7, n - 11) if n >= 11 else (17, 3, n - 3))
+            run -= n
+        parts += [(0, 0, 0)] * run
+    counts = Counter(p[0] for p in parts)
+    of = _huffman(counts, 19, 7)
     codes = canonical(of)
     last = max(LENGTH_ORDER.index(k) for k, n in enumerate(of) if n)
     w.put(0, 1)
     w.put(max(4, last + 1) - 4, 4)
     for k in LENGTH_ORDER[: max(4, last + 1)]:
         w.put(of[k], 3)
-    symbols = used[-1] + 1
-    if symbols >= 2:
+    if len(parts) >= 2:
         w.put(1, 1)
-        size = max(2, (symbols - 2).bit_length() + 1) // 2 * 2
+        size = max(2, (len(parts) - 2).bit_length() + 1) // 2 * 2
         w.put((size - 2) // 2, 3)
-        w.put(symbols - 2, size)
-        count = symbols
+        w.put(len(parts) - 2, size)
     else:
         w.put(0, 1)
-        count = len(lengths)
-    text = {n: format(c, f"0{k}b")[::-1] if k else "" for n, (c, k) in codes.items()}
-    bits = "".join([text[n] for n in lengths[:count]])
-    if bits:
-        w.put(int(bits[::-1], 2), len(bits))
-
-
-def _equal_lengths(values: np.ndarray) -> tuple[list[int], np.ndarray, int]:
-    """Lengths over 256 symbols, index of each value and the code length."""
-    used = np.flatnonzero(np.bincount(values, minlength=256))
-    n = int(len(used) - 1).bit_length()
-    if len(used) < 1 << n:
-        spare = np.setdiff1d(np.arange(256), used, assume_unique=True)[: (1 << n) - len(used)]
-        used = np.sort(np.concatenate([used, spare]))
-    lengths = np.zeros(256, np.int64)
-    lengths[used] = max(n, 1)
-    place = np.zeros(256, np.int64)
-    place[used] = np.arange(len(used))
-    return lengths.tolist(), place[values], n
+        parts += [(0, 0, 0)] * (len(lengths) - 1 - used[-1]) if 0 in codes else [(parts[0][0], 0, 0)] * (len(lengths) - 1)
+    for k, extra, v in parts:
+        w.put(*codes[k])
+        w.put(v, extra)
+
+
+def _depths(counts: Sequence[int]) -> list[int]:
+    """Code lengths of least total for two counts or more."""
+    n = len(counts)
+    heap = [(c, i) for i, c in enumerate(counts)]
+    heapq.heapify(heap)
+    parent = [0] * (2 * n - 1)
+    for node in range(n, 2 * n - 1):
+        c, i = heapq.heappop(heap)
+        d, j = heap[0]
+        parent[i] = parent[j] = node
+        heapq.heapreplace(heap, (c + d, node))
+    depth = [0] * (2 * n - 1)
+    for i in range(2 * n - 3, -1, -1):
+        depth[i] = depth[parent[i]] + 1
+    return depth[:n]
+
+
+def _huffman(counts: dict[int, int], alphabet: int, most: int = 15) -> list[int]:
+    """Code lengths of at most ``most`` bits; counts are flattened until they fit."""
+    lengths = [0] * alphabet
+    used = sorted(counts)
+    if len(used) == 1:
+        lengths[used[0]] = 1
+        return lengths
+    c = [counts[s] for s in used]
+    while max(found := _depths(c)) > most:
+        c = [(x + 1) // 2 for x in c]
+    for s, n in zip(used, found, strict=True):
+        lengths[s] = n
+    return lengths
+
+
+LEAST_COPY, MOST_COPY, MOST_DISTANCE = 6, 4096, (1 << 20) - 120
+
+
+def _copies(x: np.ndarray) -> list[tuple[int, int, int]]:
+    """(place, length, distance) of back-references, from the left: each run of places whose last
+    occurrence of the same six bytes lies at one distance."""
+    n = len(x) - LEAST_COPY + 1
+    if n < 2:
+        return []
+    key = np.zeros(n, np.uint64)
+    for i in range(LEAST_COPY):
+        key = key << np.uint64(8) | x[i : i + n]
+    place = np.uint64(24)
+    order = np.sort((key * np.uint64(CACHE_FACTOR) * np.uint64(0x9E3779B1) >> place << place) | np.arange(n, dtype=np.uint64))
+    at = (order & np.uint64((1 << 24) - 1)).astype(np.int64)
+    same = np.flatnonzero(order[1:] >> place == order[:-1] >> place)
+    here, there = at[same + 1], at[same]
+    real = (key[here] == key[there]) & (here - there <= MOST_DISTANCE)
+    distance = np.zeros(n + 1, np.int64)
+    distance[here[real]] = (here - there)[real]
+    edge = np.flatnonzero(distance[1:] != distance[:-1]) + 1
+    begin = np.concatenate([[0], edge[:-1]]) if len(edge) else edge
+    of = distance[begin]
+    on = of > 0
+    out, free = [], 0
+    for a, b, d in zip(begin[on].tolist(), edge[on].tolist(), of[on].tolist(), strict=True):
+        a = max(a, free)
+        b += LEAST_COPY - 1
+        while b - a >= LEAST_COPY:
+            n = min(b - a, MOST_COPY)
+            out.append((a, n, d))
+            a = free = a + n
+    return out
+
+
+def _prefixes(v: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """``_prefix`` of many values."""
+    low = v - 1
+    high = np.frexp(np.maximum(low, 1).astype(np.float64))[1].astype(np.int64) - 1
+    small = v <= 4
+    extra = np.where(small, 0, high - 1)
+    return np.where(small, low, 2 * high + (low >> np.maximum(high - 1, 0) & 1)), extra, low & ((1 << extra) - 1)
+
+
+def _codes(symbols: np.ndarray, alphabet: int) -> tuple[list[int], np.ndarray, np.ndarray]:
+    """Lengths of a fitted code and, for each symbol, its bits and their number (0 for a lone symbol)."""
+    counts = np.bincount(symbols, minlength=alphabet)
+    used = np.flatnonzero(counts)
+    lengths = _huffman(dict(zip(used.tolist(), counts[used].tolist(), strict=True)), alphabet) if len(used) else [1] + [0] * (alphabet - 1)
+    bits, size = np.zeros(alphabet, np.int64), np.array(lengths)
+    if len(used) < 2:
+        return lengths, bits, np.zeros(alphabet, np.int64)
+    order = used[np.argsort(size[used], kind="stable")]
+    longest = int(size.max())
+    times = 1 << (longest - size[order])
+    bits[order] = reversed_bits(longest)[np.cumsum(times) - times]
+    return lengths, bits, size
+
+
+def _join_bits(value: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """Bytes of the values (up to 63 bits), one behind the other, first bit first."""
+    at = np.cumsum(size) - size
+    total = int(at[-1] + size[-1]) if len(at) else 0
+    words = np.zeros(total // 64 + 2, np.uint64)
+    on = np.flatnonzero(size)
+    if len(on):
+        value, at = value[on].astype(np.uint64), at[on]
+        word, shift = at >> 6, (at & 63).astype(np.uint64)
+        first = np.flatnonzero(np.diff(word, prepend=-1))
+        words[word[first]] = np.bitwise_or.reduceat(value << shift, first)
+        over = np.flatnonzero((at & 63) + size[on] > 64)
+        words[word[over] + 1] |= value[over] >> (np.uint64(64) - shift[over])
+    return np.unpackbits(words.view(np.uint8), bitorder="little")[:total]
+
+
+def _write_channel(w: BitWriter, x: np.ndarray) -> np.ndarray:
+    """Write the codes of a main picture whose green channel alone varies; returns the bits of its pixels."""
+    w.put(0, 2)  # no cache, one group
+    copies = np.array(_copies(x), np.int64).reshape(-1, 3)
+    covered = np.zeros(len(x) + 1, np.int64)
+    covered[copies[:, 0]] += 1
+    covered[copies[:, 0] + copies[:, 1]] -= 1
+    plain = np.flatnonzero(np.cumsum(covered[:-1]) == 0)
+    symbol, lx, lv = _prefixes(copies[:, 1])
+    far, dx, dv = _prefixes(copies[:, 2] + len(NEAR))
+    place = np.concatenate([plain, copies[:, 0]])
+    green = np.concatenate([x[plain].astype(np.int64), symbol + LITERALS])
+    lengths, bits, size = _codes(green, LITERALS + LENGTHS)
+    far_lengths, far_bits, far_size = _codes(far, DISTANCES)
+    write_code(w, lengths)
+    write_code(w, [1] + [0] * 255)
+    write_code(w, [1] + [0] * 255)
+    write_code(w, [0] * 255 + [1])
+    write_code(w, far_lengths)
+    value, count = bits[green], size[green]
+    c = len(plain)
+    value[c:] |= lv << count[c:]
+    count[c:] += lx
+    value[c:] |= far_bits[far] << count[c:]
+    count[c:] += far_size[far]
+    value[c:] |= dv << count[c:]
+    count[c:] += dx
+    order = np.argsort(place)
+    return _join_bits(value[order], count[order])
 
 
 def store_bytes(payload: bytes) -> bytes:
@@ -446,21 +662,26 @@ def store_bytes(payload: bytes) -> bytes:
 
 
 def _store_one(payload: bytes) -> bytes:
-    pixels = np.frombuffer(payload, np.uint8).reshape(-1, 3)
+    x = np.frombuffer(payload, np.uint8)
+    rows = len(x) // WIDTH
     w = BitWriter()
     w.put(WIDTH - 1, 14)
-    w.put(len(pixels) // WIDTH - 1, 14)
-    w.put(0, 1 + 3 + 1 + 1 + 1)  # no alpha, version, no transform, no cache, one group
-    parts = []
-    for channel, pad in ((1, LENGTHS), (0, 0), (2, 0)):
-        lengths, index, n = _equal_lengths(pixels[:, channel])
-        write_code(w, lengths + [0] * pad)
-        if n:
-            parts.append((index[:, None] >> np.arange(n - 1, -1, -1) & 1).astype(np.uint8))
-    write_code(w, [0] * 255 + [1])
-    write_code(w, [1] + [0] * (DISTANCES - 1))
-    body = np.concatenate(parts, 1).ravel() if parts else np.empty(0, np.uint8)
-    return _container(np.concatenate([w.bits(), body]))
+    w.put(rows - 1, 14)
+    w.put(0, 1 + 3)  # no alpha, version
+    w.put(1, 1)
+    used = np.flatnonzero(np.bincount(x, minlength=256))
+    if len(used) <= 16:
+        w.put(PALETTE, 2)
+        w.put(len(used) - 1, 8)
+        write_pixels(w, join(np.diff(split(np.uint32(BLACK) | used.astype(np.uint32) * np.uint32(0x010101)), axis=0, prepend=0)).reshape(1, -1), False)
+        bits = _bundle_bits(len(used))
+        index = np.searchsorted(used, x).reshape(rows, -1, 1 << bits)
+        x = (index << (np.arange(1 << bits) * (8 >> bits))).sum(-1).astype(np.uint8).ravel()
+    else:
+        w.put(SUBTRACT_GREEN, 2)
+    w.put(0, 1)
+    pixels = _write_channel(w, x)
+    return _container(np.concatenate([w.bits(), pixels]))
 
 
 def read_bytes(media: bytes) -> bytes:
@@ -468,33 +689,11 @@ def read_bytes(media: bytes) -> bytes:
     out, at = [], 0
     while at < len(media):
         size = 8 + struct.unpack("<I", media[at + 4 : at + 8])[0]
-        argb = decode_image(media[at : at + size]).ravel()
-        out.append(np.stack([argb >> np.uint32(s) & np.uint32(255) for s in (16, 8, 0)], -1).astype(np.uint8).tobytes())
+        out.append(decode_image(media[at : at + size]).ravel().astype(np.uint8).tobytes())
         at += size
     return b"".join(out)
 
 
-def _huffman(counts: Counter, alphabet: int) -> list[int]:
-    lengths = [0] * alphabet
-    heap = [(c, s, [s]) for s, c in sorted(counts.items())]
-    if len(heap) == 1:
-        lengths[heap[0][1]] = 1
-        return lengths
-    heapq.heapify(heap)
-    while len(heap) > 1:
-        a, b = heapq.heappop(heap), heapq.heappop(heap)
-        for s in a[2] + b[2]:
-            lengths[s] += 1
-        heapq.heappush(heap, (a[0] + b[0], min(a[1], b[1]), a[2] + b[2]))
-    if lengths and max(lengths) > 15:
-        n = (len(counts) - 1).bit_length()
-        lengths = [0] * alphabet
-        rest = [s for s in range(alphabet) if s not in counts][: (1 << n) - len(counts)]
-        for s in [*counts, *rest]:
-            lengths[s] = n
-    return lengths
-
-
 def _prefix(value: int) -> tuple[int, int, int]:
     """Prefix symbol, number of extra bits and their value."""
     if value <= 4:
@@ -614,13 +813,13 @@ def pad(raw: bytes) -> bytes:
 
 
 def feature(pixels: bytes) -> str:
-    """Size, mean and deviation of each channel and entropy of the samples."""
-    x = np.frombuffer(pixels, np.uint8)
-    c = x.reshape(-1, 3).astype(np.float64)
-    share = np.bincount(x, minlength=256) / len(x)
+    """Size of the picture and mean, deviation and entropy of its samples."""
+    share = np.bincount(np.frombuffer(pixels, np.uint8), minlength=256) / len(pixels)
+    values = np.arange(256)
+    mean = (share * values).sum()
+    sd = np.sqrt((share * (values - mean) ** 2).sum())
     share = share[share > 0]
-    entropy = -(share * np.log2(share)).sum()
-    return f"{WIDTH}x{len(c) // WIDTH} mean " + " ".join(f"{v:.4f}" for v in c.mean(0)) + " sd " + " ".join(f"{v:.4f}" for v in c.std(0)) + f" entropy {entropy:.4f}"
+    return f"{WIDTH}x{len(pixels) // WIDTH} mean {mean:.4f} sd {sd:.4f} entropy {-(share * np.log2(share)).sum():.4f}"
 
 
 def _stored(texts: list[str]) -> list[list]:

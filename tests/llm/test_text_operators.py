@@ -73,10 +73,10 @@ def test_secret_model_error_rates_and_names():
 
 
 def test_secret_model_from_a_table(spark):
-    keys, names = secrets.default_samples(seed=3, each=120)
+    keys, names = secrets.default_samples(seed=3, each=300)
     rows = [(s, k, y) for y, kinds in ((True, keys), (False, names)) for k, x in kinds.items() for s in x]
     model = secrets.fit_labelled(spark.createDataFrame([*rows, (None, "x", True), ("x", None, None)], "text string, kind string, is_random boolean"))
-    assert model.is_random("q8Zr2LxV0tYb7KpWmN4cHs") and not model.is_random("get_user_profile_by_name")
+    assert model.is_random("q8Zr2LxV0tYb7KpWmN4cHs9dJe3U") and not model.is_random("get_user_profile_by_name")
     with pytest.raises(ValueError):
         secrets.fit_labelled(spark.createDataFrame(rows[:1], "text string, kind string, is_random boolean"))
 

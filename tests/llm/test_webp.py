@@ -75,12 +75,67 @@ def test_long_payload_continues_in_further_files(monkeypatch):
     assert webp.store_bytes(payload).count(b"WEBPVP8L") > 1
 
 
-def test_fast_matrix_equals_symbol_loop(monkeypatch):
-    payload = webp.pad(b"the same pixels by either way" * 50)
-    media = webp.store_bytes(payload)
-    fast = webp.decode_image(media)
-    monkeypatch.setattr(webp, "_read_matrix", lambda *a: None)
-    assert (webp.decode_image(media) == fast).all()
+def symbol_by_symbol(monkeypatch):
+    """Make the reader take every picture symbol by symbol."""
+    kept = webp.read_group
+
+    def slow(r, codes, width, n):
+        out = []
+        while len(out) < n:
+            s = codes[0].symbol(r)
+            if s < 256:
+                red, blue = codes[1].symbol(r), codes[2].symbol(r)
+                out.append(codes[3].symbol(r) << 24 | red << 16 | s << 8 | blue)
+                continue
+            count = webp.read_value(r, s - 256)
+            d = webp.read_value(r, codes[4].symbol(r))
+            d = d - 120 if d > 120 else max(1, webp.NEAR[d - 1][0] + webp.NEAR[d - 1][1] * width)
+            for _ in range(count):
+                out.append(out[-d])
+        return np.array(out[:n], np.uint32)
+
+    monkeypatch.setattr(webp, "_read_parallel", slow)
+    assert kept is webp.read_group
+
+
+@pytest.mark.parametrize("payload", [b"the same pixels by either way" * 50, bytes(range(256)) * 20, b"ab" * 2000, b"x" * 5000, bytes(random.Random(1).choices(b"etaoin shrdlu.\n", k=9000))])
+def test_all_positions_at_once_equal_symbol_by_symbol(monkeypatch, payload):
+    media = webp.store_bytes(webp.pad(payload))
+    x = picture(13, 21, 60, 4)
+    other = webp.encode_image(x, (), 0, True)
+    fast, fast_other = webp.decode_image(media), webp.decode_image(other)
+    symbol_by_symbol(monkeypatch)
+    assert (webp.decode_image(media) == fast).all() and (webp.decode_image(other) == fast_other).all()
+
+
+def test_writer_uses_transforms_codes_and_references(monkeypatch):
+    seen = {"references": 0, "codes": 0}
+    kept = webp._copies
+
+    def copies(x):
+        out = kept(x)
+        seen["references"] += len(out)
+        at = 0
+        for a, n, d in out:
+            assert a >= at and webp.LEAST_COPY <= n <= webp.MOST_COPY and 0 < d <= a
+            assert all(x[a + i] == x[a + i - d] for i in range(n))
+            at = a + n
+        return out
+
+    monkeypatch.setattr(webp, "_copies", copies)
+    rng = random.Random(2)
+    words = ["".join(rng.choices("abcdefghijklmnopqrstuvwxyz", k=rng.randint(2, 9))) for _ in range(200)]
+    text = webp.pad(" ".join(rng.choices(words, k=2000)).encode())
+    media = webp.store_bytes(text)
+    assert webp.read_bytes(media) == text and len(media) < 0.5 * len(text) and seen["references"] > 100
+    few = webp.pad(b"0101101" * 400)
+    assert len(webp.store_bytes(few)) < 200 and webp.read_bytes(webp.store_bytes(few)) == few
+
+
+def test_code_lengths_stay_within_fifteen():
+    counts = {i: 2**i for i in range(40)}
+    lengths = webp._huffman(counts, 280)
+    assert max(lengths) <= 15 and sum(2.0**-n for n in lengths if n) == 1
 
 
 def test_broken_files_raise():
