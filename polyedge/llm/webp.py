@@ -117,13 +117,17 @@ class PrefixCode:
         order = reversed_bits(self.bits)
         return np.repeat(symbol, times)[order], np.repeat(length, times)[order]
 
-    def symbol(self, r: BitReader) -> int:
+    def table(self) -> list[tuple[int, int]]:
+        """Symbol and length for each value of the next ``bits`` bits, as a list."""
         if self._table is None:
             self._table = [(0, 0)] * (1 << self.bits)
             for s, (code, n) in canonical(self.given).items():
                 for high in range(1 << (self.bits - n)):
                     self._table[code | high << n] = (s, n)
-        s, n = self._table[r.peek(self.bits)]
+        return self._table
+
+    def symbol(self, r: BitReader) -> int:
+        s, n = self.table()[r.peek(self.bits)]
         r.at += n
         return s
 
@@ -141,21 +145,32 @@ def read_code(r: BitReader, alphabet: int) -> PrefixCode:
         of_lengths[LENGTH_ORDER[i]] = r.read(3)
     code = PrefixCode(of_lengths)
     left = 2 + r.read(2 + 2 * r.read(3)) if r.read(1) else alphabet
-    s, last = 0, 8
+    table, mask = code.table(), (1 << code.bits) - 1
+    at = r.at >> 3
+    window = int.from_bytes(r.data[at : at + 2 * alphabet + 8], "little") >> (r.at & 7)
+    used, s, last = 0, 0, 8
     while s < alphabet and left:
         left -= 1
-        n = code.symbol(r)
+        n, size = table[window & mask]
+        window >>= size
+        used += size
         if n < 16:
             lengths[s] = n
             s += 1
             last = n or last
         else:
-            times, value = {16: (3, last), 17: (3, 0), 18: (11, 0)}[n]
-            times += r.read({16: 2, 17: 3, 18: 7}[n])
+            bits = (2, 3, 7)[n - 16]
+            times = (3, 3, 11)[n - 16] + (window & ((1 << bits) - 1))
+            window >>= bits
+            used += bits
             if s + times > alphabet:
                 raise ValueError("too many code lengths")
-            lengths[s : s + times] = [value] * times
+            if n == 16:
+                lengths[s : s + times] = [last] * times
             s += times
+    r.at += used
+    if r.at > 8 * len(r.data):
+        raise ValueError("file ends early")
     return PrefixCode(lengths)
 
 
@@ -198,16 +213,16 @@ def _read_parallel(r: BitReader, codes: list[PrefixCode], width: int, n: int) ->
         more = view[np.minimum(at, len(view) - 1)].astype(np.int64) & ((1 << e) - 1)
         return np.where(prefix < 4, prefix + 1, ((2 + (prefix & 1)) << e) + more + 1)
 
-    green = view[: end + 1] & masks[0]
-    symbol, after = tables[0][0].astype(np.int16)[green], np.arange(end + 1, dtype=np.int32)
-    after += tables[0][1].astype(np.int32)[green]
-    copies = np.flatnonzero(symbol >= LITERALS) if max(codes[0].lengths) >= LITERALS else np.empty(0, np.int64)
-    behind = after[copies].astype(np.int64)
+    symbol = (tables[0][0] << 4 | tables[0][1]).astype(np.uint16).take(view[: end + 1] & masks[0])  # and length
+    after = np.arange(end + 1)
+    after += symbol & 15
+    copies = np.flatnonzero(symbol >= LITERALS << 4) if max(codes[0].lengths) >= LITERALS else np.empty(0, np.int64)
+    behind = after[copies]
     for k in (1, 2, 3):
         if codes[k].bits:
-            after += tables[k][1].astype(np.int32)[view[np.minimum(after, len(view) - 1)] & masks[k]]
+            after += tables[k][1].take(view.take(after, mode="clip") & masks[k])
     if len(copies):
-        behind += extra(symbol[copies].astype(np.int64) - LITERALS)
+        behind += extra((symbol[copies] >> 4).astype(np.int64) - LITERALS)
         prefix, size = look(4, behind)
         after[copies] = behind + size + extra(prefix)
     if not any(c.bits for c in codes[:4]):  # every pixel is the same and takes no bits
@@ -218,16 +233,16 @@ def _read_parallel(r: BitReader, codes: list[PrefixCode], width: int, n: int) ->
     # eight symbols a step, then those between
     jumps = [np.minimum(after, end)]
     for _ in range(3):
-        jumps.append(jumps[-1][jumps[-1]])
+        jumps.append(jumps[-1].take(jumps[-1]))
     far, steps, at = [], memoryview(jumps[3]), ahead
     while at < end:
         far.append(at)
         at = steps[at]
     chain = np.array(far, np.int64)
     for jump in jumps[2::-1]:
-        chain = np.stack([chain, jump[chain]], 1).ravel()
+        chain = np.stack([chain, jump.take(chain)], 1).ravel()
     chain = chain[chain < end]
-    kind = symbol[chain].astype(np.int64)
+    kind = (symbol[chain] >> 4).astype(np.int64)
     counts = np.ones(len(chain), np.int64)
     on = np.flatnonzero(kind >= LITERALS)
     if len(on):
@@ -459,13 +474,12 @@ class BitWriter:
         self.value |= v << self.n
         self.n += n
 
-    def bits(self) -> np.ndarray:
-        raw = np.frombuffer(self.value.to_bytes((self.n + 7) // 8, "little"), np.uint8)
-        return np.unpackbits(raw, bitorder="little")[: self.n]
+    def bytes(self) -> bytes:
+        return self.value.to_bytes((self.n + 7) // 8, "little")
 
 
-def _container(bits: np.ndarray) -> bytes:
-    body = b"\x2f" + np.packbits(bits, bitorder="little").tobytes()
+def _container(bits: bytes) -> bytes:
+    body = b"\x2f" + bits
     pad = len(body) & 1
     return b"RIFF" + struct.pack("<I", 12 + len(body) + pad) + b"WEBPVP8L" + struct.pack("<I", len(body)) + body + b"\0" * pad
 
@@ -482,18 +496,14 @@ def write_code(w: BitWriter, lengths: list[int]) -> None:
         return
     parts: list[tuple[int, int, int]] = []  # length or run symbol, extra bits, their value
     at = 0
-    while at <= used[-1]:
-        if lengths[at]:
-            parts.append((lengths[at], 0, 0))
-            at += 1
-            continue
-        run = next(s for s in used if s > at) - at if at < used[-1] else 0
-        at += run
+    for s in used:
+        run, at = s - at, s + 1  # zeros before the symbol
         while run >= 3:
             n = min(run, 138)
             parts.append((18, 7, n - 11) if n >= 11 else (17, 3, n - 3))
             run -= n
         parts += [(0, 0, 0)] * run
+        parts.append((lengths[s], 0, 0))
     counts = Counter(p[0] for p in parts)
     of = _huffman(counts, 19, 7)
     codes = canonical(of)
@@ -573,7 +583,8 @@ def _copies(x: np.ndarray) -> list[tuple[int, int, int]]:
     on = of > 0
     out, free = [], 0
     for a, b, d in zip(begin[on].tolist(), edge[on].tolist(), of[on].tolist(), strict=True):
-        a = max(a, free)
+        if a < free:
+            a = free
         b += LEAST_COPY - 1
         while b - a >= LEAST_COPY:
             n = min(b - a, MOST_COPY)
@@ -606,10 +617,10 @@ def _codes(symbols: np.ndarray, alphabet: int) -> tuple[list[int], np.ndarray, n
     return lengths, bits, size
 
 
-def _join_bits(value: np.ndarray, size: np.ndarray) -> np.ndarray:
-    """Bytes of the values (up to 63 bits), one behind the other, first bit first."""
-    at = np.cumsum(size) - size
-    total = int(at[-1] + size[-1]) if len(at) else 0
+def _join_bits(w: BitWriter, value: np.ndarray, size: np.ndarray) -> bytes:
+    """Bytes of what was written, then of the values (up to 63 bits), first bit first."""
+    at = w.n + np.cumsum(size) - size
+    total = int(at[-1] + size[-1]) if len(at) else w.n
     words = np.zeros(total // 64 + 2, np.uint64)
     on = np.flatnonzero(size)
     if len(on):
@@ -619,11 +630,13 @@ def _join_bits(value: np.ndarray, size: np.ndarray) -> np.ndarray:
         words[word[first]] = np.bitwise_or.reduceat(value << shift, first)
         over = np.flatnonzero((at & 63) + size[on] > 64)
         words[word[over] + 1] |= value[over] >> (np.uint64(64) - shift[over])
-    return np.unpackbits(words.view(np.uint8), bitorder="little")[:total]
+    head = np.frombuffer(w.value.to_bytes((w.n + 63) // 64 * 8, "little"), np.uint64)
+    words[: len(head)] |= head
+    return words.tobytes()[: (total + 7) // 8]
 
 
-def _write_channel(w: BitWriter, x: np.ndarray) -> np.ndarray:
-    """Write the codes of a main picture whose green channel alone varies; returns the bits of its pixels."""
+def _write_channel(w: BitWriter, x: np.ndarray) -> bytes:
+    """All bytes of a file whose main picture, in which the green channel alone varies, comes next."""
     w.put(0, 2)  # no cache, one group
     copies = np.array(_copies(x), np.int64).reshape(-1, 3)
     covered = np.zeros(len(x) + 1, np.int64)
@@ -637,9 +650,8 @@ def _write_channel(w: BitWriter, x: np.ndarray) -> np.ndarray:
     lengths, bits, size = _codes(green, LITERALS + LENGTHS)
     far_lengths, far_bits, far_size = _codes(far, DISTANCES)
     write_code(w, lengths)
-    write_code(w, [1] + [0] * 255)
-    write_code(w, [1] + [0] * 255)
-    write_code(w, [0] * 255 + [1])
+    for only, n in ((0, 1), (0, 1), (255, 8)):  # red, blue and alpha have one symbol
+        w.put(1 | (n == 8) << 2 | only << 3, 3 + n)
     write_code(w, far_lengths)
     value, count = bits[green], size[green]
     c = len(plain)
@@ -650,7 +662,7 @@ def _write_channel(w: BitWriter, x: np.ndarray) -> np.ndarray:
     value[c:] |= dv << count[c:]
     count[c:] += dx
     order = np.argsort(place)
-    return _join_bits(value[order], count[order])
+    return _join_bits(w, value[order], count[order])
 
 
 def store_bytes(payload: bytes) -> bytes:
@@ -680,8 +692,7 @@ def _store_one(payload: bytes) -> bytes:
     else:
         w.put(SUBTRACT_GREEN, 2)
     w.put(0, 1)
-    pixels = _write_channel(w, x)
-    return _container(np.concatenate([w.bits(), pixels]))
+    return _container(_write_channel(w, x))
 
 
 def read_bytes(media: bytes) -> bytes:
@@ -802,7 +813,7 @@ def encode_image(argb: np.ndarray, transforms: Sequence[tuple] = (), cache_bits:
                 x = join(_cross(split(x), extra, bits, -1))
     w.put(0, 1)
     write_pixels(w, x, True, cache_bits, references)
-    return _container(w.bits())
+    return _container(w.bytes())
 
 
 # ---------------------------------------------------------------- columns
