@@ -2,7 +2,7 @@
 
 import re
 
-from polyedge.queries import methods, panels, relational, surface, workloads
+from polyedge.queries import baselines, methods, panels, relational, surface, workloads
 
 
 def positive_zero(sql: str) -> str:
@@ -19,6 +19,6 @@ def positive_zero(sql: str) -> str:
     return "".join([*out, sql[at:]])
 
 
-MODULES = (panels, relational, methods, surface, workloads)
+MODULES = (panels, relational, methods, baselines, surface, workloads)
 QUERIES = {k: v for m in MODULES for k, v in m.QUERIES.items()}
 ORACLES = {k: positive_zero(v) for m in MODULES for k, v in m.ORACLES.items()}

@@ -6,6 +6,8 @@ structure; the SQL computes the same sums over (index, value) rows instead of ar
 
 from __future__ import annotations
 
+import math
+from dataclasses import replace
 from functools import partial
 
 from pyspark.sql import functions as F
@@ -174,10 +176,10 @@ def q_classify(spark, d):
     return FW.classify(r, params, CFG).select("tick", F.round("p", 6).alias("p"))
 
 
-def fw(name: str, i: str, j: str) -> str:
+def fw(name: str, i: str, j: str, cfg: ModelConfig = CFG) -> str:
     """SQL of a formula weight."""
     salt = PM.SHAPES[name][2]
-    return f"((({i}) * 37 + ({j}) * 61 + {salt * 101} + ({i}) * ({j}) * 7) % 199 - 99) / (100 * sqrt({PM.shape(name, CFG)[1]}::DOUBLE))"
+    return f"((({i}) * 37 + ({j}) * 61 + {salt * 101} + ({i}) * ({j}) * 7) % 199 - 99) / (100 * sqrt({PM.shape(name, cfg)[1]}::DOUBLE))"
 
 
 def _mv(out: str, name: str, src: str, key: str, col: str = "v") -> str:
@@ -185,66 +187,99 @@ def _mv(out: str, name: str, src: str, key: str, col: str = "v") -> str:
     return f"{out} AS (SELECT tick, {key}, o.o AS r, sum({fw(name, 'o.o', 'r')} * {col}) AS v FROM {src} CROSS JOIN dims o GROUP BY ALL)"
 
 
-def _softmax(out: str, src: str, by: str) -> str:
-    """CTE: softmax of ``s`` over (tick, by)."""
-    return f"{out} AS (SELECT tick, p, i, exp(s - max(s) OVER w) / sum(exp(s)) OVER w * exp(max(s) OVER w) AS c FROM {src} WINDOW w AS (PARTITION BY tick, {by}))"
+D = CFG.d
 
 
-D = CFG.d
-CTES = ", ".join([
-    panel_sql("flag_status"),
-    "mm AS (SELECT sensor_id, min(value) AS lo, max(value) AS hi FROM pg GROUP BY 1)",
-    "sc AS (SELECT tick, sensor_id AS i, CASE WHEN hi > lo THEN (value - lo) / (hi - lo) ELSE 0.0 END AS x FROM pg JOIN mm USING (sensor_id))",
-    "mem AS (SELECT * FROM (VALUES " + ", ".join(f"({e - 1}, {s - 1})" for e, s in SIX) + ") t(p, i))",
-    f"dims AS (SELECT unnest(range(0, {D})) AS o)",
-    f"z AS (SELECT i, o AS r, {fw('z', 'i', 'o')} AS z FROM (SELECT unnest(range(0, 6)) AS i) CROSS JOIN dims)",
-    f"win AS (SELECT t.tick, t.i, j.j, x.x + {fw('pos', 't.i', 'j.j')} AS x FROM sc t CROSS JOIN (SELECT unnest(range(0, 5)) AS j) j JOIN sc x ON x.i = t.i AND x.tick = t.tick - 5 + j.j WHERE t.tick >= 5)",
-    f"u AS (SELECT tick, i, o AS r, sum({fw('w_in', 'o', 'j')} * x) AS v FROM win CROSS JOIN dims GROUP BY ALL)",
-    f"h AS (SELECT tick, i, o AS r, sum({fw('w_self', 'o', 'j')} * x) AS v FROM win CROSS JOIN dims GROUP BY ALL)",
-    f"a AS (SELECT tick, i, greatest(sum({fw('a_member', '0', 'r')} * z + {fw('a_member', '0', f'{D} + r')} * v), 0.0::DOUBLE) AS s, sum({fw('a_edge', '0', 'r')} * z + {fw('a_edge', '0', f'{D} + r')} * v) AS b FROM u JOIN z USING (i, r) GROUP BY ALL)",
-    "am AS (SELECT tick, p, i, s FROM a JOIN mem USING (i))",
-    _softmax("alpha", "am", "p"),
-    "e AS (SELECT tick, p, r, 1 / (1 + exp(-sum(c * v))) AS v FROM alpha JOIN u USING (tick, i) GROUP BY ALL)",
-    _mv("m", "w_edge", "e", "p"),
-    f"bm AS (SELECT m.tick, m.p, mem.i, greatest(any_value(a.b) + sum({fw('a_edge', '0', f'{2 * D} + m.r')} * m.v), 0.0::DOUBLE) AS s FROM m JOIN mem ON mem.p = m.p JOIN a ON a.tick = m.tick AND a.i = mem.i GROUP BY ALL)",
-    _softmax("beta", "bm", "i"),
-    "bg AS (SELECT tick, i, r, sum(c * v) AS g FROM beta JOIN m USING (tick, p) GROUP BY ALL)",
-    "x AS (SELECT tick, i, r, greatest(h.v + coalesce(g, 0), 0.0::DOUBLE) AS v FROM h LEFT JOIN bg USING (tick, i, r))",
-    f"t AS (SELECT tick, i, sum({fw('theta', '0', 'r')} * v) AS t FROM x GROUP BY ALL)",
-    "sco AS (SELECT tick, i, exp(t) / sum(exp(t)) OVER (PARTITION BY tick) AS s FROM t)",
-    "kept AS (SELECT tick, i, s, row_number() OVER (PARTITION BY tick ORDER BY s DESC, i) AS rank FROM sco QUALIFY rank <= 5)",
-    "pm AS (SELECT k.tick, mem.p, mem.i FROM kept k JOIN mem ON mem.i = k.i JOIN kept c ON c.tick = k.tick AND c.i = mem.p)",
-    "xb AS (SELECT tick, i, r, v * s AS v FROM x JOIN kept USING (tick, i))",
-    _mv("pv", "p_node", "xb", "i"),
-    "pe AS (SELECT tick, p, r, 1 / (1 + exp(-sum(v))) AS v FROM pm JOIN pv USING (tick, i) GROUP BY ALL)",
-    _mv("pmv", "p_edge", "pe", "p"),
-    f"kn AS (SELECT tick, i, sum({fw('a_pool', '0', 'r')} * z + {fw('a_pool', '0', f'{D} + r')} * v) AS b FROM pv JOIN z USING (i, r) GROUP BY ALL)",
-    f"ke AS (SELECT tick, p, sum({fw('a_pool', '0', f'{2 * D} + r')} * v) AS b FROM pmv GROUP BY ALL)",
-    "km AS (SELECT pm.tick, pm.p, pm.i, greatest(kn.b + ke.b, 0.0::DOUBLE) AS s FROM pm JOIN kn ON kn.tick = pm.tick AND kn.i = pm.i JOIN ke ON ke.tick = pm.tick AND ke.p = pm.p)",
-    _softmax("zeta", "km", "i"),
-    "zg AS (SELECT tick, i, r, sum(c * v) AS g FROM zeta JOIN pmv USING (tick, p) GROUP BY ALL)",
-    "xp AS (SELECT tick, i, r, 1 / (1 + exp(-(v + g))) AS v FROM pv JOIN zg USING (tick, i, r))",
-    "up AS (SELECT x.tick, x.i, x.r, coalesce(xp.v, 0.0) AS v FROM x LEFT JOIN xp USING (tick, i, r))",
-    "y AS (SELECT tick, i, r, up.v + x.v AS v FROM up JOIN x USING (tick, i, r))",
-    _mv("un", "u_node", "y", "i"),
-    "ue AS (SELECT tick, p, r, 1 / (1 + exp(-sum(v))) AS v FROM mem JOIN un USING (i) GROUP BY ALL)",
-    _mv("um", "u_edge", "ue", "p"),
-    f"g AS (SELECT tick, i, o AS r, sum({fw('u_mix', 'o', 'r')} * z + {fw('u_mix', 'o', f'{D} + r')} * v) AS v FROM un JOIN z USING (i, r) CROSS JOIN dims GROUP BY ALL)",
-    _mv("sg", "u_shift", "g", "i"),
-    _mv("sm", "u_shift", "um", "p"),
-    "dl AS (SELECT sm.tick, sm.p, mem.i, sum((sm.v - sg.v) * (sm.v + sg.v)) AS s FROM sm JOIN mem ON mem.p = sm.p JOIN sg ON sg.tick = sm.tick AND sg.i = mem.i AND sg.r = sm.r GROUP BY ALL)",
-    _softmax("gamma", "dl", "i"),
-    "gg AS (SELECT tick, i, r, sum(c * v) AS g FROM gamma JOIN um USING (tick, p) GROUP BY ALL)",
-    "xr AS (SELECT tick, i, r, v + coalesce(g, 0) AS v FROM un LEFT JOIN gg USING (tick, i, r))",
-])
-
-
-def _out(select: str) -> str:
-    return f"WITH {CTES} SELECT {select}"
-
-
-def _v(src: str, key: str, name: str) -> str:
-    return _out(f"tick, CAST({key} AS INTEGER) AS {name}, CAST(r AS INTEGER) AS r, round(v, 6) AS v FROM {src}")
+def ctes(cfg: ModelConfig = CFG) -> str:
+    """The forward path of one variant, stage by stage, over (index, value) rows."""
+    z = D if cfg.use_z else 0  # places of the embedding in a concatenation
+    at = lambda name, place: fw(name, "0", place, cfg)
+
+    def own(name: str) -> str:
+        """Score part of a node: its embedding, if used, and its vector."""
+        return (f"{at(name, 'r')} * z + " if z else "") + f"{at(name, f'{z} + r')} * v"
+
+    def coefficients(out: str, src: str, by: str) -> str:
+        """CTE: softmax of ``s`` over (tick, by), or one for each where there is no attention."""
+        if not cfg.attention:
+            return f"{out} AS (SELECT tick, p, i, 1.0::DOUBLE AS c FROM {src})"
+        return f"{out} AS (SELECT tick, p, i, exp(s - max(s) OVER w) / sum(exp(s)) OVER w * exp(max(s) OVER w) AS c FROM {src} WINDOW w AS (PARTITION BY tick, {by}))"
+
+    angle = f"t.i / pow(10000.0::DOUBLE, 2 * (j.j // 2) / {cfg.w}.0::DOUBLE)"
+    position = {"none": "0.0::DOUBLE", "sinusoidal": f"CASE WHEN j.j % 2 = 0 THEN sin({angle}) ELSE cos({angle}) END"}.get(cfg.position, fw("pos", "t.i", "j.j"))
+    norm = f"(SELECT sqrt(sum(pow({at('theta', 'o')}, 2))) FROM dims)"
+    score = "exp(t) / sum(exp(t)) OVER (PARTITION BY tick)" if cfg.score == "softmax" else f"t / {norm}"
+    skip = {"add": "coalesce(xp.v, 0.0) + x.v", "fill": "coalesce(xp.v, x.v)", "none": "coalesce(xp.v, 0.0)"}[cfg.skip]
+    mix = (f"{fw('u_mix', 'o', 'r', cfg)} * z + " if z else "") + f"{fw('u_mix', 'o', f'{z} + r', cfg)} * v"
+    shift = "sg.v * sm.v" if cfg.shift == "dot" else "(sm.v - sg.v) * (sm.v + sg.v)"
+    keep = max(1, math.ceil(cfg.ratio * cfg.n - 1e-9))
+    return ", ".join([
+        panel_sql("flag_status"),
+        "mm AS (SELECT sensor_id, min(value) AS lo, max(value) AS hi FROM pg GROUP BY 1)",
+        "sc AS (SELECT tick, sensor_id AS i, CASE WHEN hi > lo THEN (value - lo) / (hi - lo) ELSE 0.0 END AS x FROM pg JOIN mm USING (sensor_id))",
+        "mem AS (SELECT * FROM (VALUES " + ", ".join(f"({e - 1}, {s - 1})" for e, s in SIX) + ") t(p, i))",
+        f"dims AS (SELECT unnest(range(0, {D})) AS o)",
+        f"z AS (SELECT i, o AS r, {fw('z', 'i', 'o')} AS z FROM (SELECT unnest(range(0, 6)) AS i) CROSS JOIN dims)",
+        f"win AS (SELECT t.tick, t.i, j.j, x.x + {position} AS x FROM sc t CROSS JOIN (SELECT unnest(range(0, 5)) AS j) j JOIN sc x ON x.i = t.i AND x.tick = t.tick - 5 + j.j WHERE t.tick >= 5)",
+        f"u AS (SELECT tick, i, o AS r, sum({fw('w_in', 'o', 'j')} * x) AS v FROM win CROSS JOIN dims GROUP BY ALL)",
+        f"h AS (SELECT tick, i, o AS r, sum({fw('w_self', 'o', 'j')} * x) AS v FROM win CROSS JOIN dims GROUP BY ALL)",
+        f"a AS (SELECT tick, i, greatest(sum({own('a_member')}), 0.0::DOUBLE) AS s, sum({own('a_edge')}) AS b FROM u JOIN z USING (i, r) GROUP BY ALL)",
+        "am AS (SELECT tick, p, i, s FROM a JOIN mem USING (i))",
+        coefficients("alpha", "am", "p"),
+        "e AS (SELECT tick, p, r, 1 / (1 + exp(-sum(c * v))) AS v FROM alpha JOIN u USING (tick, i) GROUP BY ALL)",
+        _mv("m", "w_edge", "e", "p"),
+        f"bm AS (SELECT m.tick, m.p, mem.i, greatest(any_value(a.b) + sum({at('a_edge', f'{z + D} + m.r')} * m.v), 0.0::DOUBLE) AS s FROM m JOIN mem ON mem.p = m.p JOIN a ON a.tick = m.tick AND a.i = mem.i GROUP BY ALL)",
+        coefficients("beta", "bm", "i"),
+        "bg AS (SELECT tick, i, r, sum(c * v) AS g FROM beta JOIN m USING (tick, p) GROUP BY ALL)",
+        "x AS (SELECT tick, i, r, greatest(h.v + coalesce(g, 0), 0.0::DOUBLE) AS v FROM h LEFT JOIN bg USING (tick, i, r))",
+        f"t AS (SELECT tick, i, sum({at('theta', 'r')} * v) AS t FROM x GROUP BY ALL)",
+        f"sco AS (SELECT tick, i, {score} AS s FROM t)",
+        f"kept AS (SELECT tick, i, s, row_number() OVER (PARTITION BY tick ORDER BY s DESC, i) AS rank FROM sco QUALIFY rank <= {keep})",
+        "pm AS (SELECT k.tick, mem.p, mem.i FROM kept k JOIN mem ON mem.i = k.i JOIN kept c ON c.tick = k.tick AND c.i = mem.p)",
+        f"xb AS (SELECT tick, i, r, {'v * greatest(s, 0.0::DOUBLE)' if cfg.gate else 'v'} AS v FROM x JOIN kept USING (tick, i))",
+        _mv("pv", "p_node", "xb", "i"),
+        "pe AS (SELECT tick, p, r, 1 / (1 + exp(-sum(v))) AS v FROM pm JOIN pv USING (tick, i) GROUP BY ALL)",
+        _mv("pmv", "p_edge", "pe", "p"),
+        f"kn AS (SELECT tick, i, sum({own('a_pool')}) AS b FROM pv JOIN z USING (i, r) GROUP BY ALL)",
+        f"ke AS (SELECT tick, p, sum({at('a_pool', f'{z + D} + r')} * v) AS b FROM pmv GROUP BY ALL)",
+        "km AS (SELECT pm.tick, pm.p, pm.i, greatest(kn.b + ke.b, 0.0::DOUBLE) AS s FROM pm JOIN kn ON kn.tick = pm.tick AND kn.i = pm.i JOIN ke ON ke.tick = pm.tick AND ke.p = pm.p)",
+        coefficients("zeta", "km", "i"),
+        "zg AS (SELECT tick, i, r, sum(c * v) AS g FROM zeta JOIN pmv USING (tick, p) GROUP BY ALL)",
+        "xp AS (SELECT tick, i, r, 1 / (1 + exp(-(v + g))) AS v FROM pv JOIN zg USING (tick, i, r))",
+        "up AS (SELECT x.tick, x.i, x.r, coalesce(xp.v, 0.0) AS v FROM x LEFT JOIN xp USING (tick, i, r))",
+        f"y AS (SELECT tick, i, r, {skip} AS v FROM x LEFT JOIN xp USING (tick, i, r))",
+        _mv("un", "u_node", "y", "i"),
+        "ue AS (SELECT tick, p, r, 1 / (1 + exp(-sum(v))) AS v FROM mem JOIN un USING (i) GROUP BY ALL)",
+        _mv("um", "u_edge", "ue", "p"),
+        f"g AS (SELECT tick, i, o AS r, sum({mix}) AS v FROM un JOIN z USING (i, r) CROSS JOIN dims GROUP BY ALL)",
+        _mv("sg", "u_shift", "g", "i"),
+        _mv("sm", "u_shift", "um", "p"),
+        f"dl AS (SELECT sm.tick, sm.p, mem.i, sum({shift}) AS s FROM sm JOIN mem ON mem.p = sm.p JOIN sg ON sg.tick = sm.tick AND sg.i = mem.i AND sg.r = sm.r GROUP BY ALL)",
+        coefficients("gamma", "dl", "i"),
+        "gg AS (SELECT tick, i, r, sum(c * v) AS g FROM gamma JOIN um USING (tick, p) GROUP BY ALL)",
+        "xr AS (SELECT tick, i, r, v + coalesce(g, 0) AS v FROM un LEFT JOIN gg USING (tick, i, r))",
+    ])
+
+
+CTES = ctes()
+#: one variant each of positions, convolution, coarsener and refiner
+VARIANTS = {
+    "no_embedding": {"use_z": False}, "no_attention": {"attention": False}, "no_position": {"position": "none"}, "sinusoid": {"position": "sinusoidal"},
+    "projection": {"score": "projection"}, "no_gate": {"gate": False}, "full_ratio": {"ratio": 1.0}, "skip_fill": {"skip": "fill"}, "no_skip": {"skip": "none"}, "dot_score": {"shift": "dot"},
+}
+
+
+def q_variant(spark, d, change):
+    """Refined node features of one variant with formula weights."""
+    return _vec(refined(spark, d, replace(CFG, **change))[0].nodes, ["tick", "sensor_id"], "x")
+
+
+def _out(select: str, given: str = CTES) -> str:
+    return f"WITH {given} SELECT {select}"
+
+
+def _v(src: str, key: str, name: str, given: str = CTES) -> str:
+    return _out(f"tick, CAST({key} AS INTEGER) AS {name}, CAST(r AS INTEGER) AS r, round(v, 6) AS v FROM {src}", given)
 
 
 def _c(src: str) -> str:
@@ -378,7 +413,7 @@ def trace_sql(ctes: str, members: str, roots: str, limit: int) -> str:
     )
 
 
-QUERIES = {k: v for k, v in globals().items() if k.startswith("q_") and k != "q_smooth"} | {"q_smooth_trailing": partial(q_smooth, mode="trailing"), "q_smooth_printed": partial(q_smooth, mode="printed")}
+QUERIES = {k: v for k, v in globals().items() if k.startswith("q_") and k not in ("q_smooth", "q_variant")} | {f"q_variant_{k}": partial(q_variant, change=v) for k, v in VARIANTS.items()} | {"q_smooth_trailing": partial(q_smooth, mode="trailing"), "q_smooth_printed": partial(q_smooth, mode="printed")}
 LABELS_SQL = "WITH r AS (SELECT doc_id, 1 - quality AS y, toxic AS flag FROM labels)"
 ORACLES = {
     "q_pair_distance": DIST_SQL + " SELECT i, j, round(dist, 6) AS dist FROM dist",
@@ -423,3 +458,4 @@ ORACLES = {
     "q_trace_six_node": trace_sql("six AS (SELECT * FROM (VALUES " + ", ".join(f"({e - 1}, {s - 1})" for e, s in SIX) + ") t(edge_id, sensor_id))", "six", "0", 6),
     "q_root_sensor": f"WITH {dev_sql('nation_ship')} SELECT tick, top_sensor AS root, round(raw, 5) AS score FROM sm WHERE split = 'test' AND trail > (SELECT max(trail) FROM sm WHERE split = 'validation')",
 }
+ORACLES |= {f"q_variant_{k}": _v("xr", "i", "sensor_id", ctes(replace(CFG, **v))) for k, v in VARIANTS.items()}

@@ -27,7 +27,11 @@ def order(row):
     return tuple((v is not None, str(v)) for v in row)
 
 
-@pytest.mark.parametrize("name", sorted(ORACLES))
+#: of the ten variants, all of one form, three run here; all run against SQL at sf0.01 with the rest
+HERE = sorted(k for k in ORACLES if not k.startswith("q_variant_") or k.endswith(("no_embedding", "projection", "skip_fill")))
+
+
+@pytest.mark.parametrize("name", HERE)
 def test_query_equals_sql(spark, sf, duck, name):
     df = QUERIES[name](spark, sf)
     cols = sorted(df.columns)
