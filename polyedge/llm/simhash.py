@@ -232,21 +232,25 @@ def links(fps: DataFrame, threshold: int = 2, cap: int = 512) -> DataFrame:
     return near if fine is None else near.unionByName(fine.select("a", "b"))
 
 
+def _settled(e: DataFrame) -> bool:
+    """Whether every node points to one root that points to none."""
+    ends = e.select(F.col("u").alias("x"), F.lit(1).alias("up"), F.lit(0).alias("down")).unionByName(e.select(F.col("v").alias("x"), F.lit(0).alias("up"), F.lit(1).alias("down")))
+    return ends.groupBy("x").agg(F.sum("up").alias("up"), F.max("down").alias("down")).where("up > 1 OR up > 0 AND down > 0").isEmpty()
+
+
 def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """(node, root) for every node of ``edges`` (a, b), by alternating large and small stars."""
     e = common.cut(edges.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct())
-    seen = None
     for _ in range(max_rounds):
-        state = e.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(20,0)"))).first()
-        if state == seen or state[0] == 0:
+        if _settled(e):
             break
-        seen = state
         both = e.unionByName(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
         low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+        large = both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(low, "u").select(F.when(F.col("v") == F.col("m"), F.col("u")).otherwise(F.col("v")).alias("u"), F.col("m").alias("v"))
         e = common.cut(small.where("u <> v").distinct())
+        common.tidy(e.sparkSession)
     else:
         raise RuntimeError("components did not settle")
     return e.select(F.col("u").alias("node"), F.col("v").alias("root")).unionByName(e.select(F.col("v").alias("node"), F.col("v").alias("root"))).distinct()
@@ -265,7 +269,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
 # ---------------------------------------------------------------- similarity of 0.8 and more
 
-FREQUENT, MOST_FREQUENT, CELL, MARKS = 16, 200_000, 512, 8
+FREQUENT, MOST_FREQUENT, CELL, MARKS, SHARES = 16, 200_000, 512, 8, 32
 SPREAD = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -386,22 +390,20 @@ def similar_pairs(pairs: DataFrame, texts: Callable[[DataFrame], DataFrame], wor
     """The pairs (a, b) whose texts have the similarity, compared exactly.
 
     ``texts`` gives (node, text) for a frame of nodes.
-    The end with more pairs is the centre of a pair.  A cell holds a centre's text once and the texts
-    of at most about 512 of its partners, so a text with very many partners is spread over tasks and
-    only one text travels for a pair.
+    The end of the lesser number is the centre of a pair.  A cell holds a centre's text and a share of
+    its partners, by hash one of ``SHARES``; texts stream through it one at a time, so a text with very
+    many partners is spread over tasks and one text travels for a pair.
     """
-    pairs = common.cut(pairs.distinct())
+    pairs = common.cut(pairs.select(F.least("a", "b").alias("centre"), F.greatest("a", "b").alias("node")).distinct())
+    common.tidy(pairs.sparkSession)
+    dealt = pairs.withColumn("share", F.pmod(F.xxhash64("node"), F.lit(SHARES)))
+    used = common.cut(texts(pairs.select(F.explode(F.array("centre", "node")).alias("node")).distinct()))
+    own = dealt.select("centre", "share").distinct().join(used.select(F.col("node").alias("centre"), "text"), "centre").select("centre", F.lit(0).alias("own"), F.col("centre").alias("node"), "text", "share")
+    partners = dealt.join(used, "node").select("centre", F.lit(1).alias("own"), "node", "text", "share")
+    cells = own.unionByName(partners).repartition("centre", "share").sortWithinPartitions("centre", "share", "own")
+    out = common.cut(cells.select("centre", "own", "node", "text").mapInArrow(partial(_verified, words=words, at_least=at_least), "a long, b long"))
     common.tidy(pairs.sparkSession)
-    many = pairs.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count("*").alias("m"))
-    wide = pairs.join(many.toDF("a", "ma"), "a").join(many.toDF("b", "mb"), "b")
-    on_a = (F.col("ma") > F.col("mb")) | ((F.col("ma") == F.col("mb")) & (F.col("a") < F.col("b")))
-    turned = wide.select(F.when(on_a, F.col("a")).otherwise(F.col("b")).alias("centre"), F.when(on_a, F.col("b")).otherwise(F.col("a")).alias("node"), F.greatest("ma", "mb").alias("m"))
-    dealt = common.cut(turned.select("centre", "node", F.pmod(F.xxhash64("node"), F.ceil(F.col("m") / CELL)).alias("block")))
-    used = common.cut(texts(many.select("node")))
-    own = dealt.select("centre", "block").distinct().join(used.select(F.col("node").alias("centre"), "text"), "centre").select("centre", F.lit(0).alias("own"), F.col("centre").alias("node"), "text", "block")
-    partners = dealt.join(used, "node").select("centre", F.lit(1).alias("own"), "node", "text", "block")
-    cells = own.unionByName(partners).repartition("centre", "block").sortWithinPartitions("centre", "block", "own")
-    return common.cut(cells.select("centre", "own", "node", "text").mapInArrow(partial(_verified, words=words, at_least=at_least), "a long, b long"))
+    return out
 
 
 def _cell_pairs(cell: np.ndarray, block: np.ndarray, inner: np.ndarray, node: np.ndarray, root: np.ndarray, n: np.ndarray, pos: np.ndarray, *mark: np.ndarray, at_least: float) -> tuple[np.ndarray, np.ndarray]:
@@ -472,6 +474,7 @@ def _by_every_holder(nodes: DataFrame, shared: DataFrame, found: DataFrame, at_l
 
 def _classes(docs: DataFrame, id_col: str, text_col: str, words: int, at_least: float, threshold: int = 2) -> DataFrame:
     """(__id, __row, digest, root) for every row: rows of one root are linked."""
+    common.tidy(docs.sparkSession)
     given = docs.select(F.col(id_col).alias("__id"), _row_key(id_col, text_col).alias("__row"), F.col(text_col).cast("string").alias("__text"))
     frequent = frequent_keys(given.select("__text"), words, at_least)
     fields = [("digest", T.StringType()), ("fp", T.LongType()), ("n", T.LongType()), ("mark", T.ArrayType(T.LongType())), ("first", T.ArrayType(T.LongType()))]
