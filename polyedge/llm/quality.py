@@ -18,6 +18,8 @@ from dataclasses import dataclass
 from functools import partial
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, functions as F, types as T
 
 from polyedge.llm import common
@@ -78,7 +80,8 @@ class QualityModel:
 
 
 def fit_ftrl(rows: list[tuple[np.ndarray, np.ndarray]], labels: np.ndarray, bits: int, alpha: float = 0.5, beta: float = 1.0, l1: float = 0.02, l2: float = 0.1, epochs: int = 6, seed: int = 7, default_score: float = 0.5) -> QualityModel:
-    """Per-coordinate follow-the-regularised-leader (proximal) on sparse rows, in a seeded order."""
+    """Per-coordinate follow-the-regularised-leader (proximal) on sparse rows of buckets and counts, in a
+    seeded order; values are made from the counts when a row's turn comes, so the rows stay small."""
     none = np.empty(0, np.int64)
     if len(set(labels.tolist())) < 2:
         share = float(labels.mean()) if len(labels) else default_score
@@ -96,7 +99,7 @@ def fit_ftrl(rows: list[tuple[np.ndarray, np.ndarray]], labels: np.ndarray, bits
     for _ in range(epochs):
         for i in rng.permutation(len(rows)):
             where = np.append(rows[i][0], at_bias)
-            value = np.append(rows[i][1], 1.0)
+            value = np.append(values(rows[i][1]), 1.0)
             w = solve(z[where], n[where])
             p = 1 / (1 + np.exp(-np.clip(w @ value, -35, 35)))
             g = (p - labels[i]) * weight[i] * value
@@ -131,12 +134,17 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", use: Column
     """Fit on a bounded sample of labelled rows (``max_rows``); ``use`` filters rows by their id."""
     sample = labelled_sample(docs, labels, label, use, max_rows)
     kinds = [("where", T.ArrayType(T.IntegerType())), ("count", T.ArrayType(T.IntegerType()))]
-    got = common.with_text_columns(sample, "text", partial(_feature_columns, bits=bits), kinds, keep=["__id", "__label"]).toPandas()
-    got = got.sort_values(["__id", "__label"], kind="stable")
-    rows = [(np.asarray(a, np.int64), values(np.asarray(b))) for a, b in zip(got["where"], got["count"], strict=True)]
-    labels_of = got["__label"].to_numpy(dtype=float)
-    del got
-    return fit_ftrl(rows, labels_of, bits, default_score=default_score)
+    common.tidy(docs.sparkSession)
+    got = common.with_text_columns(sample, "text", partial(_feature_columns, bits=bits), kinds, keep=["__id", "__label"]).toArrow().combine_chunks()
+    order = pc.sort_indices(got, [("__id", "ascending"), ("__label", "ascending")]).to_pylist()
+    parts = []
+    for name in ("where", "count"):
+        chunks = got[name].chunks
+        flat = chunks[0] if chunks else pa.array([], pa.list_(pa.int32()))
+        ends, held = flat.offsets.to_pylist(), flat.values.to_numpy()
+        parts.append([held[ends[i] : ends[i + 1]] for i in order])
+    labels_of = got["__label"].to_numpy().astype(float)[order]
+    return fit_ftrl(list(zip(*parts, strict=True)), labels_of, bits, default_score=default_score)
 
 
 def _scored(texts: list[str], model: QualityModel) -> list[np.ndarray]:
