@@ -15,14 +15,15 @@ from polyedge.models.config import ABLATIONS, PRESETS, ModelConfig
 from polyedge.operators import deviation as V, diagnose as G, inject as I, metrics as N, panel as P, prescribe as C, structure as S
 from polyedge.session import configure, materialise, ship
 
-#: faults of each experiment set: start of the test part, number, shortest and longest
+#: faults of each experiment set: start of the test part, number, shortest and longest; as long as the
+#: ten ticks of smoothing or longer, for shorter ones leave most flags behind the fault
 FAULTS = {
-    "plant": (0.6, 3, 4, 6),
-    "network": (0.6, 3, 4, 6),
-    "telemetry25": (0.8, 5, 1, 2),
-    "telemetry50": (0.8, 9, 1, 2),
+    "plant": (0.6, 3, 15, 24),
+    "network": (0.6, 3, 15, 24),
+    "telemetry25": (0.8, 2, 8, 12),
+    "telemetry50": (0.8, 4, 8, 14),
     "simulator": (0.8, 1, 40, 40),
-    "testbed": (0.5, 38, 1, 3),
+    "testbed": (0.5, 8, 8, 14),
 }
 #: width, window and epochs at which the workloads run as queries; a full run takes d=128 and 100 epochs
 LIGHT = {"d": 8}
@@ -74,17 +75,24 @@ def _measures(df: DataFrame, *keys: str) -> DataFrame:
     return df.select(*keys, "adjusted", "tp", "fp", "fn", "tn", *[F.round(c, 4).alias(c) for c in ("precision", "recall", "f1")])
 
 
-def accuracy(spark: SparkSession, sf_dir: str, preset: str, seeds: int = 1, **change) -> DataFrame:
-    """Proposed model on one set: train, score, threshold, measures; several seeds give rows each."""
+def accuracy(spark: SparkSession, sf_dir: str, preset: str, seeds: int = 5, **change) -> DataFrame:
+    """Proposed model on one set: mean and deviation of the measures over seeds, each trained in a task of its own."""
     p, truth, _, _, n, start = injected(spark, sf_dir, preset)
-    out = None
-    for seed in range(1, seeds + 1):
+    x = T.matrix(p)
+    a, b = int(len(x) * start * 0.75), int(len(x) * start)
+
+    def run(x, seed):
         cfg = config(preset, n, seed=seed, **change)
-        f, _ = fitted_forecast(p, cfg, start)
-        _, ticks, threshold = V.detect(f, cfg.w_a, cfg.smooth, cfg.robust_on, cfg.eps)
-        got = judged(V.flag(ticks, threshold), truth, PRESETS[preset][4]).withColumn("seed", F.lit(seed))
-        out = got if out is None else out.unionByName(got)
-    return _measures(out.withColumn("workload", F.lit(preset)), "workload", "seed")
+        params, _ = T.fit(x, a, b - a, cfg, epochs=EPOCHS, lr=RATE)
+        _, win, y = T.windows(x, cfg.w)
+        dev = np.concatenate([np.zeros((cfg.w, x.shape[1])), np.abs(T.predict(win, params, cfg) - y)])
+        return str(seed), detect_rows(dev, a, b - a, first=cfg.w), b
+
+    flags = materialise(fan_out(spark, x, list(range(1, seeds + 1)), run))
+    runs = judged(flags, truth, PRESETS[preset][4], ["model"])
+    columns = ["precision", "recall", "f1"]
+    mean = N.mean_runs(runs, ["adjusted"], columns)
+    return mean.select(F.lit(preset).alias("workload"), F.lit(seeds).alias("seeds"), "adjusted", *[F.round(c, 4).alias(c) for c in [*columns, *(f"sd_{c}" for c in columns)]])
 
 
 def fan_out(spark: SparkSession, x: np.ndarray, jobs: list[tuple], run) -> DataFrame:
@@ -213,7 +221,7 @@ def wk_sweep(spark: SparkSession, sf_dir: str, preset: str = "telemetry25", ws:
 def forecast_vs_truth(spark: SparkSession, sf_dir: str, preset: str = "telemetry25", sensors: tuple[int, ...] | None = None) -> DataFrame:
     p, _, _, _, n, start = injected(spark, sf_dir, preset)
     f, _ = fitted_forecast(p, config(preset, n), start)
-    _, ticks, threshold = V.detect(f)
+    _, ticks, threshold = V.detect(f, chunk=200)
     flags = V.flag(ticks, threshold).select("tick", "flag")
     rows = f.where(F.col("sensor_id").isin(*sensors)) if sensors else f
     return rows.join(flags, "tick", "left").select("tick", "sensor_id", F.round("y", 6).alias("y"), F.round("y_hat", 6).alias("y_hat"), "flag")
