@@ -9,8 +9,8 @@ only back-references are copied one by one; other pictures are read symbol by sy
 The writer stores a byte payload as grey pixels, a byte each: with the palette transform where at most
 16 values occur (several pixels then share one), else with subtract-green, which leaves one channel.
 Repeated passages become back-references, found by sorted hashes of six bytes, and the rest has prefix
-codes fitted to its counts.  A colour cache gains nothing on one channel and the spatial transforms
-lose on text, so ``store_bytes`` writes neither; ``encode_image`` writes every feature.
+codes fitted to its counts.  A colour cache gains nothing where a pixel is one symbol, and the
+spatial transforms are not tried on text, so ``store_bytes`` writes neither; ``encode_image`` writes all.
 
 Defined results: a payload is padded with bytes 255 to a positive multiple of 576 (a row), so a null
 or empty text is one row of white pixels; one beyond 1,024 rows continues in further files, one behind
