@@ -478,7 +478,7 @@ def test_media_cases(spark, docs, none):
     assert webp.digest(none).count() == 0
     stored = webp.store_texts(docs.limit(4))
     px = webp.decode_pixels(stored)
-    assert all(r.width == 192 and len(r.argb) == r.width * r.height for r in px.collect())
+    assert all(r.width == webp.WIDTH == 576 and len(r.argb) == r.width * r.height for r in px.collect())
 
 
 def test_rollups(spark, docs):
