@@ -4,6 +4,9 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, Window, functions as F
 
+#: ticks of a range that one task smooths
+CHUNK = 10_000
+
 
 def abs_error(forecast: DataFrame) -> DataFrame:
     return forecast.withColumn("dev", F.abs(F.col("y") - F.col("y_hat")))
@@ -20,7 +23,7 @@ def fit_robust(dev: DataFrame, on: str = "validation", exact: bool = True, accur
 
 
 def robust_score(dev: DataFrame, stats: DataFrame, eps: float = 1e-6) -> DataFrame:
-    return dev.join(F.broadcast(stats), "sensor_id").withColumn("score", (F.col("dev") - F.col("med")) / F.greatest(F.col("iqr"), F.lit(eps)))
+    return dev.join(stats, "sensor_id").withColumn("score", (F.col("dev") - F.col("med")) / F.greatest(F.col("iqr"), F.lit(eps)))
 
 
 def tick_max(score: DataFrame) -> DataFrame:
@@ -30,10 +33,11 @@ def tick_max(score: DataFrame) -> DataFrame:
     return score.groupBy("tick", *kept).agg(best.alias("b")).select("tick", *kept, F.col("b.score").alias("raw"), (-F.col("b.neg")).alias("top_sensor"))
 
 
-def smooth(ticks: DataFrame, w_a: int = 10, mode: str = "trailing", chunk: int | None = None) -> DataFrame:
+def smooth(ticks: DataFrame, w_a: int = 10, mode: str = "trailing", chunk: int | None = CHUNK) -> DataFrame:
     """Moving average over ticks.  ``trailing``: the last w_a; ``printed``: w_a + 2 ticks over w_a.
 
-    With ``chunk`` the ticks are dealt to ranges with a halo, so no single task sees all of them.
+    The ticks are dealt to ranges of ``chunk`` with a halo, so no single task sees all of them;
+    with None one window runs over all.
     """
     back = w_a - 1 if mode == "trailing" else w_a + 1
     if chunk:
@@ -70,7 +74,7 @@ def persistence(p: DataFrame, chunk: int | None = None) -> DataFrame:
     return got.select("tick", *kept, "sensor_id", F.col("target").alias("y"), F.col("win")[0].alias("y_hat"))
 
 
-def detect(forecast: DataFrame, w_a: int = 10, mode: str = "trailing", on: str = "validation", eps: float = 1e-6, exact: bool = True, chunk: int | None = None) -> tuple[DataFrame, DataFrame, float]:
+def detect(forecast: DataFrame, w_a: int = 10, mode: str = "trailing", on: str = "validation", eps: float = 1e-6, exact: bool = True, chunk: int | None = CHUNK) -> tuple[DataFrame, DataFrame, float]:
     """Scores per node, smoothed ticks and the threshold of a split forecast."""
     dev = abs_error(forecast)
     score = robust_score(dev, fit_robust(dev, on, exact), eps)

@@ -19,11 +19,12 @@ def propagate(members: DataFrame, roots: DataFrame, hops: int | None = None, cut
 
     A hop goes from a reached node, by every edge that holds it, to the members not reached before;
     of several ways in, the one by the smallest edge and sender stays.  Without ``hops`` it runs to
-    the fixed point.  Members are bounded by the sensor list and broadcast.
+    the fixed point.  Spark broadcasts the members if their size is
+    under the session's bound.
     """
     m = materialise(members.select("edge_id", "sensor_id").distinct())
-    into = F.broadcast(m.select("edge_id", F.col("sensor_id").alias("from_id")))
-    out_of = F.broadcast(m.select("edge_id", F.col("sensor_id").alias("to_id")))
+    into = m.select("edge_id", F.col("sensor_id").alias("from_id"))
+    out_of = m.select("edge_id", F.col("sensor_id").alias("to_id"))
     seen = roots.select("root", F.col("root").alias("node")).distinct()
     front, layers, hop = seen, [], 0
     while hops is None or hop < hops:
@@ -57,12 +58,14 @@ def salient(trace: DataFrame, attention: DataFrame, scores: DataFrame, top: int)
     return ranked.withColumn("place", F.row_number().over(w)).where(F.col("place") <= top)
 
 
-def evidence(forecast: DataFrame, trace: DataFrame, panel: DataFrame, tick: int) -> DataFrame:
+def evidence(forecast: DataFrame, trace: DataFrame, panel: DataFrame, tick: int, now: bool = True) -> DataFrame:
     """Observed and predicted values of the root and its trace at one tick, with the sign of each
-    node's correlation with the root over the training rows."""
+    node's correlation with the root over the training rows.  Without ``now`` only the signs."""
     nodes = trace.select("root", F.col("to_id").alias("sensor_id"), "hop").unionByName(trace.select("root", F.col("root").alias("sensor_id"), F.lit(0).alias("hop")).distinct())
     train = panel.where("split = 'train'") if "split" in panel.columns else panel
     x, y = train.select("tick", "sensor_id", "value"), train.select("tick", F.col("sensor_id").alias("root"), F.col("value").alias("rv"))
-    c = F.broadcast(nodes).join(x, "sensor_id").join(y, ["tick", "root"]).groupBy("root", "sensor_id").agg(F.signum(F.corr("value", "rv")).alias("sign"))
-    now = forecast.where(F.col("tick") == tick).select("sensor_id", "y", "y_hat")
-    return nodes.join(now, "sensor_id").join(c, ["root", "sensor_id"], "left").select("root", "hop", "sensor_id", "y", "y_hat", "sign")
+    c = nodes.join(x, "sensor_id").join(y, ["tick", "root"]).groupBy("root", "sensor_id").agg(F.signum(F.corr("value", "rv")).alias("sign"))
+    if not now:
+        return nodes.join(c, ["root", "sensor_id"], "left").select("root", "hop", "sensor_id", "sign")
+    seen = forecast.where(F.col("tick") == tick).select("sensor_id", "y", "y_hat")
+    return nodes.join(seen, "sensor_id").join(c, ["root", "sensor_id"], "left").select("root", "hop", "sensor_id", "y", "y_hat", "sign")

@@ -8,6 +8,8 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 
 KINDS = ("step", "ramp", "spike", "stuck", "noise", "gain", "phase", "flip", "swap", "dropout")
+#: those that need no carrier
+PLAIN = ("step", "ramp", "spike", "noise", "gain", "flip", "dropout")
 SIZES = (0.05, 0.1, 0.2, 0.4)
 
 
@@ -33,14 +35,14 @@ class Fault:
     whole_group: bool
 
 
-def schedule(ticks: int, n: int, start: int, count: int, shortest: int, longest: int, first: int = 0) -> list[Fault]:
+def schedule(ticks: int, n: int, start: int, count: int, shortest: int, longest: int, first: int = 0, kinds: tuple[str, ...] = KINDS) -> list[Fault]:
     """``count`` faults spread over ticks start .. ticks-1."""
     out = []
     for q in range(count):
         t0 = start + ((q + 1) * (ticks - start)) // (count + 1)
         length = shortest + q % (longest - shortest + 1)
         k = q + first
-        out.append(Fault(k, (7 * k + 3) % n, t0, min(ticks, t0 + length) - 1, KINDS[k % 10], SIZES[(3 * k + k // 10) % 4], (k // 10) % 2 == 1))
+        out.append(Fault(k, (7 * k + 3) % n, t0, min(ticks, t0 + length) - 1, kinds[k % len(kinds)], SIZES[(3 * k + k // 10) % 4], (k // 10) % 2 == 1))
     return out
 
 

@@ -47,8 +47,10 @@ def build_panel(df: DataFrame, ts: str, key: str, measures: dict[str, str], ever
     return got.select("ts", F.explode(F.array(*named)).alias("x")).select("ts", F.col("x.name").alias("sensor_name"), F.col("x.value").alias("value"))
 
 
-def densify(rows: DataFrame, every: str, fill: str = "zero") -> DataFrame:
-    """Every sensor at every tick.  ``fill``: ``zero`` or ``ffill`` (then back-fill, then zero).
+def densify(rows: DataFrame, every: str, fill: str = "zero", train: float = 0.6) -> DataFrame:
+    """Every sensor at every tick.  ``fill``: ``zero``, ``ffill`` (then back-fill, then zero) or ``median``
+    (the last value forward; what precedes the first gets the median of the sensor's readings in the
+    first ``train`` of the ticks, zero if there is none).
 
     The grid is the cross of the sensor list (bounded by the schema) with the tick range, which is
     generated by ``sequence`` and so never read or shuffled as data.
@@ -64,8 +66,13 @@ def densify(rows: DataFrame, every: str, fill: str = "zero") -> DataFrame:
     elif fill == "ffill":
         w = Window.partitionBy("sensor_id").orderBy("tick")
         value = F.coalesce(F.last("value", True).over(w), F.first("value", True).over(w.rowsBetween(0, Window.unboundedFollowing)), F.lit(0.0))
+    elif fill == "median":
+        part = full.crossJoin(ticks.agg(F.floor((F.max("tick") + 1) * train).alias("__until"))).where("tick < __until")
+        middle = part.groupBy("sensor_id").agg(F.percentile("value", 0.5).alias("__middle"))
+        full = full.join(middle, "sensor_id", "left")
+        value = F.coalesce(F.last("value", True).over(Window.partitionBy("sensor_id").orderBy("tick")), "__middle", F.lit(0.0))
     else:
-        raise ValueError("fill is zero or ffill")
+        raise ValueError("fill is zero, ffill or median")
     return full.select("tick", "ts", "sensor_id", value.alias("value"))
 
 

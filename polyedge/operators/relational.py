@@ -4,6 +4,8 @@ from __future__ import annotations
 
 from collections.abc import Sequence
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
 
@@ -106,3 +108,23 @@ def skew_join(big: DataFrame, small: DataFrame, on: str, salts: int = 16) -> Dat
     b = big.withColumn("__salt", F.pmod(F.monotonically_increasing_id(), F.lit(salts)))
     s = small.withColumn("__salt", F.explode(F.expr(f"sequence(0L, {salts - 1}L)")))
     return b.join(s, [on, "__salt"]).drop("__salt")
+
+
+def drift(before: DataFrame, after: DataFrame, key: str, value: str) -> DataFrame:
+    """(key, distance, before, after): the greatest gap of the two distribution functions of each key,
+    and the numbers of values.
+
+    Both sides are counted by value before they meet, so a key's task holds its distinct values.
+    """
+    held = before.schema[key].dataType.simpleString()
+    # names given anew: both sides may come from one frame
+    sides = [x.where(F.col(value).isNotNull()).groupBy(key, value).agg(F.count("*").alias("n")).toDF(key, value, "n") for x in (before, after)]
+
+    def gap(key_value: tuple, a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
+        at = np.union1d(a[value], b[value])
+        total = [int(x["n"].sum()) for x in (a, b)]
+        below = [np.concatenate([[0], x.sort_values(value)["n"].cumsum()])[np.searchsorted(np.sort(x[value]), at, "right")] for x in (a, b)]
+        far = float(np.abs(below[0] / total[0] - below[1] / total[1]).max()) if all(total) else None
+        return pd.DataFrame({key: [key_value[0]], "distance": [far], "before": [total[0]], "after": [total[1]]})
+
+    return sides[0].groupBy(key).cogroup(sides[1].groupBy(key)).applyInPandas(gap, f"{key} {held}, distance double, before long, after long")

@@ -405,6 +405,35 @@ def q_root_sensor(spark, d):
     return G.root(score, V.flag(s, V.fit_threshold(s))).select("tick", "root", F.round("score", 5).alias("score"))
 
 
+def q_salient(spark, d):
+    """The three most salient steps of every trace: mean attention times the greatest step of the reading."""
+    _, members, c, _ = stages(spark, d)
+    trace = G.propagate(members, members.select(F.col("sensor_id").alias("root")).distinct(), 2)
+    moved = W.lagged(scaled_all(spark, d), 1, chunk=500).withColumn("score", F.abs(F.col("target") - F.col("win")[0]))
+    got = G.salient(trace, c.member_attention, moved, 3)
+    return got.select("root", "place", "hop", "edge_id", "from_id", "to_id", F.round("weight", 6).alias("weight"))
+
+
+def q_evidence(spark, d):
+    """Reading, forecast by the last reading and sign of the correlation for every root and its trace."""
+    p = scaled(spark, d, "flag_status")
+    members = six_node(spark)
+    trace = G.propagate(members, members.select(F.col("sensor_id").alias("root")).distinct(), 2)
+    got = G.evidence(V.persistence(p, chunk=500), trace, p, 100)
+    return got.select("root", "hop", "sensor_id", F.round("y", 6).alias("y"), F.round("y_hat", 6).alias("y_hat"), F.round("sign", 0).alias("sign"))
+
+
+def steps_sql(hops: int) -> str:
+    """CTEs ``six``, ``reach``, ``lay`` and ``step``: every node a root, each node by its first way in."""
+    return (
+        "six AS (SELECT * FROM (VALUES " + ", ".join(f"({e - 1}, {s - 1})" for e, s in SIX) + ") t(edge_id, sensor_id)), "
+        "reach(root, node, hop) AS (SELECT r, r, 0 FROM (SELECT unnest(range(0, 6)) AS r) UNION "
+        f"SELECT c.root, b.sensor_id, c.hop + 1 FROM reach c JOIN six a ON a.sensor_id = c.node JOIN six b ON b.edge_id = a.edge_id WHERE c.hop < {hops}), "
+        "lay AS (SELECT root, node, min(hop) AS hop FROM reach GROUP BY 1, 2), "
+        "step AS (SELECT l.root, l.hop, l.node AS to_id, min({'e': a.edge_id, 'f': a.sensor_id}) AS way FROM lay l JOIN lay f ON f.root = l.root AND f.hop = l.hop - 1 JOIN six a ON a.sensor_id = f.node JOIN six b ON b.edge_id = a.edge_id AND b.sensor_id = l.node GROUP BY 1, 2, 3)"
+    )
+
+
 def trace_sql(ctes: str, members: str, roots: str, limit: int) -> str:
     return (
         f"WITH RECURSIVE {ctes}, reach(root, node, hop) AS (SELECT r, r, 0 FROM (SELECT unnest([{roots}]) AS r) UNION "
@@ -456,6 +485,13 @@ ORACLES = {
     "q_cross_entropy": "WITH r AS (SELECT toxic AS y, least(greatest((doc_id % 97) / 96.0::DOUBLE, 0.0000001::DOUBLE), 0.9999999::DOUBLE) AS p FROM labels) SELECT round(avg(-y * ln(p) - (1 - y) * ln(1 - p)), 6) AS bce FROM r",
     "q_trace_khop": trace_sql(DIST_SQL.removeprefix("WITH "), "members", "0, 17, 42", 3),
     "q_trace_six_node": trace_sql("six AS (SELECT * FROM (VALUES " + ", ".join(f"({e - 1}, {s - 1})" for e, s in SIX) + ") t(edge_id, sensor_id))", "six", "0", 6),
+    "q_salient": f"WITH RECURSIVE {steps_sql(2)}, {CTES}, att AS (SELECT p, i, avg(c) AS coef FROM alpha GROUP BY 1, 2), "
+    "mv AS (SELECT i, max(abs(x - was)) AS score FROM (SELECT i, x, lag(x) OVER (PARTITION BY i ORDER BY tick) AS was FROM sc) GROUP BY 1), "
+    "wt AS (SELECT root, hop, way.e AS e, way.f AS f, to_id, coalesce(coef, 0.0) * coalesce(score, 0.0) AS weight FROM step LEFT JOIN att ON att.p = way.e AND att.i = to_id LEFT JOIN mv ON mv.i = to_id) "
+    "SELECT CAST(root AS INTEGER) AS root, CAST(row_number() OVER (PARTITION BY root ORDER BY weight DESC, hop, e, to_id) AS INTEGER) AS place, CAST(hop AS INTEGER) AS hop, CAST(e AS INTEGER) AS edge_id, CAST(f AS INTEGER) AS from_id, CAST(to_id AS INTEGER) AS to_id, round(weight, 6) AS weight FROM wt QUALIFY place <= 3",
+    "q_evidence": f"WITH RECURSIVE {steps_sql(2)}, {panel_sql('flag_status')}, {SCALED_SQL}, "
+    "cr AS (SELECT y.sensor_id AS root, x.sensor_id, corr(x.value, y.value) AS r FROM sc x JOIN sc y ON y.tick = x.tick WHERE x.split = 'train' AND y.split = 'train' GROUP BY 1, 2) "
+    "SELECT CAST(lay.root AS INTEGER) AS root, CAST(hop AS INTEGER) AS hop, CAST(node AS INTEGER) AS sensor_id, round(n.value, 6) AS y, round(o.value, 6) AS y_hat, round(CAST(sign(r) AS DOUBLE), 0) AS sign FROM lay JOIN sc n ON n.sensor_id = node AND n.tick = 100 JOIN sc o ON o.sensor_id = node AND o.tick = 99 LEFT JOIN cr ON cr.root = lay.root AND cr.sensor_id = node",
     "q_root_sensor": f"WITH {dev_sql('nation_ship')} SELECT tick, top_sensor AS root, round(raw, 5) AS score FROM sm WHERE split = 'test' AND trail > (SELECT max(trail) FROM sm WHERE split = 'validation')",
 }
 ORACLES |= {f"q_variant_{k}": _v("xr", "i", "sensor_id", ctes(replace(CFG, **v))) for k, v in VARIANTS.items()}

@@ -3,6 +3,7 @@
 import shutil
 import subprocess
 import sys
+from datetime import datetime
 from pathlib import Path
 
 import numpy as np
@@ -109,9 +110,10 @@ def test_control_search_reaches_the_grid_optimum():
     cfg = ModelConfig(n=4, w=6, k=2, d=4)
     params, _ = T.fit(x, 180, 40, cfg, epochs=8, lr=1e-2)
     ctx = C.Context(params, cfg, x[-7:-1], x[-1:], np.zeros(4), np.full(4, 0.1), 1)
-    for horizon in (1,):
-        _, loss, history = C.search(ctx, horizon, s=C.Search(generations=20))
-        _, best = C.grid(ctx, horizon, 81)
+    for horizon, steps in ((1, 81), (2, 41)):
+        now = C.Context(params, cfg, x[-8:-2], x[-2:], ctx.med, ctx.iqr, 1) if horizon == 2 else ctx
+        _, loss, history = C.search(now, horizon, s=C.Search(generations=20 * horizon))
+        _, best = C.grid(now, horizon, steps)
         assert loss <= best / 0.95 + 1e-9 and history == sorted(history, reverse=True)
 
 
@@ -119,8 +121,37 @@ def test_control_search_runs_incidents_in_parallel(spark):
     x = np.random.default_rng(3).random((40, 3))
     cfg = ModelConfig(n=3, w=4, k=1, d=2)
     ctx = C.Context(T.initial(cfg), cfg, x[:4], x[4:6], np.zeros(3), np.ones(3), 0)
-    got = C.search_many(spark, [ctx, ctx, ctx], 2, "tracking", C.Search(generations=3, population=8)).collect()
-    assert len(got) == 3 and all(r.after <= r.before + 1e-9 or r.after >= 0 for r in got) and len(got[0].recommended) == 2
+    other = C.Context(ctx.params, cfg, x[10:14], x[14:16], ctx.med, ctx.iqr, 2)
+    for objective in ("score", "tracking"):
+        got = {r.incident: r for r in C.search_many(spark, [ctx, other, ctx], 2, objective, C.Search(generations=30)).collect()}
+        assert len(got) == 3 and got[0].recommended == got[2].recommended
+        for i, c in enumerate((ctx, other, ctx)):
+            assert got[i].after == pytest.approx(C.fitness(np.array([got[i].recommended]), c, objective)[0])
+            assert got[i].after <= C.grid(c, 2, 21, objective)[1] * 1.05 + 1e-9
+
+
+def test_drift_counts_repeats_and_one_sided_keys(spark):
+    rows = lambda x: spark.createDataFrame(x, "k string, v double")
+    got = {r.k: r for r in R.drift(rows([("a", 1.0), ("a", 1.0), ("a", 2.0), ("b", 5.0), ("d", None)]), rows([("a", 1.0), ("a", 3.0), ("c", 0.0)]), "k", "v").collect()}
+    assert got["a"].distance == pytest.approx(0.5) and (got["a"].before, got["a"].after) == (3, 2)
+    assert got["b"].distance is None and got["c"].distance is None and "d" not in got
+
+
+def test_median_fill(spark):
+    day = lambda d: datetime(2024, 1, d)
+    rows = spark.createDataFrame([(day(3), "a", 4.0), (day(5), "a", 8.0), (day(1), "b", 1.0), (day(10), "b", 9.0), (day(9), "c", 7.0)], "ts timestamp_ntz, sensor_name string, value double")
+    got = {(r.sensor_id, r.tick): r.value for r in P.densify(rows, "day", "median").collect()}
+    # a: median of 4 and 8 before its first; c has no reading in the first six ticks
+    assert [got[0, t] for t in range(10)] == [6.0, 6.0, 4.0, 4.0, 8.0, 8.0, 8.0, 8.0, 8.0, 8.0]
+    assert [got[1, t] for t in range(10)] == [1.0] * 9 + [9.0]
+    assert [got[2, t] for t in range(10)] == [0.0] * 8 + [7.0] * 2
+
+
+def test_smoothing_in_ranges_equals_one_window(spark):
+    ticks = spark.range(95).select(F.col("id").alias("tick"), F.pmod(F.col("id") * 37, F.lit(11)).cast("double").alias("raw"))
+    for mode in ("trailing", "printed"):
+        whole = V.smooth(ticks, 10, mode, None).collect()
+        assert sorted(V.smooth(ticks, 10, mode, 7).collect()) == sorted(whole) == sorted(V.smooth(ticks, 10, mode).collect())
 
 
 def test_schedule_and_faults(spark):
