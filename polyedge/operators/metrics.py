@@ -21,13 +21,30 @@ def prf(counts: DataFrame) -> DataFrame:
     return counts.select("*", p.alias("precision"), r.alias("recall"), f.alias("f1"))
 
 
-def adjust_segments(rows: DataFrame, by: list[str] | None = None) -> DataFrame:
-    """A flag anywhere in a contiguous true segment flags all of it (rows: tick, y, flag)."""
-    w = Window.partitionBy(*(by or [])).orderBy("tick")
+def adjust_segments(rows: DataFrame, by: list[str] | None = None, chunk: int = 100_000) -> DataFrame:
+    """A flag anywhere in a contiguous true segment flags all of it (rows: tick, y, flag).
+
+    Segments are numbered inside ranges of ``chunk`` ticks; one row a range then tells which of them go
+    on over a border, so no task sees more ticks than a range has.
+    """
+    keys = by or []
+    w = Window.partitionBy(*keys, "__c").orderBy("tick")
     begins = ((F.col("y") == 1) & (F.coalesce(F.lag("y").over(w), F.lit(0)) == 0)).cast("int")
-    marked = rows.withColumn("__b", begins).withColumn("__seg", F.sum("__b").over(w))
-    seg = Window.partitionBy(*(by or []), "__seg", "y")
-    return marked.withColumn("flag", F.when(F.col("y") == 1, F.max("flag").over(seg)).otherwise(F.col("flag"))).drop("__b", "__seg")
+    marked = rows.withColumn("__c", F.floor(F.col("tick") / chunk)).withColumn("__b", begins).withColumn("__seg", F.sum("__b").over(w))
+    along = Window.partitionBy(*keys).orderBy("__c")
+    ends = marked.groupBy(*keys, "__c").agg(F.min_by("y", "tick").alias("__first"), F.max_by("y", "tick").alias("__last"), F.max("__seg").alias("__segs"))
+    ends = ends.withColumn("__joined", (F.col("__first") == 1) & (F.coalesce(F.lag("__last").over(along), F.lit(0)) == 1))
+    # the group of a range's last segment; the first one, if joined, is of the group before
+    ends = ends.withColumn("__g", F.sum(F.when(F.col("__joined") & (F.col("__segs") == 1), 0).otherwise(1)).over(along))
+    ends = ends.withColumn("__before", F.lag("__g").over(along))
+    seg = Window.partitionBy(*keys, "__c", "__seg", "y")
+    held = marked.withColumn("__hit", F.max("flag").over(seg)).join(ends, [*keys, "__c"])
+    group = F.when((F.col("__seg") == 1) & F.col("__joined"), F.col("__before")).when((F.col("__seg") == F.col("__segs")) & (F.col("__last") == 1), F.col("__g"))
+    held = held.withColumn("__group", F.when(F.col("y") == 1, group))
+    crossing = held.where("__group IS NOT NULL").groupBy(*keys, "__group").agg(F.max("__hit").alias("__any"))
+    out = held.join(crossing, [*keys, "__group"], "left")
+    flag = F.when(F.col("y") == 1, F.coalesce("__any", "__hit")).otherwise(F.col("flag"))
+    return out.select(*[flag.alias(c) if c == "flag" else c for c in rows.columns])
 
 
 def fault_rate(rows: DataFrame) -> DataFrame:

@@ -12,11 +12,12 @@ from functools import partial
 
 from pyspark.sql import functions as F
 
+from polyedge.functions.udf import score_windows
 from polyedge.models import params as PM
 from polyedge.models.config import ModelConfig
 from polyedge.operators import deviation as V, diagnose as G, forward as FW, metrics as N, panel as P, structure as S, windows as W
 from polyedge.queries.panels import SCALED_SQL, panel_sql, scaled
-from polyedge.session import configure, materialise
+from polyedge.session import configure, materialise, ship
 from polyedge.sources import table
 
 # ------------------------------------------------------------------ structure
@@ -171,6 +172,15 @@ def q_forecast(spark, d):
     return FW.forecast(r, params, CFG).select("tick", "sensor_id", F.round("y_hat", 6).alias("y_hat"))
 
 
+def q_score_windows(spark, d):
+    """The forecast by the window UDF, over the structure that the embeddings give."""
+    win = windows_of(spark, d).groupBy("tick").agg(F.sort_array(F.collect_list(F.struct("sensor_id", "win"))).alias("x"))
+    flat = win.select("tick", F.flatten(F.transform("x", lambda s: s["win"])).alias("x"))
+    ship(spark)
+    scored_ticks = flat.select("tick", score_windows(PM.formula(CFG), CFG)("x").alias("y_hat"))
+    return scored_ticks.select("tick", F.posexplode("y_hat").alias("sensor_id", "y_hat")).withColumn("y_hat", F.round("y_hat", 6))
+
+
 def q_classify(spark, d):
     r, params = refined(spark, d)
     return FW.classify(r, params, CFG).select("tick", F.round("p", 6).alias("p"))
@@ -494,4 +504,10 @@ ORACLES = {
     "SELECT CAST(lay.root AS INTEGER) AS root, CAST(hop AS INTEGER) AS hop, CAST(node AS INTEGER) AS sensor_id, round(n.value, 6) AS y, round(o.value, 6) AS y_hat, round(CAST(sign(r) AS DOUBLE), 0) AS sign FROM lay JOIN sc n ON n.sensor_id = node AND n.tick = 100 JOIN sc o ON o.sensor_id = node AND o.tick = 99 LEFT JOIN cr ON cr.root = lay.root AND cr.sensor_id = node",
     "q_root_sensor": f"WITH {dev_sql('nation_ship')} SELECT tick, top_sensor AS root, round(raw, 5) AS score FROM sm WHERE split = 'test' AND trail > (SELECT max(trail) FROM sm WHERE split = 'validation')",
 }
+NEAR_SQL = (
+    f"mem AS (WITH zn AS (SELECT i, o, {fw('z', 'i', 'o')} AS z FROM (SELECT unnest(range(0, 6)) AS i) CROSS JOIN (SELECT unnest(range(0, {D})) AS o)), "
+    "ds AS (SELECT a.i AS p, b.i, sum(pow(a.z - b.z, 2)) AS s FROM zn a JOIN zn b ON a.o = b.o AND a.i <> b.i GROUP BY 1, 2) "
+    f"SELECT p, i FROM ds QUALIFY row_number() OVER (PARTITION BY p ORDER BY s, i) <= {CFG.k} UNION ALL SELECT i, i FROM (SELECT unnest(range(0, 6)) AS i))"
+)
+ORACLES["q_score_windows"] = ORACLES["q_forecast"].replace("mem AS (SELECT * FROM (VALUES " + ", ".join(f"({e - 1}, {s - 1})" for e, s in SIX) + ") t(p, i))", NEAR_SQL)
 ORACLES |= {f"q_variant_{k}": _v("xr", "i", "sensor_id", ctes(replace(CFG, **v))) for k, v in VARIANTS.items()}

@@ -154,6 +154,31 @@ def test_smoothing_in_ranges_equals_one_window(spark):
         assert sorted(V.smooth(ticks, 10, mode, 7).collect()) == sorted(whole) == sorted(V.smooth(ticks, 10, mode).collect())
 
 
+def test_segments_over_borders_of_ranges(spark):
+    rng = np.random.default_rng(9)
+    rows = [(m, t, int(y), int(f)) for m in ("a", "b") for t, (y, f) in enumerate(zip(rng.random(90) < 0.7, rng.random(90) < 0.15, strict=True)) if t % 13 or m == "b"]
+    want, run = {}, []
+    for m, t, y, f in [*rows, ("c", 0, 0, 0)]:
+        if run and (not y or m != run[0][0]):
+            want |= {k: max(x for _, _, x in run) for k in [(a, b) for a, b, _ in run]}
+            run = []
+        if y:
+            run.append((m, t, f))
+        else:
+            want[m, t] = f
+    want.pop(("c", 0))
+    df = spark.createDataFrame(rows, "model string, tick long, y int, flag int")
+    for chunk in (1, 4, 7, 1000):
+        out = N.adjust_segments(df, ["model"], chunk)
+        assert out.columns == df.columns and {(r.model, r.tick): r.flag for r in out.collect()} == want
+
+
+def test_late_rows_go_to_the_side(spark):
+    df = spark.createDataFrame([(datetime(2024, 1, 1, h), h) for h in range(6)], "ts timestamp, v int")
+    main, late = ST.with_lateness(df, "2024-01-01 03:00:00")
+    assert sorted(r.v for r in main.collect()) == [3, 4, 5] and sorted(r.v for r in late.collect()) == [0, 1, 2]
+
+
 def test_schedule_and_faults(spark):
     f = I.schedule(500, 12, 250, 10, 1, 3)
     assert all(250 <= a.t0 <= a.t1 < 500 for a in f)
