@@ -10,6 +10,7 @@ import math
 from dataclasses import replace
 from functools import partial
 
+import numpy as np
 from pyspark.sql import functions as F
 
 from polyedge.functions.udf import score_windows
@@ -177,7 +178,7 @@ def q_score_windows(spark, d):
     win = windows_of(spark, d).groupBy("tick").agg(F.sort_array(F.collect_list(F.struct("sensor_id", "win"))).alias("x"))
     flat = win.select("tick", F.flatten(F.transform("x", lambda s: s["win"])).alias("x"))
     ship(spark)
-    scored_ticks = flat.select("tick", score_windows(PM.formula(CFG), CFG)("x").alias("y_hat"))
+    scored_ticks = flat.select("tick", score_windows(PM.formula(CFG) | {"head_b": np.zeros(CFG.n)}, CFG)("x").alias("y_hat"))
     return scored_ticks.select("tick", F.posexplode("y_hat").alias("sensor_id", "y_hat")).withColumn("y_hat", F.round("y_hat", 6))
 
 
