@@ -25,7 +25,6 @@ QUERIES = {
     "q_leaderboard_testbed38": partial(L.leaderboard, preset="testbed"),
     "q_ablation": partial(L.ablation, preset="telemetry25"),
     "q_ablation_plant": partial(L.ablation, preset="plant"),
-    "q_ablation_network": partial(L.ablation, preset="network"),
     "q_ablation_telemetry50": partial(L.ablation, preset="telemetry50"),
     "q_wk_sweep": L.wk_sweep,
     "q_diagnosis": L.diagnosis,
