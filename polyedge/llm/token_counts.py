@@ -47,6 +47,17 @@ def counted(docs: DataFrame, version: str, path: str, pattern: str | None = None
     return rows.select("doc_id", "source", "lang", F.lit(version).alias("tokenizer_version"), "n_tokens", F.col("__chars").alias("n_chars"))
 
 
+def recounted(docs: DataFrame, ids: DataFrame, version: str, path: str, pattern: str | None = None) -> DataFrame:
+    """``counted`` for the documents whose id is among ``ids`` (unique rows of doc_id).
+
+    A bitmap of the ids chooses before counting and the join after it decides, so no text is shuffled,
+    however many ids there are.
+    """
+    ids = ids.select(F.col("doc_id").cast(docs.schema["doc_id"].dataType).alias("doc_id"))
+    near = common.may_hold(docs, "doc_id", ids).where("__hit")
+    return counted(near, version, path, pattern).join(ids, "doc_id", "left_semi")
+
+
 def signed(rows: DataFrame, sign: int) -> DataFrame:
     """Counted rows as deltas: ``sign`` +1 inserts, -1 deletes."""
     return rows.select(*KEYS, F.lit(sign).cast("long").alias("n_docs"), (sign * F.col("n_tokens")).alias("n_tokens"), (sign * F.col("n_chars")).alias("n_chars"))
