@@ -9,6 +9,7 @@ Conventions that every operator here follows:
 
 from __future__ import annotations
 
+import ctypes
 import gc
 import os
 import tempfile
@@ -116,11 +117,45 @@ def draw(df: DataFrame, key: str, max_rows: int) -> DataFrame:
     return near.orderBy(low, key).limit(max_rows)
 
 
+#: What frees the memos that operators keep in a worker, and the operator whose memos are held.
+_memos: list[Callable[[], None]] = []
+_owner: list[str] = [""]
+
+
+def trim() -> None:
+    """Give what this process has freed back to the machine."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library
+        pass
+
+
+def keeps_memo(drop: Callable[[], None]) -> None:
+    """Have ``drop`` called in a worker when another operator begins there."""
+    _memos.append(drop)
+
+
+def begin(owner: str) -> None:
+    """A task of ``owner`` begins: workers are used again, and memos of other operators go."""
+    if _owner[0] == owner:
+        return
+    if _owner[0]:
+        for drop in _memos:
+            drop()
+        gc.collect()
+        trim()
+    _owner[0] = owner
+
+
 def _run(batches: Iterator[pa.RecordBatch], fn: Callable, n_keep: int, text_at: int, kinds: list[pa.DataType], names: list[str]) -> Iterator[pa.RecordBatch]:
+    begin(getattr(fn, "func", fn).__module__)
     for b in batches:
         made = fn([x if x is not None else "" for x in b.column(text_at).to_pylist()])
         arrays = list(b.columns[:n_keep]) + [pa.array(c, type=k) if not isinstance(c, pa.Array) else c for c, k in zip(made, kinds, strict=True)]
         yield pa.RecordBatch.from_arrays(arrays, names=names)
+        del made, arrays
+    trim()
 
 
 def with_text_columns(df: DataFrame, text_col: str, fn: Callable[[list[str]], Sequence], fields: Sequence[tuple[str, T.DataType]], keep: Sequence[str] | None = None) -> DataFrame:

@@ -160,6 +160,8 @@ def encoder(path: str) -> DocumentEncoder:
     return DocumentEncoder(path)
 
 
+common.keeps_memo(encoder.cache_clear)
+
 def _cut_documents(encode: DocumentEncoder, texts: list[str], capacity: int, end: bytes, with_ids: bool, known: dict[bytes, list[tuple]]) -> list[list[tuple]]:
     """(start, length, crc, ids) of the pieces of each text; a text met before by this worker is known."""
     if with_ids:
@@ -180,6 +182,7 @@ def _cut_documents(encode: DocumentEncoder, texts: list[str], capacity: int, end
 
 
 def _pieces(batches: Iterator[pa.RecordBatch], path: str, capacity: int, closing_id: int, with_ids: bool) -> Iterator[pa.RecordBatch]:
+    common.begin(__name__)
     encode, end = encoder(path), np.array([closing_id], "<u4").tobytes()
     known = encode.known.setdefault((capacity, closing_id), {})
     for b in batches:
