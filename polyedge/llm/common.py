@@ -148,6 +148,13 @@ def begin(owner: str) -> None:
     _owner[0] = owner
 
 
+def tidied(batches: Iterator[pa.RecordBatch], run: Callable) -> Iterator[pa.RecordBatch]:
+    """``run`` over the batches of a task: memos of other operators go before it, freed memory after it."""
+    begin(getattr(run, "func", run).__module__)
+    yield from run(batches)
+    trim()
+
+
 def _run(batches: Iterator[pa.RecordBatch], fn: Callable, n_keep: int, text_at: int, kinds: list[pa.DataType], names: list[str]) -> Iterator[pa.RecordBatch]:
     begin(getattr(fn, "func", fn).__module__)
     for b in batches:

@@ -29,8 +29,8 @@ from pyspark.sql import DataFrame, functions as F, types as T
 
 from polyedge.llm import common
 
-#: Bytes that the memos of a worker may hold: of chunks and their ids, and of the pieces of whole texts.
-MEMO_BYTES, KNOWN_BYTES = 200 << 20, 60 << 20
+#: Bytes that the memos of a worker may hold: of chunks and their ids, half of it young, and of the pieces of whole texts.
+MEMO_BYTES, KNOWN_BYTES = 96 << 20, 24 << 20
 ENTRY = 180  # bytes of the objects of one entry besides its contents
 LONGEST = 200  # longer chunks are not worth keeping
 BATCH = 1024
@@ -76,6 +76,7 @@ class DocumentEncoder:
         self.line = len(self._encode("\n").tobytes())
         self.memo: dict[str, bytes] = {}
         self.held = 0  # bytes in the memo
+        self.old: dict[str, bytes] = {}  # the memo before; what is met again comes back from it
         self.marks: dict[str, bytes] = {}
         self.known: dict[tuple[int, int], dict[bytes, list[tuple]]] = {}  # pieces of texts met before
         self.known_held = 0
@@ -98,7 +99,7 @@ class DocumentEncoder:
             self.memo.update(zip(part, map(data.__getitem__, map(slice, cuts, [*cuts[1:], len(data)])), strict=True))
 
     def _add(self, missing: list[str]) -> None:
-        memo, marks = self.memo, self.marks
+        memo, old, marks = self.memo, self.old, self.marks
         words, ends, plain = [], [], set()
         for c in missing:
             w = c.rstrip(self.MARKS)
@@ -106,7 +107,10 @@ class DocumentEncoder:
                 words.append(w)
                 ends.append(c[len(w) :])
                 if w not in memo:
-                    plain.add(w)
+                    if w in old:
+                        memo[w] = old[w]
+                    else:
+                        plain.add(w)
             else:
                 words.append(c)
                 ends.append("")
@@ -122,9 +126,9 @@ class DocumentEncoder:
                 memo[c] = memo[w] + marks[e]
 
     def __call__(self, texts: list[str]) -> list[bytes]:
-        if self.held > MEMO_BYTES:
-            self.memo, self.held = {}, 0
-        memo = self.memo
+        if self.held > MEMO_BYTES // 2:
+            self.memo, self.old, self.held = {}, self.memo, 0
+        memo, old = self.memo, self.old
         cut = [_chunks(t, self.special) for t in texts]
         found = [list(map(memo.get, c)) if c else [] for c in cut]
         missing: set[str] = set()
@@ -132,7 +136,9 @@ class DocumentEncoder:
             if c:
                 missing.update(compress(c, map(is_, ids, repeat(None))))
         before = len(memo)
-        self._add(list(missing))
+        if old:
+            memo.update({c: old[c] for c in missing if c in old})
+        self._add([c for c in missing if c not in memo] if old else list(missing))
         out = []
         for text, c, ids in zip(texts, cut, found, strict=True):
             if c is None:
@@ -204,6 +210,7 @@ def _pieces(batches: Iterator[pa.RecordBatch], path: str, capacity: int, closing
                 cols.append(pa.array(data, pa.list_(pa.int32())))
                 names.append("ids")
             yield pa.RecordBatch.from_arrays(cols, names=names)
+    common.trim()
 
 
 def pieces(docs: DataFrame, tokenizer_path: str, capacity: int = 2048, closing_id: int = 0, with_ids: bool = False) -> DataFrame:

@@ -217,18 +217,18 @@ def links(fps: DataFrame, threshold: int = 2, cap: int = 512) -> DataFrame:
     if threshold not in (0, 1, 2):
         raise ValueError("anchors replicate for thresholds of at most two bits")
     common.ship(fps.sparkSession)
-    replicas = fps.mapInArrow(_replicate, "anchor long, fp long")
+    replicas = fps.mapInArrow(partial(common.tidied, run=_replicate), "anchor long, fp long")
     hot = common.cut(replicas.groupBy("anchor").count().where(F.col("count") > cap).select("anchor"))
     if hot.isEmpty():
         cold, fine = replicas, None
     else:
         cold = replicas.join(hot, "anchor", "left_anti")
         moved = replicas.join(hot, "anchor", "left_semi").select("fp").distinct()
-        met = moved.mapInArrow(_points, "anchor long, fp long").groupBy("anchor").agg(F.collect_set("fp").alias("fps"))
+        met = moved.mapInArrow(partial(common.tidied, run=_points), "anchor long, fp long").groupBy("anchor").agg(F.collect_set("fp").alias("fps"))
         fine = met.where(F.size("fps") > 1).select(F.explode("fps").alias("a"), F.array_min("fps").alias("b"))
         if threshold < 2:  # points join fingerprints two bits apart
             fine = met.select(F.explode("fps").alias("a"), "anchor").select("a", F.col("anchor").alias("b")).join(moved.select(F.col("fp").alias("b")), "b", "left_semi") if threshold else fine.limit(0)
-    near = cold.repartition("anchor").sortWithinPartitions("anchor", "fp").mapInArrow(partial(_compare, threshold=threshold), "a long, b long")
+    near = cold.repartition("anchor").sortWithinPartitions("anchor", "fp").mapInArrow(partial(common.tidied, run=partial(_compare, threshold=threshold)), "a long, b long")
     return near if fine is None else near.unionByName(fine.select("a", "b"))
 
 
@@ -347,7 +347,7 @@ def frequent_keys(texts: DataFrame, words: int, at_least: float) -> Frequent:
     """The keys found first in the most texts.  They set the order of the keys, and with it the
     number of candidates, never which pairs are similar: so their number may be bounded."""
     common.ship(texts.sparkSession)
-    seen = texts.mapInArrow(partial(_emit_first, words=words, at_least=at_least), "key long")
+    seen = texts.mapInArrow(partial(common.tidied, run=partial(_emit_first, words=words, at_least=at_least)), "key long")
     top = seen.groupBy("key").count().where(F.col("count") > FREQUENT).orderBy(F.desc("count"), "key").limit(MOST_FREQUENT).toArrow()
     keys, counts = top.column(0).to_numpy().view(np.uint64), top.column(1).to_numpy()
     order = np.argsort(keys)
@@ -401,7 +401,7 @@ def similar_pairs(pairs: DataFrame, texts: Callable[[DataFrame], DataFrame], wor
     own = dealt.select("centre", "share").distinct().join(used.select(F.col("node").alias("centre"), "text"), "centre").select("centre", F.lit(0).alias("own"), F.col("centre").alias("node"), "text", "share")
     partners = dealt.join(used, "node").select("centre", F.lit(1).alias("own"), "node", "text", "share")
     cells = own.unionByName(partners).repartition("centre", "share").sortWithinPartitions("centre", "share", "own")
-    out = common.cut(cells.select("centre", "own", "node", "text").mapInArrow(partial(_verified, words=words, at_least=at_least), "a long, b long"))
+    out = common.cut(cells.select("centre", "own", "node", "text").mapInArrow(partial(common.tidied, run=partial(_verified, words=words, at_least=at_least)), "a long, b long"))
     common.tidy(pairs.sparkSession)
     return out
 
@@ -469,7 +469,7 @@ def _by_every_holder(nodes: DataFrame, shared: DataFrame, found: DataFrame, at_l
     spread = held.join(nodes.select("node", "n", "mark"), "node").withColumn("block", F.pmod(F.xxhash64("node"), "many")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("many") - 1)))
     cell = F.xxhash64("key", F.least("block", "other"), F.greatest("block", "other"))
     cells = spread.select(cell.alias("cell"), "block", (F.col("block") == F.col("other")).alias("inner"), "node", "root", "n", F.col("pos").cast("long").alias("pos"), *(F.col("mark")[i].alias(f"s{i}") for i in range(MARKS)))
-    return cells.repartition("cell").sortWithinPartitions("cell").mapInArrow(partial(_compare_cells, at_least=at_least), "a long, b long")
+    return cells.repartition("cell").sortWithinPartitions("cell").mapInArrow(partial(common.tidied, run=partial(_compare_cells, at_least=at_least)), "a long, b long")
 
 
 def _classes(docs: DataFrame, id_col: str, text_col: str, words: int, at_least: float, threshold: int = 2) -> DataFrame:
