@@ -16,7 +16,7 @@ import tempfile
 import uuid
 import zipfile
 from collections.abc import Callable, Iterator, Sequence
-from functools import partial
+from functools import cache, partial
 from pathlib import Path
 
 import pyarrow as pa
@@ -131,6 +131,18 @@ def trim() -> None:
         pass
 
 
+@cache
+def keep_freed(most: int = 32 << 20) -> None:
+    """Have this process use freed arrays again.  The C library otherwise gives each array of over
+    128 kB back to the machine, and every new one costs page faults; ``trim`` still frees."""
+    try:
+        c = ctypes.CDLL(None)
+        c.mallopt(-3, most)  # M_MMAP_THRESHOLD
+        c.mallopt(-1, 2 * most)  # M_TRIM_THRESHOLD
+    except (AttributeError, OSError):  # another C library
+        pass
+
+
 def keeps_memo(drop: Callable[[], None]) -> None:
     """Have ``drop`` called in a worker when another operator begins there."""
     _memos.append(drop)

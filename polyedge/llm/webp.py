@@ -566,9 +566,8 @@ def _copies(x: np.ndarray) -> list[tuple[int, int, int]]:
     n = len(x) - LEAST_COPY + 1
     if n < 2:
         return []
-    key = np.zeros(n, np.uint64)
-    for i in range(LEAST_COPY):
-        key = key << np.uint64(8) | x[i : i + n]
+    two = x[:-1].astype(np.uint64) << np.uint64(8) | x[1:]
+    key = (two[:n] << np.uint64(16) | two[2 : n + 2]) << np.uint64(16) | two[4 : n + 4]
     place = np.uint64(24)
     order = np.sort((key * np.uint64(CACHE_FACTOR) * np.uint64(0x9E3779B1) >> place << place) | np.arange(n, dtype=np.uint64))
     at = (order & np.uint64((1 << 24) - 1)).astype(np.int64)
@@ -834,6 +833,7 @@ def feature(pixels: bytes) -> str:
 
 
 def _stored(texts: list[str]) -> list[list]:
+    common.keep_freed()
     raw = [t.encode("utf-8", "surrogatepass") for t in texts]
     return [[len(b) for b in raw], [store_bytes(pad(b)) for b in raw]]
 
@@ -869,6 +869,7 @@ def decode_pixels(images: DataFrame, media_col: str = "media") -> DataFrame:
 
 
 def _digested(texts: list[str]) -> list[list]:
+    common.keep_freed()
     cols: list[list] = [[] for _ in range(7)]
     for t in texts:
         raw = t.encode("utf-8", "surrogatepass")
