@@ -25,7 +25,8 @@ import struct
 import zlib
 from collections import Counter
 from collections.abc import Sequence
-from functools import cache, partial
+from functools import cache, cached_property, partial
+from itertools import chain
 
 import numpy as np
 from pyspark.sql import DataFrame, functions as F, types as T
@@ -47,6 +48,7 @@ NEAR = [
 ]
 PREDICTOR, CROSS_COLOUR, SUBTRACT_GREEN, PALETTE = range(4)
 LITERALS, LENGTHS, DISTANCES = 256, 24, 40
+SHARES = [1 << (15 - n) for n in range(16)]  # of all values of 15 bits, those that begin with a code of n bits
 BLACK = 0xFF000000
 CACHE_FACTOR = 0x1E35A7BD
 
@@ -79,11 +81,17 @@ def canonical(lengths: Sequence[int]) -> dict[int, tuple[int, int]]:
     for n, s in sorted(used):
         code <<= n - last
         last = n
-        out[s] = (int(format(code, f"0{n}b")[::-1], 2), n)
+        out[s] = (turned(code, n), n)
         code += 1
     return out
 
 
+@cache
+def turned(code: int, n: int) -> int:
+    """A code of ``n`` bits, at most 15, its bits in the other order."""
+    return int(format(code, f"0{n}b")[::-1], 2)
+
+
 @cache
 def reversed_bits(n: int) -> np.ndarray:
     """Every number of ``n`` bits, its bits in the other order."""
@@ -99,20 +107,28 @@ class PrefixCode:
 
     def __init__(self, lengths: Sequence[int]):
         self.given = lengths
-        self.lengths = {s: n for s, n in enumerate(lengths) if n}
-        if not self.lengths:
+        used = list(filter(None, lengths))
+        if not used:
             raise ValueError("a prefix code without symbols")
-        if len(self.lengths) == 1:
-            self.lengths = dict.fromkeys(self.lengths, 0)
-        self.bits = max(self.lengths.values())
-        if self.bits and sum(1 << (self.bits - n) for n in self.lengths.values()) != 1 << self.bits:
+        self.bits = max(used) if len(used) > 1 else 0
+        if self.bits and sum(map(SHARES.__getitem__, used)) != SHARES[0]:
             raise ValueError("a prefix code is not complete")
         self._table: list[tuple[int, int]] | None = None
 
+    @cached_property
+    def lengths(self) -> dict[int, int]:
+        """Length of each symbol, 0 of a lone one."""
+        return {s: n if self.bits else 0 for s, n in enumerate(self.given) if n}
+
+    def alone(self) -> int:
+        """The one symbol of a code without bits."""
+        return next(s for s, n in enumerate(self.given) if n)
+
     def tables(self) -> tuple[np.ndarray, np.ndarray]:
         """Symbol and length for each value of the next ``bits`` bits."""
-        used = sorted((n, s) for s, n in self.lengths.items())
-        length, symbol = np.array(used, np.int64).T
+        given = np.array(self.given, np.uint8)
+        symbol = np.argsort(given, kind="stable")[-np.count_nonzero(given) :]
+        length = given[symbol].astype(np.int64)
         times = 1 << (self.bits - length)
         order = reversed_bits(self.bits)
         return np.repeat(symbol, times)[order], np.repeat(length, times)[order]
@@ -141,8 +157,12 @@ def read_code(r: BitReader, alphabet: int) -> PrefixCode:
             lengths[r.read(8)] = 1
         return PrefixCode(lengths)
     of_lengths = [0] * 19
-    for i in range(4 + r.read(4)):
-        of_lengths[LENGTH_ORDER[i]] = r.read(3)
+    n = 4 + r.read(4)
+    for i in range(0, n, 10):
+        three = r.read(3 * min(10, n - i))
+        for k in LENGTH_ORDER[i : min(i + 10, n)]:
+            of_lengths[k] = three & 7
+            three >>= 3
     code = PrefixCode(of_lengths)
     left = 2 + r.read(2 + 2 * r.read(3)) if r.read(1) else alphabet
     table, mask = code.table(), (1 << code.bits) - 1
@@ -189,42 +209,48 @@ def read_value(r: BitReader, prefix: int) -> int:
 # ---------------------------------------------------------------- reading pixels
 
 
+EXTRA = np.array([0, 0, 0, 0, *[(p - 2) >> 1 for p in range(4, DISTANCES)]])  # extra bits of a prefix, and its least value
+LEAST = np.array([1, 2, 3, 4, *[((2 + (p & 1)) << (p - 2 >> 1)) + 1 for p in range(4, DISTANCES)]])
+SHIFTS = np.tile(np.arange(8, dtype=np.uint32), 1 << 13)
+
+
+@cache
+def _near(width: int) -> np.ndarray:
+    return np.array([max(1, x + y * width) for x, y in NEAR], np.int64)
+
+
 def _read_parallel(r: BitReader, codes: list[PrefixCode], width: int, n: int) -> np.ndarray:
     """Pixels of a picture of one group without a cache: all bit positions at once, then the chain."""
     first, ahead = r.at >> 3, r.at & 7
-    raw = np.frombuffer(r.data, np.uint8, offset=first) if first < len(r.data) else np.empty(0, np.uint8)
-    raw = np.concatenate([raw, np.zeros(12, np.uint8)]).astype(np.uint32)
-    words = raw[:-3] | raw[1:-2] << np.uint32(8) | raw[2:-1] << np.uint32(16) | raw[3:] << np.uint32(24)
+    raw = r.data[first:] + bytes(12)
     # the next 25 bits at each bit position
-    view = (words[:, None] >> np.arange(8, dtype=np.uint32)).ravel()
+    view = np.repeat(np.ndarray(len(raw) - 3, "<u4", raw, 0, 1), 8)
+    for at in range(0, len(view), len(SHIFTS)):
+        view[at : at + len(SHIFTS)] >>= SHIFTS[: len(view) - at]
     end = 8 * (len(r.data) - first)  # bits of the file; positions up to 40 behind it can be looked at
-    tables = [c.tables() if c.bits else (np.array([next(iter(c.lengths))]), np.zeros(1, np.int64)) for c in codes]
+    tables = [c.tables() if c.bits else (np.array([c.alone()]), np.zeros(1, np.int64)) for c in codes]
     masks = [np.uint32((1 << c.bits) - 1) for c in codes]
 
     def look(k: int, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         v = view[np.minimum(at, len(view) - 1)] & masks[k]
         return tables[k][0][v], tables[k][1][v]
 
-    def extra(prefix: np.ndarray) -> np.ndarray:
-        return np.where(prefix < 4, 0, (prefix - 2) >> 1)
-
     def value(prefix: np.ndarray, at: np.ndarray) -> np.ndarray:
-        e = extra(prefix)
-        more = view[np.minimum(at, len(view) - 1)].astype(np.int64) & ((1 << e) - 1)
-        return np.where(prefix < 4, prefix + 1, ((2 + (prefix & 1)) << e) + more + 1)
+        more = view[np.minimum(at, len(view) - 1)].astype(np.int64)
+        return LEAST.take(prefix) + (more & ((1 << EXTRA.take(prefix)) - 1))
 
     symbol = (tables[0][0] << 4 | tables[0][1]).astype(np.uint16).take(view[: end + 1] & masks[0])  # and length
     after = np.arange(end + 1)
     after += symbol & 15
-    copies = np.flatnonzero(symbol >= LITERALS << 4) if max(codes[0].lengths) >= LITERALS else np.empty(0, np.int64)
+    copies = np.flatnonzero(symbol >= LITERALS << 4) if any(codes[0].given[LITERALS:]) else np.empty(0, np.int64)
     behind = after[copies]
     for k in (1, 2, 3):
         if codes[k].bits:
             after += tables[k][1].take(view.take(after, mode="clip") & masks[k])
     if len(copies):
-        behind += extra((symbol[copies] >> 4).astype(np.int64) - LITERALS)
+        behind += EXTRA.take((symbol[copies] >> 4).astype(np.int64) - LITERALS)
         prefix, size = look(4, behind)
-        after[copies] = behind + size + extra(prefix)
+        after[copies] = behind + size + EXTRA.take(prefix)
     if not any(c.bits for c in codes[:4]):  # every pixel is the same and takes no bits
         argb = [int(t[0][0]) for t in tables[:4]]
         if argb[0] >= LITERALS:
@@ -238,45 +264,58 @@ def _read_parallel(r: BitReader, codes: list[PrefixCode], width: int, n: int) ->
     while at < end:
         far.append(at)
         at = steps[at]
-    chain = np.array(far, np.int64)
+    read = np.array(far, np.int64)
     for jump in jumps[2::-1]:
-        chain = np.stack([chain, jump.take(chain)], 1).ravel()
-    chain = chain[chain < end]
-    kind = (symbol[chain] >> 4).astype(np.int64)
-    counts = np.ones(len(chain), np.int64)
+        both = np.empty(2 * len(read), np.int64)
+        both[::2] = read
+        both[1::2] = jump.take(read)
+        read = both
+    read = read[read < end]
+    kind = (symbol[read] >> 4).astype(np.int64)
+    counts = np.ones(len(read), np.int64)
     on = np.flatnonzero(kind >= LITERALS)
     if len(on):
-        at = chain[on] + look(0, chain[on])[1]
+        at = read[on] + look(0, read[on])[1]
         counts[on] = value(kind[on] - LITERALS, at)
-        at += extra(kind[on] - LITERALS)
+        at += EXTRA.take(kind[on] - LITERALS)
         prefix, size = look(4, at)
         distance = value(prefix, at + size)
-        near = np.array([max(1, x + y * width) for x, y in NEAR], np.int64)
+        near = _near(width)
         distance = np.where(distance > len(NEAR), distance - len(NEAR), near[np.minimum(distance, len(NEAR)) - 1])
     ends = np.cumsum(counts)
     tokens = int(np.searchsorted(ends, n)) + 1
     if tokens > len(ends) or ends[tokens - 1] != n:
         raise ValueError("file ends early" if tokens > len(ends) else "a reference leaves the picture")
-    r.at = 8 * first + int(after[chain[tokens - 1]])
+    r.at = 8 * first + int(after[read[tokens - 1]])
     if r.at > 8 * len(r.data):
         raise ValueError("file ends early")
     starts = ends - counts
-    out = np.zeros(n, np.uint32)
     plain = np.flatnonzero(kind[:tokens] < LITERALS)
-    at, argb = chain[plain], kind[plain] << 8
-    if any(c.bits for c in codes[1:4]):
-        at = at + look(0, at)[1]
+    on = on[on < tokens]
+    if len(on) and (distance[: len(on)] > starts[on]).any():
+        raise ValueError("a reference leaves the picture")
+    parts = (starts[on].tolist(), counts[on].tolist(), distance[: len(on)].tolist()) if len(on) else ((), (), ())
+    if not any(c.bits for c in codes[1:4]):  # a byte each, as the green channel alone varies
+        green = np.zeros(n, np.uint8)
+        green[starts[plain]] = kind[plain]
+        filled = bytearray(green)
+        for i, c, d in zip(*parts, strict=True):
+            filled[i : i + c] = filled[i - d : i - d + c] if d >= c else (filled[i - d : i] * (c // d + 1))[:c]
+        rest = int(tables[3][0][0]) << 24 | int(tables[1][0][0]) << 16 | int(tables[2][0][0])
+        out = np.frombuffer(filled, np.uint8).astype(np.uint32)
+        out <<= np.uint32(8)
+        out |= np.uint32(rest)
+        return out
+    out = np.zeros(n, np.uint32)
+    at, argb = read[plain], kind[plain] << 8
+    at = at + look(0, at)[1]
     for k, shift in ((1, 16), (2, 0), (3, 24)):
         s, size = look(k, at) if codes[k].bits else (tables[k][0][0], 0)
         argb |= s << shift
         at = at + size
     out[starts[plain]] = argb
-    on = on[on < tokens]
-    if len(on):
-        if (distance[: len(on)] > starts[on]).any():
-            raise ValueError("a reference leaves the picture")
-        for i, c, d in zip(starts[on].tolist(), counts[on].tolist(), distance[: len(on)].tolist(), strict=True):
-            out[i : i + c] = out[i - d : i - d + c] if d >= c else np.resize(out[i - d : i], c)
+    for i, c, d in zip(*parts, strict=True):
+        out[i : i + c] = out[i - d : i - d + c] if d >= c else np.resize(out[i - d : i], c)
     return out
 
 
@@ -504,7 +543,7 @@ def write_code(w: BitWriter, lengths: list[int]) -> None:
             run -= n
         parts += [(0, 0, 0)] * run
         parts.append((lengths[s], 0, 0))
-    counts = Counter(p[0] for p in parts)
+    counts = Counter([p[0] for p in parts])
     of = _huffman(counts, 19, 7)
     codes = canonical(of)
     last = max(LENGTH_ORDER.index(k) for k, n in enumerate(of) if n)
@@ -520,22 +559,25 @@ def write_code(w: BitWriter, lengths: list[int]) -> None:
     else:
         w.put(0, 1)
         parts += [(0, 0, 0)] * (len(lengths) - 1 - used[-1]) if 0 in codes else [(parts[0][0], 0, 0)] * (len(lengths) - 1)
+    value, size = 0, 0
     for k, extra, v in parts:
-        w.put(*codes[k])
-        w.put(v, extra)
+        code, n = codes[k]
+        value |= (code | v << n) << size
+        size += n + extra
+    w.put(value, size)
 
 
 def _depths(counts: Sequence[int]) -> list[int]:
     """Code lengths of least total for two counts or more."""
     n = len(counts)
-    heap = [(c, i) for i, c in enumerate(counts)]
+    heap = [c << 16 | i for i, c in enumerate(counts)]  # count, then place
     heapq.heapify(heap)
     parent = [0] * (2 * n - 1)
     for node in range(n, 2 * n - 1):
-        c, i = heapq.heappop(heap)
-        d, j = heap[0]
-        parent[i] = parent[j] = node
-        heapq.heapreplace(heap, (c + d, node))
+        a = heapq.heappop(heap)
+        b = heap[0]
+        parent[a & 0xFFFF] = parent[b & 0xFFFF] = node
+        heapq.heapreplace(heap, (a >> 16) + (b >> 16) << 16 | node)
     depth = [0] * (2 * n - 1)
     for i in range(2 * n - 3, -1, -1):
         depth[i] = depth[parent[i]] + 1
@@ -557,6 +599,7 @@ def _huffman(counts: dict[int, int], alphabet: int, most: int = 15) -> list[int]
     return lengths
 
 
+SPREAD = np.uint64(CACHE_FACTOR * 0x9E3779B1)
 LEAST_COPY, MOST_COPY, MOST_DISTANCE = 6, 4096, (1 << 20) - 120
 
 
@@ -569,7 +612,7 @@ def _copies(x: np.ndarray) -> list[tuple[int, int, int]]:
     two = x[:-1].astype(np.uint64) << np.uint64(8) | x[1:]
     key = (two[:n] << np.uint64(16) | two[2 : n + 2]) << np.uint64(16) | two[4 : n + 4]
     place = np.uint64(24)
-    order = np.sort((key * np.uint64(CACHE_FACTOR) * np.uint64(0x9E3779B1) >> place << place) | np.arange(n, dtype=np.uint64))
+    order = np.sort((key * SPREAD >> place << place) | np.arange(n, dtype=np.uint64))
     at = (order & np.uint64((1 << 24) - 1)).astype(np.int64)
     same = np.flatnonzero(order[1:] >> place == order[:-1] >> place)
     here, there = at[same + 1], at[same]
@@ -581,14 +624,16 @@ def _copies(x: np.ndarray) -> list[tuple[int, int, int]]:
     of = distance[begin]
     on = of > 0
     out, free = [], 0
-    for a, b, d in zip(begin[on].tolist(), edge[on].tolist(), of[on].tolist(), strict=True):
+    for a, b, d in zip(begin[on].tolist(), (edge[on] + (LEAST_COPY - 1)).tolist(), of[on].tolist(), strict=True):
         if a < free:
             a = free
-        b += LEAST_COPY - 1
-        while b - a >= LEAST_COPY:
-            n = min(b - a, MOST_COPY)
+        n = b - a
+        while n >= LEAST_COPY:
+            if n > MOST_COPY:
+                n = MOST_COPY
             out.append((a, n, d))
             a = free = a + n
+            n = b - a
     return out
 
 
@@ -621,13 +666,16 @@ def _join_bits(w: BitWriter, value: np.ndarray, size: np.ndarray) -> bytes:
     at = w.n + np.cumsum(size) - size
     total = int(at[-1] + size[-1]) if len(at) else w.n
     words = np.zeros(total // 64 + 2, np.uint64)
-    on = np.flatnonzero(size)
-    if len(on):
-        value, at = value[on].astype(np.uint64), at[on]
-        word, shift = at >> 6, (at & 63).astype(np.uint64)
-        first = np.flatnonzero(np.diff(word, prepend=-1))
+    if not size.all():
+        on = np.flatnonzero(size)
+        value, at, size = value[on], at[on], size[on]
+    if len(size):
+        value = value.view(np.uint64)
+        word, low = at >> 6, at & 63
+        shift = low.view(np.uint64)
+        first = np.concatenate([[0], np.flatnonzero(word[1:] != word[:-1]) + 1])
         words[word[first]] = np.bitwise_or.reduceat(value << shift, first)
-        over = np.flatnonzero((at & 63) + size[on] > 64)
+        over = np.flatnonzero(low + size > 64)
         words[word[over] + 1] |= value[over] >> (np.uint64(64) - shift[over])
     head = np.frombuffer(w.value.to_bytes((w.n + 63) // 64 * 8, "little"), np.uint64)
     words[: len(head)] |= head
@@ -637,31 +685,33 @@ def _join_bits(w: BitWriter, value: np.ndarray, size: np.ndarray) -> bytes:
 def _write_channel(w: BitWriter, x: np.ndarray) -> bytes:
     """All bytes of a file whose main picture, in which the green channel alone varies, comes next."""
     w.put(0, 2)  # no cache, one group
-    copies = np.array(_copies(x), np.int64).reshape(-1, 3)
-    covered = np.zeros(len(x) + 1, np.int64)
-    covered[copies[:, 0]] += 1
-    covered[copies[:, 0] + copies[:, 1]] -= 1
-    plain = np.flatnonzero(np.cumsum(covered[:-1]) == 0)
-    symbol, lx, lv = _prefixes(copies[:, 1])
-    far, dx, dv = _prefixes(copies[:, 2] + len(NEAR))
-    place = np.concatenate([plain, copies[:, 0]])
-    green = np.concatenate([x[plain].astype(np.int64), symbol + LITERALS])
+    copies = _copies(x)
+    places, sizes, ways = np.fromiter(chain.from_iterable(copies), np.int64, 3 * len(copies)).reshape(-1, 3).T
+    covered = np.zeros(len(x) + 1, np.int8)
+    covered[places] = 1
+    covered[places + sizes] -= 1
+    begins = np.cumsum(covered[:-1], dtype=np.int8) == 0  # of a literal or a copy
+    begins[places] = True
+    (symbol, far), (lx, dx), (lv, dv) = (np.split(v, 2) for v in _prefixes(np.concatenate([sizes, ways + len(NEAR)])))
+    green = x.astype(np.int64)
+    green[places] = symbol + LITERALS
+    green = green[begins]
     lengths, bits, size = _codes(green, LITERALS + LENGTHS)
     far_lengths, far_bits, far_size = _codes(far, DISTANCES)
     write_code(w, lengths)
     for only, n in ((0, 1), (0, 1), (255, 8)):  # red, blue and alpha have one symbol
         w.put(1 | (n == 8) << 2 | only << 3, 3 + n)
     write_code(w, far_lengths)
-    value, count = bits[green], size[green]
-    c = len(plain)
-    value[c:] |= lv << count[c:]
-    count[c:] += lx
-    value[c:] |= far_bits[far] << count[c:]
-    count[c:] += far_size[far]
-    value[c:] |= dv << count[c:]
-    count[c:] += dx
-    order = np.argsort(place)
-    return _join_bits(w, value[order], count[order])
+    value, count = bits.take(green), size.take(green)
+    if len(places):
+        at = np.flatnonzero(green >= LITERALS)
+        more, n = lv, lx
+        for v, many in ((far_bits[far], far_size[far]), (dv, dx)):
+            more = more | v << n
+            n = n + many
+        value[at] |= more << count[at]
+        count[at] += n
+    return _join_bits(w, value, count)
 
 
 def store_bytes(payload: bytes) -> bytes:
